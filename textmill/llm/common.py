@@ -48,6 +48,10 @@ def keyed(docs: DataFrame) -> DataFrame:
     )
 
 
+def doc_id_of_key() -> Column:
+    return F.when(F.col("k1") != -(2**62) - 1, F.col("k1")).alias("doc_id")
+
+
 def n_words(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
@@ -69,7 +73,7 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     if not _POWERS or len(_POWERS[0]) < n:
         n = max(n, 1 << 16)
         with np.errstate(over="ignore"):
-            up, down = (np.multiply.accumulate(np.concatenate([[1], np.full(n - 1, b, np.uint64)]).astype(np.uint64), dtype=np.uint64) for b in (_R, pow(_R, -1, 2**64)))
+            up, down = (np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(n - 1, b, np.uint64)]), dtype=np.uint64) for b in (_R, pow(_R, -1, 2**64)))
         _POWERS[:] = [up, down]
     return _POWERS[0], _POWERS[1]
 
