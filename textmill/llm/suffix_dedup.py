@@ -17,8 +17,8 @@ from . import common
 #: that all its strings have in common, so the ranked length grows from round to round up to the threshold.
 ROUNDS = (256, 16, 1)
 GRAM = 8
-_RANKS = pa.schema([("rank", pa.int64()), ("pair", pa.int64()), ("k1", pa.int64()), ("k2", pa.int32()), ("place", pa.int64()), ("lo", pa.int32()), ("hi", pa.int32())])
-_RANKS_SQL = "rank long, pair long, k1 long, k2 int, place long, lo int, hi int"
+_RANKS = pa.schema([("rank", pa.int64()), ("pair", pa.int64()), ("k1", pa.int64()), ("k2", pa.int32()), ("place", pa.int64()), ("lo", pa.int32()), ("hi", pa.int32()), ("n", pa.int64())])
+_RANKS_SQL = "rank long, pair long, k1 long, k2 int, place long, lo int, hi int, n long"
 
 
 def _gram_hashes(data: bytes) -> np.ndarray:
@@ -39,7 +39,7 @@ def _ranked(data: bytes, place, lo, hi, size: int, length: int) -> list[tuple]:
 def _first_ranks(size: int, length: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            cols: list[list] = [[] for _ in range(7)]
+            cols: list[list] = [[] for _ in range(8)]
             n = 0
 
             def out():
@@ -50,12 +50,12 @@ def _first_ranks(size: int, length: int):
                 if len(data) < length:
                     continue
                 core, whole, place, lo, hi = _ranked(data, *common.anchors(_gram_hashes(data), length - GRAM + 1), size, length)
-                for c, x in zip(cols, (np.array(core, np.int64), np.array(whole, np.int64), np.full(len(core), k1), np.full(len(core), k2, np.int32), place, lo, hi)):
+                for c, x in zip(cols, (np.array(core, np.int64), np.array(whole, np.int64), np.full(len(core), k1), np.full(len(core), k2, np.int32), place, lo, hi, np.ones(len(core), np.int64))):
                     c.append(x)
                 n += len(core)
                 if n > 200_000:
                     yield out()
-                    cols, n = [[] for _ in range(7)], 0
+                    cols, n = [[] for _ in range(8)], 0
             if n:
                 yield out()
 
@@ -65,13 +65,14 @@ def _first_ranks(size: int, length: int):
 def _next_ranks(size: int, length: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            cols: list[list] = [[] for _ in range(7)]
+            cols: list[list] = [[] for _ in range(8)]
             for text, k1, k2, groups in zip(batch.column("text"), batch.column("k1").to_pylist(), batch.column("k2").to_pylist(), batch.column("groups")):
                 data = text.as_buffer().to_pybytes()
                 g = groups.values.flatten()
-                place, lo, hi = (x.to_numpy(zero_copy_only=False).astype(np.int64) for x in g)
+                place, lo, hi, times = (x.to_numpy(zero_copy_only=False).astype(np.int64) for x in g)
+                times = np.repeat(times, hi // size - lo // size + 1)
                 core, whole, place, lo, hi = _ranked(data, place, lo, hi, size, length)
-                for c, x in zip(cols, (np.array(core, np.int64), np.array(whole, np.int64), np.full(len(core), k1), np.full(len(core), k2, np.int32), place, lo, hi)):
+                for c, x in zip(cols, (np.array(core, np.int64), np.array(whole, np.int64), np.full(len(core), k1), np.full(len(core), k2, np.int32), place, lo, hi, times)):
                     c.append(x)
             if cols[0]:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), f.type) for c, f in zip(cols, _RANKS)], schema=_RANKS)
@@ -83,24 +84,26 @@ def repeated_spans(docs: DataFrame, length: int = 400) -> DataFrame:
     """(k1, k2, start, end) of byte strings of `length` or more that start in two places or more, in keyed() documents.
 
     Round by round, Spark sorts the (rank, pair) of position groups. A rank held by one group only is unique and its
-    starts leave; where all groups of a rank agree to their last byte they are past the threshold and become spans;
-    the others are cut into smaller groups, which are ranked by more bytes. Spans of a document may overlap.
+    starts leave; groups alike to their last byte are past the threshold and become spans; one of each kind within a
+    rank of several kinds goes on, with the number it stands for, cut into smaller groups that are ranked by more
+    bytes. Spans of a document may overlap.
     """
     docs_by_key = docs.select("k1", "k2", "text")
     rounds = [min(b, max(length // 2, 1)) for b in ROUNDS]
-    ranks = docs_by_key.mapInArrow(_first_ranks(rounds[0], length), _RANKS_SQL)
+    first = common.stored(docs_by_key.mapInArrow(_first_ranks(rounds[0], length), _RANKS_SQL))
+    twice = first.groupBy("rank").agg(F.count("*").alias("n")).filter("n > 1").select((F.col("rank") + F.lit(0)).alias("rank_"))
+    ranks = common.stored(first.join(twice, F.col("rank") == F.col("rank_")).drop("rank_"))
     spans = []
     for i, size in enumerate(rounds):
-        last = i == len(rounds) - 1
-        by = ["rank", "pair"] if last else ["rank"]
-        shared = ranks.groupBy(*by).agg(F.count("*").alias("n"), F.min("pair").alias("p0"), F.max("pair").alias("p1")).filter("n > 1")
-        # The rank is joined under another name, so both sides are dealt anew and a hot rank can be split.
-        shared = shared.select(*[(F.col(c) + F.lit(0)).alias(f"{c}_") for c in by], (F.col("p0") == F.col("p1")).alias("equal"))
-        on = [F.col(c) == F.col(f"{c}_") for c in by]
-        kept = ranks.join(shared, on).select("k1", "k2", "place", "lo", "hi", "equal")
-        spans.append(kept.filter("equal").select("k1", "k2", (F.col("place") - F.col("hi")).alias("start"), (F.col("place") - F.col("lo") + length).alias("end")))
-        if not last:
-            groups = kept.filter("not equal").groupBy("k1", "k2").agg(F.collect_list(F.struct("place", "lo", "hi")).alias("groups"))
+        kinds = ranks.groupBy("rank", "pair").agg(F.sum("n").alias("n"), F.min(F.struct("k1", "k2", "place", "lo", "hi")).alias("at"))
+        # Joined under other names, so both sides are dealt anew and a hot rank can be split.
+        equal = kinds.filter("n > 1").select((F.col("rank") + F.lit(0)).alias("rank_"), (F.col("pair") + F.lit(0)).alias("pair_"))
+        past = ranks.join(equal, (F.col("rank") == F.col("rank_")) & (F.col("pair") == F.col("pair_")))
+        spans.append(past.select("k1", "k2", (F.col("place") - F.col("hi")).alias("start"), (F.col("place") - F.col("lo") + length).alias("end")))
+        if i < len(rounds) - 1:
+            several = kinds.groupBy("rank").agg(F.count("*").alias("m")).filter("m > 1").select((F.col("rank") + F.lit(0)).alias("rank_"))
+            on = kinds.join(several, F.col("rank") == F.col("rank_")).select("n", "at.*")
+            groups = on.groupBy("k1", "k2").agg(F.collect_list(F.struct("place", "lo", "hi", "n")).alias("groups"))
             ranks = docs_by_key.join(groups, ["k1", "k2"]).select("k1", "k2", "text", "groups").mapInArrow(_next_ranks(rounds[i + 1], length), _RANKS_SQL)
     out = spans[0]
     for s in spans[1:]:
@@ -145,7 +148,7 @@ def remove_repeats(docs: DataFrame, length: int = 400, digest: bool = False) ->
         raise ValueError(f"length must be {GRAM} or more")
     docs = common.keyed(docs)
     spans = repeated_spans(docs, length).groupBy("k1", "k2").agg(F.collect_list(F.struct("start", "end")).alias("spans"))
-    both = docs.select("k1", "k2", "doc_id", "text").join(spans, ["k1", "k2"], "left").select("doc_id", "text", "spans")
+    both = docs.select("k1", "k2", "text").join(spans, ["k1", "k2"], "left").select(common.doc_id_of_key(), "text", "spans")
     if digest:
         return both.mapInArrow(_cut(True), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
     return both.mapInArrow(_cut(False), "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary, spans array<array<long>>")
