@@ -93,6 +93,21 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return mixed((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(np.uint64))
 
 
+class Words:
+    """A text's words, and prefix sums that name any run of them."""
+
+    def __init__(self, data: bytes):
+        self.data, b = data, np.frombuffer(data, np.uint8)
+        self.starts, self.ends = word_spans(b)
+        self.hashes = word_hashes(b, self.starts, self.ends)
+        up, self.down = _powers(len(self.hashes) + 1)
+        self.total = [np.concatenate([np.zeros(1, np.uint64), np.cumsum(h * up[: len(h)], dtype=np.uint64)]) for h in (self.hashes, mixed(self.hashes + np.uint64(77)))]
+
+    def name(self, at: np.ndarray, to: np.ndarray, which: int = 0) -> np.ndarray:
+        t = self.total[which]
+        return mixed((t[to] - t[at]) * self.down[at] + (to - at).astype(np.uint64))
+
+
 def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
     """Minimum of each w neighbours, by running minima from both ends of blocks of w."""
     n = len(x)

@@ -6,12 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .quality_classifier import op4_quality_classifier
+from .quality_rules import op7_quality_rules
 from .simhash import op8_simhash
 from .substring_dedup import op10_substring_dedup
 from .suffix_dedup import op3_suffix_dedup
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_suffix_dedup": op3_suffix_dedup,
+    "op4_quality_classifier": op4_quality_classifier,
+    "op7_quality_rules": op7_quality_rules,
     "op8_simhash": op8_simhash,
     "op10_substring_dedup": op10_substring_dedup,
 }

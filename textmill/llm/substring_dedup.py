@@ -20,22 +20,7 @@ _KEYS = pa.schema([("core", pa.int64()), ("region", pa.int64()), ("k1", pa.int64
 _KEYS_SQL = "core long, region long, k1 long, k2 int, start long, words int"
 
 
-class _Words:
-    """A text's words, and prefix sums that name any run of them."""
-
-    def __init__(self, data: bytes):
-        self.data, b = data, np.frombuffer(data, np.uint8)
-        self.starts, self.ends = common.word_spans(b)
-        self.hashes = common.word_hashes(b, self.starts, self.ends)
-        up, self.down = common._powers(len(self.hashes) + 1)
-        self.total = [np.concatenate([np.zeros(1, np.uint64), np.cumsum(h * up[: len(h)], dtype=np.uint64)]) for h in (self.hashes, common.mixed(self.hashes + np.uint64(77)))]
-
-    def name(self, at: np.ndarray, to: np.ndarray, which: int = 0) -> np.ndarray:
-        t = self.total[which]
-        return common.mixed((t[to] - t[at]) * self.down[at] + (to - at).astype(np.uint64))
-
-
-def _keys(w: _Words, place, lo, hi, size: int, length: int):
+def _keys(w: common.Words, place, lo, hi, size: int, length: int):
     place, lo, hi = common.blocks(place, lo, hi, size)
     core = w.name(place, place + length - size + 1)
     region = common.mixed(w.name(place - hi, place - lo + length, 1) + hi.astype(np.uint64))
@@ -52,7 +37,7 @@ def _first_keys(length: int, group: int):
         for batch in batches:
             parts, n = [], 0
             for text, k1, k2 in zip(batch.column("text"), batch.column("k1").to_pylist(), batch.column("k2").to_pylist()):
-                w = _Words(text.as_buffer().to_pybytes())
+                w = common.Words(text.as_buffer().to_pybytes())
                 if len(w.hashes) < length:
                     continue
                 at = np.arange(len(w.hashes) - GRAM + 1)
@@ -72,7 +57,7 @@ def _window_keys(length: int):
         for batch in batches:
             parts = []
             for text, k1, k2, groups in zip(batch.column("text"), batch.column("k1").to_pylist(), batch.column("k2").to_pylist(), batch.column("groups")):
-                w = _Words(text.as_buffer().to_pybytes())
+                w = common.Words(text.as_buffer().to_pybytes())
                 start, words = (x.to_numpy(zero_copy_only=False).astype(np.int64) for x in groups.values.flatten())
                 times = words - length + 1
                 at = np.repeat(start, times) + np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
