@@ -11,8 +11,10 @@ from .quality_rules import op7_quality_rules
 from .simhash import op8_simhash
 from .substring_dedup import op10_substring_dedup
 from .suffix_dedup import op3_suffix_dedup
+from .token_output import op2_token_output
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_token_output": op2_token_output,
     "op3_suffix_dedup": op3_suffix_dedup,
     "op4_quality_classifier": op4_quality_classifier,
     "op7_quality_rules": op7_quality_rules,
