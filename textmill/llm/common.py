@@ -48,6 +48,17 @@ def keyed(docs: DataFrame) -> DataFrame:
     )
 
 
+def dealt_join(left: DataFrame, right: DataFrame, *by: str, how: str = "inner") -> DataFrame:
+    """left joined to right on long columns, both sides dealt anew by an expression of their own.
+
+    A right side fresh from an aggregation by the same columns would otherwise be joined where it lies, and then
+    Spark can't split the rows of a hot key on the left.
+    """
+    right = right.select(*[F.bitwise_not(c).alias(f"not_{c}") for c in by], *[c for c in right.columns if c not in by])
+    on = [F.bitwise_not(c) == F.col(f"not_{c}") for c in by]
+    return left.join(right, on, how).drop(*[f"not_{c}" for c in by])
+
+
 def doc_id_of_key() -> Column:
     return F.when(F.col("k1") != -(2**62) - 1, F.col("k1")).alias("doc_id")
 

@@ -145,8 +145,8 @@ def components(edges: DataFrame) -> DataFrame:
     """
 
     def toward(e: DataFrame) -> DataFrame:
-        least = e.groupBy("a").agg(F.min("b").alias("m")).select((F.col("a") + F.lit(0)).alias("a_"), F.least("m", "a").alias("m"))
-        return e.join(least, F.col("a") == F.col("a_")).select("a", "b", "m")
+        least = e.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("m", "a").alias("m"))
+        return common.dealt_join(e, least, "a").select("a", "b", "m")
 
     e = common.stored(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
     seen = None
@@ -178,10 +178,10 @@ def near_groups(docs: DataFrame, width: int = 3, radius: int = 3) -> DataFrame:
     prints = common.stored(rows.groupBy("print").agg(F.min("doc_id").alias("first")))
     comp = components(links(prints.select("print"), radius))
     rooted = common.stored(prints.join(comp, F.col("print") == F.col("node"), "left").select("print", "first", F.coalesce("root", "print").alias("root")))
-    least = rooted.groupBy("root").agg(F.min("first").alias("component_id")).select((F.col("root") + F.lit(0)).alias("root_"), "component_id")
-    label = common.stored(rooted.join(least, F.col("root") == F.col("root_")).select(F.col("print").alias("print_"), "component_id"))
+    least = rooted.groupBy("root").agg(F.min("first").alias("component_id"))
+    label = common.stored(common.dealt_join(rooted, least, "root").select("print", "component_id"))
     hexed = F.lower(F.lpad(F.hex("print"), 16, "0")).alias("fingerprint")
-    return rows.join(label, F.col("print") == F.col("print_")).select("doc_id", hexed, "component_id")
+    return common.dealt_join(rows, label, "print").select("doc_id", hexed, "component_id")
 
 
 def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -132,20 +132,20 @@ def repeated_ranges(docs: DataFrame, length: int = 35, contexts: int = CONTEXTS)
     group = min(GROUP, max(length // 2, 1))
     by_doc = docs.select("k1", "k2", "text")
     first = by_doc.mapInArrow(_first_keys(length, group), _KEYS_SQL)
-    twice = first.groupBy("core").agg(F.count("*").alias("n")).filter("n > 1").select((F.col("core") + F.lit(0)).alias("core_"))
-    cand = common.stored(first.join(twice, F.col("core") == F.col("core_")).drop("core_"))
+    twice = first.groupBy("core").agg(F.count("*").alias("n")).filter("n > 1").select("core")
+    cand = common.stored(common.dealt_join(first, twice, "core"))
     passages = cand.groupBy("core", "region").agg(F.count("*").alias("n"), F.min(F.struct("k1", "k2", "start", "words")).alias("at"))
-    wide = passages.groupBy("core").agg(F.count("*").alias("m")).filter(F.col("m") > contexts).select((F.col("core") + F.lit(0)).alias("core_"))
-    narrow = cand.join(wide, F.col("core") == F.col("core_"), "left_anti")
-    hot = cand.join(wide, F.col("core") == F.col("core_"), "left_semi")
+    wide = passages.groupBy("core").agg(F.count("*").alias("m")).filter(F.col("m") > contexts).select("core")
+    narrow = common.dealt_join(cand, wide, "core", how="left_anti")
+    hot = common.dealt_join(cand, wide, "core", how="left_semi")
     windows = by_doc.join(hot.groupBy("k1", "k2").agg(F.collect_list(F.struct("start", "words")).alias("groups")), ["k1", "k2"]).select("k1", "k2", "text", "groups").mapInArrow(_window_keys(length), _KEYS_SQL)
     places = narrow.unionByName(windows)
     sent = places.groupBy("core", "region").agg(F.count("*").alias("n"), F.min(F.struct("k1", "k2", "start", "words")).alias("at"))
     of_doc = sent.select("core", "region", "n", "at.*").groupBy("k1", "k2").agg(F.collect_list(F.struct("core", "region", "n", "start", "words")).alias("groups"))
     texts = by_doc.join(of_doc, ["k1", "k2"]).select("text", "groups").mapInArrow(_texts, "core long, region long, n long, passage binary")
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    found = texts.repartition(n, "core").sortWithinPartitions("core").mapInArrow(_shards(length), "core_ long, region_ long, ranges array<array<int>>")
-    return places.join(found, (F.col("core") == F.col("core_")) & (F.col("region") == F.col("region_"))).select("k1", "k2", "start", "ranges")
+    found = texts.repartition(n, "core").sortWithinPartitions("core").mapInArrow(_shards(length), "core long, region long, ranges array<array<int>>")
+    return common.dealt_join(places, found, "core", "region").select("k1", "k2", "start", "ranges")
 
 
 def _cut(digest: bool):

@@ -91,18 +91,16 @@ def repeated_spans(docs: DataFrame, length: int = 400) -> DataFrame:
     docs_by_key = docs.select("k1", "k2", "text")
     rounds = [min(b, max(length // 2, 1)) for b in ROUNDS]
     first = common.stored(docs_by_key.mapInArrow(_first_ranks(rounds[0], length), _RANKS_SQL))
-    twice = first.groupBy("rank").agg(F.count("*").alias("n")).filter("n > 1").select((F.col("rank") + F.lit(0)).alias("rank_"))
-    ranks = common.stored(first.join(twice, F.col("rank") == F.col("rank_")).drop("rank_"))
+    twice = first.groupBy("rank").agg(F.count("*").alias("n")).filter("n > 1").select("rank")
+    ranks = common.stored(common.dealt_join(first, twice, "rank"))
     spans = []
     for i, size in enumerate(rounds):
         kinds = ranks.groupBy("rank", "pair").agg(F.sum("n").alias("n"), F.min(F.struct("k1", "k2", "place", "lo", "hi")).alias("at"))
-        # Joined under other names, so both sides are dealt anew and a hot rank can be split.
-        equal = kinds.filter("n > 1").select((F.col("rank") + F.lit(0)).alias("rank_"), (F.col("pair") + F.lit(0)).alias("pair_"))
-        past = ranks.join(equal, (F.col("rank") == F.col("rank_")) & (F.col("pair") == F.col("pair_")))
+        past = common.dealt_join(ranks, kinds.filter("n > 1").select("rank", "pair"), "rank", "pair")
         spans.append(past.select("k1", "k2", (F.col("place") - F.col("hi")).alias("start"), (F.col("place") - F.col("lo") + length).alias("end")))
         if i < len(rounds) - 1:
-            several = kinds.groupBy("rank").agg(F.count("*").alias("m")).filter("m > 1").select((F.col("rank") + F.lit(0)).alias("rank_"))
-            on = kinds.join(several, F.col("rank") == F.col("rank_")).select("n", "at.*")
+            several = kinds.groupBy("rank").agg(F.count("*").alias("m")).filter("m > 1").select("rank")
+            on = common.dealt_join(kinds, several, "rank").select("n", "at.*")
             groups = on.groupBy("k1", "k2").agg(F.collect_list(F.struct("place", "lo", "hi", "n")).alias("groups"))
             ranks = docs_by_key.join(groups, ["k1", "k2"]).select("k1", "k2", "text", "groups").mapInArrow(_next_ranks(rounds[i + 1], length), _RANKS_SQL)
     out = spans[0]
