@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .decontaminate import op5_decontaminate
 from .quality_classifier import op4_quality_classifier
 from .quality_rules import op7_quality_rules
 from .simhash import op8_simhash
@@ -17,6 +18,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_token_output": op2_token_output,
     "op3_suffix_dedup": op3_suffix_dedup,
     "op4_quality_classifier": op4_quality_classifier,
+    "op5_decontaminate": op5_decontaminate,
     "op7_quality_rules": op7_quality_rules,
     "op8_simhash": op8_simhash,
     "op10_substring_dedup": op10_substring_dedup,
