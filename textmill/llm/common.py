@@ -67,6 +67,21 @@ def n_words(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
 
+def offsets(lengths: Column) -> Column:
+    """Sum of what stands before each element of an array<long>, folded in chunks so that long arrays stay cheap."""
+    none = F.array().cast("array<bigint>")
+    start = lambda at: F.struct(at.alias("at"), none.alias("out"))
+    chunk = lambda at, xs: F.aggregate(xs, start(at), lambda s, x: F.struct((s["at"] + x).alias("at"), F.concat(s["out"], F.array(s["at"])).alias("out")))
+    few = chunk(F.lit(0).cast("long"), lengths)["out"]
+    firsts = F.sequence(F.lit(1), F.size(lengths), F.lit(256))
+
+    def many(s: Column, i: Column) -> Column:
+        part = chunk(s["at"], F.slice(lengths, i, 256))
+        return F.struct(part["at"].alias("at"), F.concat(s["out"], part["out"]).alias("out"))
+
+    return F.when(F.size(lengths) <= 256, few).otherwise(F.aggregate(firsts, start(F.lit(0).cast("long")), many)["out"])
+
+
 _MIX1, _MIX2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _R = 0x9E3779B97F4A7C15 | 5
 _BYTE = np.random.default_rng(20240607).integers(1, 2**63, 256, dtype=np.uint64)
