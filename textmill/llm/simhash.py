@@ -186,3 +186,152 @@ def near_groups(docs: DataFrame, width: int = 3, radius: int = 3) -> DataFrame:
 
 def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_groups(common.table(spark, sf_dir, "documents"))
+
+
+#: Similarity of near-duplicate documents over shingles of so many words; bits within which the trees are searched;
+#: minima of which each two make a shard's key; bins of the signature that leaves out the dissimilar, which it may
+#: underrate by MARGIN; least shingle hashes that then measure similarity (exact for texts with no more).
+SIMILARITY, WIDTH, RADIUS, MINIMA, BINS, MARGIN, LEAST = 0.8, 5, 18, 6, 128, 0.16, 1024
+_FACTORS = np.random.default_rng(5).integers(1, 2**63, MINIMA, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def _sketch(data: bytes, width: int) -> tuple[int, bytes, list[int]]:
+    """SimHash of a text's shingles, a byte of the least hash in each bin (0: none) with the least hashes behind, and
+    the keys of its shards."""
+    w = common.Words(data.lower())
+    n = len(w.hashes)
+    at = np.arange(max(n - width + 1, 1))
+    h = w.name(at, np.minimum(at + width, n))
+    ones = np.zeros(BITS, np.int64)
+    for i in range(0, len(h), 1 << 15):
+        ones += np.unpackbits(h[i : i + (1 << 15)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    bits = int(np.packbits(ones * 2 > len(h), bitorder="little").view(np.int64)[0])
+    s = np.unique(h)
+    bins = (s >> np.uint64(57)).astype(np.int64)
+    first = np.flatnonzero(np.concatenate([[True], bins[1:] != bins[:-1]]))
+    signature = np.zeros(BINS, np.uint8)
+    signature[bins[first]] = 1 + (common.mixed(s[first]) % np.uint64(255)).astype(np.uint8)
+    least = [(s * f).min() for f in _FACTORS]
+    keys = [int(common.mixed((least[i] ^ (least[j] * np.uint64(0x9E3779B97F4A7C15))) + np.uint64(i * MINIMA + j)).view(np.int64)) for i, j in combinations(range(MINIMA), 2)]
+    return bits, signature.tobytes() + (s[:LEAST] >> np.uint64(32)).astype("<u4").tobytes(), keys
+
+
+def _sketches(width: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = [t.as_buffer().to_pybytes() for t in batch.column("text")]
+            with np.errstate(over="ignore"):
+                rows = [_sketch(t, width) for t in texts]
+            digest = [xxhash.xxh3_64_intdigest(t) - 2**63 for t in texts]
+            cols = list(zip(*rows)) or [()] * 3
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("k1"), pa.array(digest, pa.int64()), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.binary()), pa.array(cols[2], pa.list_(pa.int64()))], names=["k1", "t", "print", "signature", "keys"]
+            )
+
+    return run
+
+
+def _similar(signature: np.ndarray, others: np.ndarray) -> np.ndarray:
+    """Estimated Jaccard similarity: bins that agree of those that hold anything."""
+    held = ((signature | others) != 0).sum(axis=1)
+    return ((signature == others) & (others != 0)).sum(axis=1) / np.maximum(held, 1)
+
+
+def similarity_of(a: np.ndarray, b: np.ndarray) -> float:
+    """Jaccard similarity by the least hashes (ordered) of two sets: of the LEAST least of both, those in both."""
+    both = np.union1d(a, b)[:LEAST]
+    return float((np.isin(both, a, assume_unique=True) & np.isin(both, b, assume_unique=True)).mean())
+
+
+def _alike(prints: list[int], nodes: np.ndarray, signatures: np.ndarray, least: list[np.ndarray], radius: int, similarity: float) -> list[tuple[int, int]]:
+    """Edges to the least node of each group that similar texts of a shard form; near ones come from a BK-tree."""
+    parent = list(range(len(prints)))
+
+    def root(x: int) -> int:
+        while parent[x] != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    tree, of_print = BKTree(prints[0]), {prints[0]: [0]}
+    for i in range(1, len(prints)):
+        me = root(i)
+        near = [j for p in tree.within(prints[i], radius) for j in of_print[p] if root(j) != me]
+        while near:
+            part, near = near[:64], near[64:]
+            for j in np.array(part)[_similar(signatures[i], signatures[part]) >= similarity - MARGIN].tolist():
+                a, b = root(i), root(j)
+                if a != b and similarity_of(least[i], least[j]) >= similarity:
+                    parent[max(a, b)] = min(a, b)
+            near = [j for j in near if root(j) != root(i)]
+        if prints[i] not in of_print:
+            tree.add(prints[i])
+        of_print.setdefault(prints[i], []).append(i)
+    return [(int(nodes[i]), int(nodes[r])) for i in range(len(prints)) if (r := root(i)) != i]
+
+
+def _alike_shards(radius: int, similarity: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def edges(rows: list[tuple]) -> pa.RecordBatch:
+            out, at = [], 0
+            while at < len(rows):
+                end = at + 1
+                while end < len(rows) and rows[end][0] == rows[at][0]:
+                    end += 1
+                if end - at > 1:
+                    part = rows[at:end]
+                    out += _alike([r[2] & (2**64 - 1) for r in part], np.array([r[1] for r in part]), np.array([np.frombuffer(r[3], np.uint8, BINS) for r in part]), [np.frombuffer(r[3], "<u4", offset=BINS) for r in part], radius, similarity)
+                at = end
+            pairs = np.array(out, np.int64).reshape(-1, 2)
+            return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
+
+        rows: list[tuple] = []
+        for batch in batches:
+            rows += zip(*(batch.column(c).to_pylist() for c in ("key", "t", "print", "signature")))
+            done = next((i for i in range(len(rows) - 1, -1, -1) if rows[i][0] != rows[-1][0]), -1) + 1  # the last key may go on
+            if done > 0:
+                yield edges(rows[:done])
+                rows = rows[done:]
+        if rows:
+            yield edges(rows)
+
+    return run
+
+
+def keep_one(docs: DataFrame, similarity: float = SIMILARITY, radius: int = RADIUS, width: int = WIDTH) -> DataFrame:
+    """The rows of docs, all columns, one of each group of equal or similar texts: the one with the least doc_id.
+
+    Texts are similar if the Jaccard similarity of their sets of `width`-word shingles (lower-cased in
+    ASCII) reaches `similarity` (measured on the 1,024 least hashes of both); groups are closed under steps. Equal texts are folded first. A text is sent to the
+    shards of each two of its six least shingle hashes that another text shares (of two texts at 0.8, all but two in
+    a thousand meet); there a BK-tree of SimHashes gives the texts within `radius` bits, whose similarity is
+    then measured. Columns used: doc_id, text. Null and empty texts are alike; a null doc_id comes before others; of
+    repeated rows one stays; an empty table stays empty.
+    """
+    key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62)))
+    text = F.coalesce("text", F.lit(""))
+    rows = common.stored(docs.select(key.alias("k1"), text.alias("text")).mapInArrow(_sketches(width), "k1 long, t long, print long, signature binary, keys array<long>"))
+    texts = common.stored(rows.groupBy("t").agg(F.min("k1").alias("k1"), F.first("print").alias("print"), F.first("signature").alias("signature"), F.first("keys").alias("keys")))
+    keys = texts.select("t", F.explode("keys").alias("key"))
+    shared = keys.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
+    meet = common.dealt_join(keys, shared, "key")
+    n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    sharded = meet.join(texts.select("t", "print", "signature"), "t").select("key", "t", "print", "signature").repartition(n, "key").sortWithinPartitions("key", "t")
+    comp = components(sharded.mapInArrow(_alike_shards(radius, similarity), "a long, b long"))
+    rooted = texts.select("t", "k1").join(comp, F.col("t") == F.col("node"), "left").select("t", "k1", F.coalesce("root", "t").alias("root"))
+    kept = rooted.groupBy("root").agg(F.min(F.struct("k1", "t")).alias("m")).select(F.col("m.k1").alias("k1_"), F.col("m.t").alias("t_"))
+    digest = docs.mapInArrow(_with_digest, _with_fields(docs))
+    one = digest.join(kept, (F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62))) == F.col("k1_")) & (F.col("digest_") == F.col("t_")))
+    return one.dropDuplicates(["k1_", "t_"]).select(*docs.columns)
+
+
+def _with_fields(docs: DataFrame):
+    from pyspark.sql.types import LongType, StructField, StructType
+
+    return StructType([*docs.schema.fields, StructField("digest_", LongType())])
+
+
+def _with_digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        digest = [xxhash.xxh3_64_intdigest(t.as_buffer().to_pybytes() if t.is_valid else b"") - 2**63 for t in batch.column("text")]
+        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(digest, pa.int64())], names=[*batch.schema.names, "digest_"])
