@@ -8,12 +8,12 @@ import numpy as np
 def suffix_array(seq: np.ndarray, depth: int) -> np.ndarray:
     """Places of all suffixes, ordered by their first `depth` symbols at least."""
     _, rank = np.unique(seq, return_inverse=True)
-    order, h, n = np.argsort(rank, kind="stable"), 1, len(seq)
+    order, h, n = np.argsort(rank), 1, len(seq)
     while h < depth and n:
         second = np.zeros(n, np.int64)
         second[: n - h] = rank[h:] + 1
         key = rank.astype(np.int64) * (n + 2) + second
-        order = np.argsort(key, kind="stable")
+        order = np.argsort(key)
         key = key[order]
         rank = np.empty(n, np.int64)
         rank[order] = np.concatenate([[0], np.cumsum(key[1:] != key[:-1])])
@@ -61,17 +61,15 @@ class WaveletMatrix:
 
 
 class FMIndex:
-    """Index of segments, each with the number of places in the corpus where it stands.
+    """Index of segments (their symbols in a row, and their lengths), each with the number of places in the corpus where it stands.
 
     Symbol 0 parts the segments. A pattern's weight is the number of corpus places of its occurrences.
     """
 
-    def __init__(self, segments: list[np.ndarray], weights: np.ndarray, n_symbols: int, depth: int):
-        lengths = np.array([len(s) for s in segments], np.int64)
-        seq = np.zeros(int(lengths.sum() + len(segments) + 1), np.int64)
+    def __init__(self, symbols: np.ndarray, lengths: np.ndarray, weights: np.ndarray, n_symbols: int, depth: int):
+        seq = np.zeros(int(lengths.sum() + len(lengths) + 1), np.int64)
         self.starts = np.cumsum(lengths + 1) - lengths
-        for s, at in zip(segments, self.starts.tolist()):
-            seq[at : at + len(s)] = s
+        seq[np.arange(len(symbols)) + np.repeat(np.arange(len(lengths)) + 1, lengths)] = symbols
         order = suffix_array(seq, depth)
         self.seq, self.lengths = seq, lengths
         self.tree = WaveletMatrix(seq[order - 1], n_symbols)

@@ -15,7 +15,7 @@ from .fm_index import FMIndex
 
 #: Words in a gram whose hash picks a window's anchor; window starts that share one key; contexts of a key that one
 #: shard takes (a key with more is split by single windows); words of one index.
-GRAM, GROUP, CONTEXTS, SHARD_WORDS = 4, 20, 256, 1_500_000
+GRAM, GROUP, CONTEXTS, SHARD_WORDS = 4, 20, 64, 1_500_000
 _KEYS = pa.schema([("core", pa.int64()), ("region", pa.int64()), ("k1", pa.int64()), ("k2", pa.int32()), ("start", pa.int64()), ("words", pa.int32())])
 _KEYS_SQL = "core long, region long, k1 long, k2 int, start long, words int"
 
@@ -52,17 +52,25 @@ def _first_keys(length: int, group: int):
     return run
 
 
+_WINDOWS_SQL = "core long, region long, n long, offset int, w0 long, w1 long, k1 long, k2 int, start long, words int"
+_WINDOWS = pa.schema([("core", pa.int64()), ("region", pa.int64()), ("n", pa.int64()), ("offset", pa.int32()), ("w0", pa.int64()), ("w1", pa.int64()), ("k1", pa.int64()), ("k2", pa.int32()), ("start", pa.int64()), ("words", pa.int32())])
+
+
 def _window_keys(length: int):
+    """Each single window of the passages of a text, with its own key."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             parts = []
             for text, k1, k2, groups in zip(batch.column("text"), batch.column("k1").to_pylist(), batch.column("k2").to_pylist(), batch.column("groups")):
                 w = common.Words(text.as_buffer().to_pybytes())
-                start, words = (x.to_numpy(zero_copy_only=False).astype(np.int64) for x in groups.values.flatten())
+                core, region, n, start, words = (x.to_numpy(zero_copy_only=False).astype(np.int64) for x in groups.values.flatten())
                 times = words - length + 1
-                at = np.repeat(start, times) + np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
-                parts.append((w.name(at, at + length).view(np.int64), w.name(at, at + length, 1).view(np.int64), np.full(len(at), k1), np.full(len(at), k2, np.int32), at, np.full(len(at), length, np.int32)))
-            yield from _emit(parts)
+                row = np.repeat(np.arange(len(start)), times)
+                offset = np.arange(len(row)) - np.repeat(np.cumsum(times) - times, times)
+                at = start[row] + offset
+                parts.append((core[row], region[row], n[row], offset, w.name(at, at + length).view(np.int64), w.name(at, at + length, 1).view(np.int64), np.full(len(at), k1), np.full(len(at), k2, np.int32), at, np.full(len(at), length, np.int32)))
+            yield from _emit(parts, _WINDOWS)
 
     return run
 
@@ -81,25 +89,28 @@ def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 _FOUND = pa.schema([("core", pa.int64()), ("region", pa.int64()), ("ranges", pa.list_(pa.list_(pa.int32())))])
 
 
-def _search(rows: list[tuple[int, int, int, bytes]], length: int, ids: dict) -> pa.RecordBatch:
+def _search(rows: list[tuple[int, int, int, bytes]], length: int) -> pa.RecordBatch:
     """Indexes the passages and streams each through the index: ranges of words whose matching statistics reach length."""
-    ids.clear()
-    segments = [np.array([ids.setdefault(x, len(ids) + 1) for x in r[3].split(b" ")], np.int64) for r in rows]
-    sizes = np.array([len(s) for s in segments], np.int64)
-    index = FMIndex(segments, np.array([r[2] for r in rows], np.int64), len(ids) + 1, int(sizes.max()))
+    data = np.frombuffer(b"\n".join([r[3] for r in rows]), np.uint8)
+    starts, ends = common.word_spans(data)
+    symbols = np.unique(common.word_hashes(data, starts, ends), return_inverse=True)[1].astype(np.int64) + 1
+    sizes = np.diff(np.searchsorted(starts, np.cumsum([0] + [len(r[3]) + 1 for r in rows])))
+    index = FMIndex(symbols, sizes, np.array([r[2] for r in rows], np.int64), int(symbols.max()) + 1, int(sizes.max()))
     whole = index.match_lengths(index.starts + sizes, sizes)
-    ranges = [[[0, int(s)]] if m == s else ([[int(s - m), int(s)]] if m >= length else []) for s, m in zip(sizes, whole)]
+    ranges = [[[0, s]] if m == s else ([[s - m, s]] if m >= length else []) for s, m in zip(sizes.tolist(), whole.tolist())]
     part = np.flatnonzero(whole < sizes)
     times = sizes[part] - length
     owner = np.repeat(part, times)
     end = sizes[owner] - 1 - (np.arange(len(owner)) - np.repeat(np.cumsum(times) - times, times))
-    for at in range(0, len(owner), 1 << 20):
-        o, e = owner[at : at + (1 << 20)], end[at : at + (1 << 20)]
+    for at in range(0, len(owner), 1 << 18):
+        o, e = owner[at : at + (1 << 18)], end[at : at + (1 << 18)]
         m = index.match_lengths(index.starts[o] + e, e)
-        for k in np.flatnonzero(m >= length):
-            ranges[o[k]].append([int(e[k] - m[k]), int(e[k])])
+        hit = np.flatnonzero(m >= length)
+        for k, x, y in zip(o[hit].tolist(), (e - m)[hit].tolist(), e[hit].tolist()):
+            ranges[k].append([x, y])
     hit = [i for i, r in enumerate(ranges) if r]
-    return pa.RecordBatch.from_arrays([pa.array([rows[i][0] for i in hit], pa.int64()), pa.array([rows[i][1] for i in hit], pa.int64()), pa.array([[list(x) for x in common.merged(ranges[i])] for i in hit], _FOUND.field(2).type)], schema=_FOUND)
+    found = [ranges[i] if len(ranges[i]) == 1 else [list(x) for x in common.merged(ranges[i])] for i in hit]
+    return pa.RecordBatch.from_arrays([pa.array([rows[i][0] for i in hit], pa.int64()), pa.array([rows[i][1] for i in hit], pa.int64()), pa.array(found, _FOUND.field(2).type)], schema=_FOUND)
 
 
 def _shards(length: int):
@@ -110,13 +121,13 @@ def _shards(length: int):
         for batch in batches:
             for row in zip(*(batch.column(c).to_pylist() for c in ("core", "region", "n", "passage"))):
                 if words > SHARD_WORDS and row[0] != last:
-                    yield _search(rows, length, {})
+                    yield _search(rows, length)
                     rows, words = [], 0
                 rows.append(row)
-                words += row[3].count(b" ") + 1
+                words += len(row[3]) // 6
                 last = row[0]
         if rows:
-            yield _search(rows, length, {})
+            yield _search(rows, length)
 
     return run
 
@@ -126,26 +137,31 @@ def repeated_ranges(docs: DataFrame, length: int = 35, contexts: int = CONTEXTS)
 
     Every window of `length` words belongs to an anchor that its own words pick, and equal windows share a key made
     of words around it. Keys seen once are left out; equal passages of a key are counted and sent once. The passages
-    of a key meet in one shard, whose FM-index decides. A key with more than `contexts` different passages is dealt
-    by single windows instead, so a passage common to very many documents doesn't meet in one task.
+    of a key meet in one shard, whose FM-index decides. The passages of a key with more than `contexts` different
+    ones are dealt by single windows instead, so a text common to very many documents doesn't meet in one task.
     """
     group = min(GROUP, max(length // 2, 1))
     by_doc = docs.select("k1", "k2", "text")
-    first = by_doc.mapInArrow(_first_keys(length, group), _KEYS_SQL)
+    first = common.stored(by_doc.mapInArrow(_first_keys(length, group), _KEYS_SQL))
     twice = first.groupBy("core").agg(F.count("*").alias("n")).filter("n > 1").select("core")
-    cand = common.stored(common.dealt_join(first, twice, "core"))
-    passages = cand.groupBy("core", "region").agg(F.count("*").alias("n"), F.min(F.struct("k1", "k2", "start", "words")).alias("at"))
-    wide = passages.groupBy("core").agg(F.count("*").alias("m")).filter(F.col("m") > contexts).select("core")
-    narrow = common.dealt_join(cand, wide, "core", how="left_anti")
-    hot = common.dealt_join(cand, wide, "core", how="left_semi")
-    windows = by_doc.join(hot.groupBy("k1", "k2").agg(F.collect_list(F.struct("start", "words")).alias("groups")), ["k1", "k2"]).select("k1", "k2", "text", "groups").mapInArrow(_window_keys(length), _KEYS_SQL)
-    places = narrow.unionByName(windows)
-    sent = places.groupBy("core", "region").agg(F.count("*").alias("n"), F.min(F.struct("k1", "k2", "start", "words")).alias("at"))
-    of_doc = sent.select("core", "region", "n", "at.*").groupBy("k1", "k2").agg(F.collect_list(F.struct("core", "region", "n", "start", "words")).alias("groups"))
+    places = common.stored(common.dealt_join(first, twice, "core"))
+    kinds = places.groupBy("core", "region").agg(F.count("*").alias("n"), F.min(F.struct("k1", "k2", "start", "words")).alias("at"))
+    kinds = common.stored(kinds.select("core", "region", "n", "at.*"))
+    wide = kinds.groupBy("core").agg(F.count("*").alias("m")).filter(F.col("m") > contexts).select("core")
+    narrow = common.dealt_join(kinds, wide, "core", how="left_anti")
+    split = common.dealt_join(kinds, wide, "core", how="left_semi").groupBy("k1", "k2").agg(F.collect_list(F.struct("core", "region", "n", "start", "words")).alias("groups"))
+    windows = by_doc.join(split, ["k1", "k2"]).select("k1", "k2", "text", "groups").mapInArrow(_window_keys(length), _WINDOWS_SQL)
+    single = windows.groupBy("w0", "w1").agg(F.sum("n").alias("n"), F.min(F.struct("k1", "k2", "start", "words")).alias("at")).filter("n > 1")
+    sent = narrow.unionByName(single.select(F.col("w0").alias("core"), F.col("w1").alias("region"), "n", "at.*"))
+    of_doc = sent.groupBy("k1", "k2").agg(F.collect_list(F.struct("core", "region", "n", "start", "words")).alias("groups"))
     texts = by_doc.join(of_doc, ["k1", "k2"]).select("text", "groups").mapInArrow(_texts, "core long, region long, n long, passage binary")
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     found = texts.repartition(n, "core").sortWithinPartitions("core").mapInArrow(_shards(length), "core long, region long, ranges array<array<int>>")
-    return common.dealt_join(places, found, "core", "region").select("k1", "k2", "start", "ranges")
+    # Both joins take the same columns of found in the same dealing, so the indexes are built and searched once.
+    of_window = common.dealt_join(windows.select("core", "region", "offset", "w0", "w1"), found.select(F.col("core").alias("w0"), F.col("region").alias("w1"), "ranges"), "w0", "w1")
+    here = F.transform(F.element_at("ranges", 1), lambda x: x + F.col("offset"))
+    of_window = of_window.groupBy("core", "region").agg(F.collect_list(here).alias("ranges"))
+    return common.dealt_join(places, found, "core", "region").select("k1", "k2", "start", "ranges").unionByName(common.dealt_join(places, of_window, "core", "region").select("k1", "k2", "start", "ranges"))
 
 
 def _cut(digest: bool):
