@@ -104,6 +104,16 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS[0], _POWERS[1]
 
 
+def pieces(batches, rows: int = 1024):
+    """Slices of Arrow batches, so that what is made of a batch stays small; freed memory goes back after each batch."""
+    import pyarrow as pa
+
+    for batch in batches:
+        for at in range(0, max(batch.num_rows, 1), rows):
+            yield batch.slice(at, rows)
+        pa.default_memory_pool().release_unused()
+
+
 def word_spans(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """First byte and end of every word of a text's bytes."""
     edge = np.diff(np.concatenate([[0], (~IS_SPACE[data]).view(np.int8), [0]]))

@@ -176,7 +176,7 @@ def keep_clean(docs: DataFrame, benchmark: DataFrame, least: int = LEAST_WORDS,
         find = _found(seeds, least, share)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
+            for batch in common.pieces(batches):
                 text = batch.column("text").fill_null("")
                 place = pa.array(range(batch.num_rows), pa.int64())
                 bad = {p for b in find(iter([pa.RecordBatch.from_arrays([place, text], names=["doc_id", "text"])])) for p in b.column("doc_id").to_pylist()}

@@ -81,7 +81,7 @@ def _stats_of(batch: pa.RecordBatch) -> np.ndarray:
 
 
 def _with_stats(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in common.pieces(batches):
         stats = _stats_of(batch)
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.FixedSizeListArray.from_arrays(pa.array(stats.ravel()), _N).cast(pa.list_(pa.float64()))], names=["doc_id", "stats"])
 
@@ -164,7 +164,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED) ->
     model = fit(statistics_of(docs), labels, most)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             s = model.scores(_stats_of(batch)) if model else np.full(batch.num_rows, 0.5)
             yield batch.filter(pa.array(s >= CUTOFF))
 

@@ -95,7 +95,7 @@ def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         classes.clear()
         return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * 4, _COUNTS)], schema=_COUNTS)
 
-    for batch in batches:
+    for batch in common.pieces(batches):
         for text, lang in zip(batch.column("text"), batch.column("lang").to_pylist()):
             data = text.as_buffer().to_pybytes()
             words.setdefault(lang, Counter()).update(data.lower().split())
@@ -151,7 +151,7 @@ def judge(docs: DataFrame, refs: dict | None = None, guard: int = GUARD_WORDS, m
     refs = references(docs) if refs is None else refs
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             rows = []
             for doc_id, text, lang in zip(batch.column("doc_id").to_pylist(), batch.column("text"), batch.column("lang").to_pylist()):
                 data = text.as_buffer().to_pybytes()

@@ -8,7 +8,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common
@@ -40,7 +40,7 @@ def _signed(x: int) -> int:
 
 def _prints(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             prints = [_signed(fingerprint(t.as_buffer().to_pybytes(), width)) for t in batch.column("text")]
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(batch.num_columns - 1)), pa.array(prints, pa.int64())], names=[*batch.schema.names[:-1], "print"])
 
@@ -218,7 +218,7 @@ def _sketch(data: bytes, width: int) -> tuple[int, bytes, list[int]]:
 
 def _sketches(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             texts = [t.as_buffer().to_pybytes() for t in batch.column("text")]
             with np.errstate(over="ignore"):
                 rows = [_sketch(t, width) for t in texts]
@@ -322,7 +322,8 @@ def keep_one(docs: DataFrame, similarity: float = SIMILARITY, radius: int = RADI
     kept = rooted.groupBy("root").agg(F.min(F.struct("k1", "t")).alias("m")).select(F.col("m.k1").alias("k1_"), F.col("m.t").alias("t_"))
     digest = docs.mapInArrow(_with_digest, _with_fields(docs))
     one = digest.join(kept, (F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62))) == F.col("k1_")) & (F.col("digest_") == F.col("t_")))
-    return one.dropDuplicates(["k1_", "t_"]).select(*docs.columns)
+    number = F.row_number().over(Window.partitionBy("k1_", "t_").orderBy(F.lit(1)))
+    return one.withColumn("number_", number).filter("number_ = 1").select(*docs.columns)
 
 
 def _with_fields(docs: DataFrame):
@@ -332,6 +333,6 @@ def _with_fields(docs: DataFrame):
 
 
 def _with_digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in common.pieces(batches):
         digest = [xxhash.xxh3_64_intdigest(t.as_buffer().to_pybytes() if t.is_valid else b"") - 2**63 for t in batch.column("text")]
         yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(digest, pa.int64())], names=[*batch.schema.names, "digest_"])

@@ -34,7 +34,7 @@ def _emit(parts: list, schema=_KEYS) -> Iterator[pa.RecordBatch]:
 
 def _first_keys(length: int, group: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             parts, n = [], 0
             for text, k1, k2 in zip(batch.column("text"), batch.column("k1").to_pylist(), batch.column("k2").to_pylist()):
                 w = common.Words(text.as_buffer().to_pybytes())
@@ -60,7 +60,7 @@ def _window_keys(length: int):
     """Each single window of the passages of a text, with its own key."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             parts = []
             for text, k1, k2, groups in zip(batch.column("text"), batch.column("k1").to_pylist(), batch.column("k2").to_pylist(), batch.column("groups")):
                 w = common.Words(text.as_buffer().to_pybytes())
@@ -77,7 +77,7 @@ def _window_keys(length: int):
 
 def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The words of each passage, taken from the text of the document that stands for its copies."""
-    for batch in batches:
+    for batch in common.pieces(batches):
         rows = []
         for text, groups in zip(batch.column("text"), batch.column("groups").to_pylist()):
             words = text.as_buffer().to_pybytes().split()
@@ -166,7 +166,7 @@ def repeated_ranges(docs: DataFrame, length: int = 35, contexts: int = CONTEXTS)
 
 def _cut(digest: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             rows = []
             for doc_id, text, found in zip(batch.column("doc_id").to_pylist(), batch.column("text"), batch.column("found").to_pylist()):
                 words = text.as_buffer().to_pybytes().split()

@@ -38,7 +38,7 @@ def _ranked(data: bytes, place, lo, hi, size: int, length: int) -> list[tuple]:
 
 def _first_ranks(size: int, length: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             cols: list[list] = [[] for _ in range(8)]
             n = 0
 
@@ -64,7 +64,7 @@ def _first_ranks(size: int, length: int):
 
 def _next_ranks(size: int, length: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             cols: list[list] = [[] for _ in range(8)]
             for text, k1, k2, groups in zip(batch.column("text"), batch.column("k1").to_pylist(), batch.column("k2").to_pylist(), batch.column("groups")):
                 data = text.as_buffer().to_pybytes()
@@ -114,7 +114,7 @@ _CUT = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed",
 
 def _cut(digest: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.pieces(batches):
             rows = []
             for doc_id, text, spans in zip(batch.column("doc_id").to_pylist(), batch.column("text"), batch.column("spans").to_pylist()):
                 data = text.as_buffer().to_pybytes()
