@@ -3,6 +3,6 @@
 from __future__ import annotations
 
 from . import catalog
-from .operators import clean, dedup, quality  # noqa: F401
+from .operators import clean, dedup, mixture, models, quality, relational, tokenizer  # noqa: F401
 
 QUERIES, ORACLE = catalog.QUERIES, catalog.ORACLE
