@@ -144,6 +144,7 @@ def mix_sizes(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int =
         if out is not None:
             got = out.groupBy("source").agg(F.sum(F.col("copies") * F.col("size")).alias("got")).withColumnsRenamed({"source": "s2"})
         plan = here.join(got, F.col("s1").eqNullSafe(F.col("s2")), "left").select("s1", "words", F.coalesce("got", F.lit(0)).alias("got"), F.ceil(F.col("n") / fan_in).alias("blocks"))
+        plan = common.stored(plan)  # a row per source, whose size Spark then knows: small ones are broadcast
         part = rows.filter(F.col("class_") == c).join(plan, F.col("source").eqNullSafe(F.col("s1")))
         x = F.when(F.col("words") > 0, F.greatest(F.lit(0.0), F.least(F.lit(float(most)), (F.col("target") - F.col("got")) / F.col("words")))).otherwise(F.lit(0.0))
         part = part.select(*names, "source_size", "target", x.alias("x"), "blocks")
