@@ -5,20 +5,24 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
-def reliable(df: DataFrame) -> DataFrame:
-    """df as a table in the folder of spark.checkpoint.dir: cuts the lineage, survives the loss of an executor."""
-    spark = df.sparkSession
+def shared_base(spark: SparkSession) -> str:
+    """The folder of spark.checkpoint.dir, which the driver and all executors see; set here only where it is unset."""
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="textmill-"))
         base = spark.sparkContext.getCheckpointDir()
-    path = f"{base.rstrip('/')}/{uuid.uuid4().hex}"
+    return base.rstrip("/")
+
+
+def reliable(df: DataFrame) -> DataFrame:
+    """df as a table in the shared folder: cuts the lineage, survives the loss of an executor."""
+    path = f"{shared_base(df.sparkSession)}/{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def connected_components(edges: DataFrame) -> DataFrame:
