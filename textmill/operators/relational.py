@@ -173,23 +173,26 @@ def _unpivot(spark, d):
     return table(spark, d, "documents").select("doc_id", F.col("n_chars").alias("chars"), F.octet_length("text").cast("bigint").alias("bytes")).unpivot("doc_id", ["chars", "bytes"], "name", "v")
 
 
-def _window(name: str, sql: str, *columns):
+def _window(name: str, sql: str, columns):
     def run(spark, d):
-        return table(spark, d, "orders").select("o_orderkey", *columns)
+        return table(spark, d, "orders").select("o_orderkey", *columns())
 
     query(name, f"SELECT o_orderkey, {sql} FROM orders")(run)
 
 
-_w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+def _w():
+    return Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+
+
 _S = "OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)"
 _window("win_rank", "row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority, o_orderkey)::INT AS rn, rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority)::INT AS rk, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority)::INT AS dr",
-        F.row_number().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority", "o_orderkey")).alias("rn"), F.rank().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority")).alias("rk"), F.dense_rank().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority")).alias("dr"))
-_window("win_running", f"sum(o_totalprice::DECIMAL(18,2)) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING)::DOUBLE AS running", F.sum(dec("o_totalprice")).over(_w.rowsBetween(Window.unboundedPreceding, 0)).cast("double").alias("running"))
-_window("win_lag", f"lag(o_orderkey) {_S} AS before, lead(o_orderkey) {_S} AS after", F.lag("o_orderkey").over(_w).alias("before"), F.lead("o_orderkey").over(_w).alias("after"))
-_window("win_moving", "round(avg(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 4) AS moving", F.round(F.avg("o_totalprice").over(_w.rowsBetween(-2, 0)), 4).alias("moving"))
-_window("win_ntile", f"ntile(4) {_S}::INT AS quarter", F.ntile(4).over(_w).alias("quarter"))
+        lambda: [F.row_number().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority", "o_orderkey")).alias("rn"), F.rank().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority")).alias("rk"), F.dense_rank().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority")).alias("dr")])
+_window("win_running", f"sum(o_totalprice::DECIMAL(18,2)) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING)::DOUBLE AS running", lambda: [F.sum(dec("o_totalprice")).over(_w().rowsBetween(Window.unboundedPreceding, 0)).cast("double").alias("running")])
+_window("win_lag", f"lag(o_orderkey) {_S} AS before, lead(o_orderkey) {_S} AS after", lambda: [F.lag("o_orderkey").over(_w()).alias("before"), F.lead("o_orderkey").over(_w()).alias("after")])
+_window("win_moving", "round(avg(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 4) AS moving", lambda: [F.round(F.avg("o_totalprice").over(_w().rowsBetween(-2, 0)), 4).alias("moving")])
+_window("win_ntile", f"ntile(4) {_S}::INT AS quarter", lambda: [F.ntile(4).over(_w()).alias("quarter")])
 _window("win_first_last", "first_value(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS f, last_value(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS l",
-        F.first("o_orderkey").over(_w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("f"), F.last("o_orderkey").over(_w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("l"))
+        lambda: [F.first("o_orderkey").over(_w().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("f"), F.last("o_orderkey").over(_w().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("l")])
 
 
 @query("topk_global", "SELECT l_orderkey, l_linenumber, l_extendedprice FROM lineitem ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber LIMIT 20")
@@ -216,22 +219,22 @@ for _name, _op, _method in (("union", "UNION", None), ("union_all", "UNION ALL",
     query(f"setop_{_name}", f"SELECT c_nationkey AS k FROM customer {_op} SELECT s_nationkey FROM supplier")(_setop)
 
 
-def _functions(name: str, source: str, sql: str, *columns):
+def _functions(name: str, source: str, sql: str, columns):
     def run(spark, d):
-        return table(spark, d, source).select(*columns)
+        return table(spark, d, source).select(*columns())
 
     query(name, f"SELECT {sql} FROM {source}")(run)
 
 
-_functions("fn_string", "documents", "doc_id, upper(lang) || '-' || lpad(source, 8, '_') AS s, reverse(source) AS r, length(text)::INT AS n, levenshtein(source, lang)::INT AS lev", "doc_id", F.concat_ws("-", F.upper("lang"), F.lpad("source", 8, "_")).alias("s"), F.reverse("source").alias("r"), F.length("text").alias("n"), F.levenshtein("source", "lang").alias("lev"))
-_functions("fn_regex", "documents", "doc_id, regexp_extract(text, '([A-Z][a-z]+)', 1) AS first_cap, len(regexp_extract_all(text, '[0-9]+'))::INT AS n_numbers", "doc_id", F.regexp_extract("text", "([A-Z][a-z]+)", 1).alias("first_cap"), F.regexp_count("text", F.lit("[0-9]+")).alias("n_numbers"))
-_functions("fn_date", "events", "event_id, date_trunc('day', ts)::DATE AS day, extract(hour FROM ts)::INT AS h, date_diff('day', TIMESTAMP '2024-01-01', ts)::INT AS n", "event_id", F.to_date("ts").alias("day"), F.hour("ts").alias("h"), F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")).alias("n"))
-_functions("fn_math", "lineitem", "l_orderkey, l_linenumber, round(sqrt(l_quantity), 6) AS s, floor(l_quantity / 7)::BIGINT AS f, round(ln(l_quantity), 6) AS l", "l_orderkey", "l_linenumber", F.round(F.sqrt("l_quantity"), 6).alias("s"), F.floor(F.col("l_quantity") / 7).alias("f"), F.round(F.log("l_quantity"), 6).alias("l"))
-_functions("fn_array", "documents", "doc_id, len(string_split(text, ' '))::INT AS n, list_sort(list_distinct(string_split(text[1:200], ' '))) AS w", "doc_id", F.size(F.split("text", " ")).alias("n"), F.array_sort(F.array_distinct(F.split(F.substring("text", 1, 200), " "))).alias("w"))
-_functions("fn_map", "documents", "doc_id, 'source' AS k, source AS v", "doc_id", F.explode(F.map_filter(F.create_map(F.lit("lang"), "lang", F.lit("source"), "source"), lambda k, v: k == "source")).alias("k", "v"))
-_functions("fn_json", "events", "event_id, (props->>'$.k')::INT AS k", "event_id", F.get_json_object("props", "$.k").cast("int").alias("k"))
-_functions("fn_hash", "documents", "doc_id, md5(text) AS m, sha256(text) AS s", "doc_id", F.md5("text").alias("m"), F.sha2("text", 256).alias("s"))
-_functions("fn_url", "pages", "page_id, regexp_extract(url, '^([a-z]+)://', 1) AS scheme", "page_id", F.parse_url("url", F.lit("PROTOCOL")).alias("scheme"))
+_functions("fn_string", "documents", "doc_id, upper(lang) || '-' || lpad(source, 8, '_') AS s, reverse(source) AS r, length(text)::INT AS n, levenshtein(source, lang)::INT AS lev", lambda: ["doc_id", F.concat_ws("-", F.upper("lang"), F.lpad("source", 8, "_")).alias("s"), F.reverse("source").alias("r"), F.length("text").alias("n"), F.levenshtein("source", "lang").alias("lev")])
+_functions("fn_regex", "documents", "doc_id, regexp_extract(text, '([A-Z][a-z]+)', 1) AS first_cap, len(regexp_extract_all(text, '[0-9]+'))::INT AS n_numbers", lambda: ["doc_id", F.regexp_extract("text", "([A-Z][a-z]+)", 1).alias("first_cap"), F.regexp_count("text", F.lit("[0-9]+")).alias("n_numbers")])
+_functions("fn_date", "events", "event_id, date_trunc('day', ts)::DATE AS day, extract(hour FROM ts)::INT AS h, date_diff('day', TIMESTAMP '2024-01-01', ts)::INT AS n", lambda: ["event_id", F.to_date("ts").alias("day"), F.hour("ts").alias("h"), F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")).alias("n")])
+_functions("fn_math", "lineitem", "l_orderkey, l_linenumber, round(sqrt(l_quantity), 6) AS s, floor(l_quantity / 7)::BIGINT AS f, round(ln(l_quantity), 6) AS l", lambda: ["l_orderkey", "l_linenumber", F.round(F.sqrt("l_quantity"), 6).alias("s"), F.floor(F.col("l_quantity") / 7).alias("f"), F.round(F.log("l_quantity"), 6).alias("l")])
+_functions("fn_array", "documents", "doc_id, len(string_split(text, ' '))::INT AS n, list_sort(list_distinct(string_split(text[1:200], ' '))) AS w", lambda: ["doc_id", F.size(F.split("text", " ")).alias("n"), F.array_sort(F.array_distinct(F.split(F.substring("text", 1, 200), " "))).alias("w")])
+_functions("fn_map", "documents", "doc_id, 'source' AS k, source AS v", lambda: ["doc_id", F.explode(F.map_filter(F.create_map(F.lit("lang"), "lang", F.lit("source"), "source"), lambda k, v: k == "source")).alias("k", "v")])
+_functions("fn_json", "events", "event_id, (props->>'$.k')::INT AS k", lambda: ["event_id", F.get_json_object("props", "$.k").cast("int").alias("k")])
+_functions("fn_hash", "documents", "doc_id, md5(text) AS m, sha256(text) AS s", lambda: ["doc_id", F.md5("text").alias("m"), F.sha2("text", 256).alias("s")])
+_functions("fn_url", "pages", "page_id, regexp_extract(url, '^([a-z]+)://', 1) AS scheme", lambda: ["page_id", F.parse_url("url", F.lit("PROTOCOL")).alias("scheme")])
 
 
 @query("fn_variant")
