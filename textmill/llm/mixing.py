@@ -119,8 +119,9 @@ def mix_sizes(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int =
     agrees. Rows of size 0 are taken by the whole part; repeated rows are rows of their own; an empty table gives an
     empty result. Rows of a source are dealt to blocks of about `fan_in`, so no source meets in one task.
     """
-    names = [c for c in sized.columns if c not in ("source_size", "target", "copies")]
-    sized = common.stored(sized.select(*names))
+    kept = [c for c in sized.columns if c not in ("source_size", "target", "copies")]
+    names = ["doc_id", "source", "size", "row_"]  # all columns travel in one, so their names can't clash with those here
+    sized = common.stored(sized.select("doc_id", "source", F.col("size").cast("long").alias("size"), F.struct(*kept).alias("row_")))
     per = common.stored(sized.groupBy("source").agg(F.coalesce(F.sum("size"), F.lit(0)).alias("source_size"), F.count("*").alias("n")))
     order = Window.orderBy(F.col("source").asc_nulls_last())
     weight = F.element_at(F.array(*[F.lit(w) for w in weights]), (F.pmod(F.row_number().over(order) - 1, F.lit(len(weights))) + 1).cast("int")).cast("long")
@@ -151,8 +152,8 @@ def mix_sizes(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int =
         parts.append(common.stored(_taken(part, levels, fan_in).drop("x", "blocks")))
         out = parts[-1] if out is None else out.unionByName(parts[-1])
     if out is None:
-        return rows.drop("class_").withColumn("copies", F.lit(0))
-    return out
+        out = rows.withColumn("copies", F.lit(0))
+    return out.select("row_.*", "source_size", "target", "copies")
 
 
 def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST_COPIES) -> DataFrame:

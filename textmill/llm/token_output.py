@@ -180,12 +180,14 @@ class Grammar:
             code = seq[:-1].astype(np.uint64) << np.uint64(32) | seq[1:]
             bucket = ((code * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - BUCKET_BITS)).astype(np.int32)
             uses = np.bincount(bucket, minlength=1 << BUCKET_BITS).astype(np.int32)[bucket]
-            # A pair is taken where it is used more than the pairs on either side: the most used pairs first.
-            take = uses >= least
-            take[1:] &= uses[1:] > uses[:-1]
-            take[:-1] &= uses[:-1] >= uses[1:]
-            at = np.flatnonzero(take)
-            at = at[np.concatenate([[True], at[1:] - at[:-1] > 1])] if len(at) else at
+            # A pair is taken where it is used more than the pairs on either side, the most used first; of neighbours
+            # used alike, such as a run of one id, every second one is.
+            start = np.flatnonzero(np.concatenate([[True], uses[1:] != uses[:-1]]))
+            level = np.concatenate([[0], uses[start], [0]])
+            peak = (level[1:-1] > level[:-2]) & (level[1:-1] > level[2:]) & (level[1:-1] >= least)
+            size = np.diff(np.concatenate([start, [len(uses)]]))[peak]
+            half = (size + 1) // 2
+            at = np.repeat(start[peak], half) + 2 * (np.arange(half.sum()) - np.repeat(np.cumsum(half) - half, half))
             # One pair of each bucket stands for it in this round; another one there waits for the next.
             of, here = bucket[at], code[at]
             stands = np.zeros(1 << BUCKET_BITS, np.uint64)
