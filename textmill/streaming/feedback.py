@@ -70,3 +70,35 @@ def interval(spark, d):
 @query("stream_upsert", "SELECT user_id, max(event_id) AS last FROM events GROUP BY user_id")
 def upsert(spark, d):
     return drained(stream(spark, d).groupBy("user_id").agg(F.max("event_id").alias("last")), "complete")
+
+
+@query("stream_late_data", "SELECT strftime(ts::DATE, '%Y-%m-%d') AS day, count(*) AS n FROM events WHERE ts >= TIMESTAMP '2024-01-15' GROUP BY 1")
+def late_data(spark, d):
+    """Three files in three batches: the last holds only rows older than the watermark that the first has set; they go.
+
+    A batch drops rows by the watermark of the batch before the last one, hence the file between."""
+    ev = table(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    path, schema = f"{shared_base(spark)}/{uuid.uuid4().hex}", "event_id long, ts timestamp"
+    for part in ("ts >= '2024-01-15' and ts < '2024-01-29'", "ts >= '2024-01-29'", "ts < '2024-01-14'"):
+        ev.filter(part).coalesce(1).write.mode("append").parquet(path)
+    s = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", "1 hour")
+    g = s.groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
+    return drained(g, "update").groupBy(F.date_format("window.start", "yyyy-MM-dd").alias("day")).agg(F.max("n").alias("n"))
+
+
+@query("stream_dislike_alarm", "SELECT user_id, count(*) AS n, count(*) FILTER (event_type = 'error') AS errors FROM events GROUP BY user_id HAVING count(*) FILTER (event_type = 'error') * 4 > count(*)")
+def dislike_alarm(spark, d):
+    """Per user, the state holds how many events and dislikes there were; users over a quarter raise the alarm."""
+    import pandas as pd
+
+    def step(key, frames, state):
+        n, errors = state.get if state.exists else (0, 0)
+        for f in frames:
+            n, errors = n + len(f), errors + int((f.event_type == "error").sum())
+        state.update((n, errors))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "errors": [errors]})
+
+    schema = "user_id long, n long, errors long"
+    s = stream(spark, d).select("user_id", "event_type").groupBy("user_id").applyInPandasWithState(step, schema, "n long, errors long", "update", "NoTimeout")
+    last = drained(s, "update").groupBy("user_id").agg(F.max(F.struct("n", "errors")).alias("x"))
+    return last.select("user_id", F.col("x.n").alias("n"), F.col("x.errors").alias("errors")).filter(F.col("errors") * 4 > F.col("n"))
