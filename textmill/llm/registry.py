@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from . import oracles
 from .chat_format import op9_chat_format
 from .decontaminate import op5_decontaminate
 from .mixing import op1_mixing
@@ -29,4 +30,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op9_chat_format": op9_chat_format,
     "op10_substring_dedup": op10_substring_dedup,
 }
-ORACLE: dict[str, str] = {}
+ORACLE: dict[str, str] = {"op3_suffix_dedup": oracles.REPEATS, "op9_chat_format": oracles.CHAT, "op10_substring_dedup": oracles.PASSAGES}

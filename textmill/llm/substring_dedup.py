@@ -202,4 +202,4 @@ def remove_passages(docs: DataFrame, length: int = 35, digest: bool = False, con
 
 
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return remove_passages(common.table(spark, sf_dir, "documents"), 35, digest=True)
+    return remove_passages(common.table(spark, sf_dir, "documents"), 35, digest=True).select("doc_id", "n_words", "n_removed", "kept_sha256")
