@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 
@@ -104,14 +105,24 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS[0], _POWERS[1]
 
 
-def pieces(batches, rows: int = 1024):
-    """Slices of Arrow batches, so that what is made of a batch stays small; freed memory goes back after each batch."""
+def trim() -> None:
+    """Gives freed memory of a worker process back to the machine; idle workers stay alive between tasks."""
     import pyarrow as pa
 
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        return
+
+
+def pieces(batches, rows: int = 1024):
+    """Slices of Arrow batches, so that what is made of a batch stays small; freed memory goes back after each batch."""
     for batch in batches:
         for at in range(0, max(batch.num_rows, 1), rows):
             yield batch.slice(at, rows)
-        pa.default_memory_pool().release_unused()
+        del batch
+        trim()
 
 
 def word_spans(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

@@ -19,7 +19,7 @@ _BREAK = 198  # the id of a line break; its text never joins another piece
 _SPACE = re.compile(r"[^\S \n]")
 _SUSPECT = np.zeros(256, bool)
 _SUSPECT[[9, 11, 12, 13, 28, 29, 30, 31, 0xC2, 0xE1, 0xE2, 0xE3]] = True  # first bytes of white space but blank and line break
-_SLOTS, _MOST = 1 << 22, 2_500_000
+_SLOTS, _MOST = 1 << 21, 1_400_000
 
 
 def _odd(data: bytes, b: np.ndarray) -> bool:
@@ -259,21 +259,20 @@ def _written(path: str, shard_ids: int):
             row = (shard, part, list(doc_ids), [len(x) for x in ids], len(flat), base, _packed(g.rules), _packed(g.lengths), _packed(g.sequence))
             return pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip(row, _FILE)], schema=_FILE)
 
-        for batch in batches:
+        for piece in common.pieces(batches, 256):
             encoder = encoder or _encoder(path)
-            shard_of = batch.column("shard").to_pylist()
-            for at in range(0, batch.num_rows, 512):
-                piece = batch.slice(at, 512)
-                for k, (doc_id, e) in enumerate(zip(piece.column("doc_id").to_pylist(), encoder.batch([t.as_buffer().to_pybytes() for t in piece.column("text")]))):
-                    shard = shard_of[at + k]
-                    doc_ids.append(doc_id)
-                    ids.append(np.append(e, np.uint32(END)))
-                    total += len(e) + 1
-                    if total >= shard_ids:
-                        yield out()
-                        doc_ids, ids, total, part = [], [], 0, part + 1
+            texts = encoder.batch([t.as_buffer().to_pybytes() for t in piece.column("text")])
+            for doc_id, number, e in zip(piece.column("doc_id").to_pylist(), piece.column("shard").to_pylist(), texts):
+                shard = number
+                doc_ids.append(doc_id)
+                ids.append(np.append(e, np.uint32(END)))
+                total += len(e) + 1
+                if total >= shard_ids:
+                    yield out()
+                    doc_ids, ids, total, part = [], [], 0, part + 1
         if ids:
             yield out()
+        common.trim()
 
     return run
 
@@ -305,7 +304,7 @@ def grammar_of(row) -> Grammar:
 
 
 def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in common.pieces(batches, 1):
         for row in batch.to_pylist():
             flat = grammar_of(row).decode().astype("<u4")
             ends = np.cumsum(row["n_tokens"])
