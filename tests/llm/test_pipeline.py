@@ -1,5 +1,7 @@
 """The pipeline's stages on the given tables."""
 
+import random
+
 import corpus_pipeline
 from textmill.llm import simhash
 
@@ -28,6 +30,25 @@ def test_near_dedup_equals_brute_force(spark, sf):
     assert kept == {i for i, c in comp.items() if i == c}
 
 
+def test_near_dedup_with_repeats_and_long_texts(spark):
+    """Copies that repeat a passage have the same shingles; long texts just above and below the similarity are told apart."""
+    rng = random.Random(7)
+    word = lambda: f"w{rng.randint(0, 10**9)}"
+    texts, kept = [], []
+    for _ in range(30):
+        w = [word() for _ in range(100)]
+        kept.append(len(texts))
+        texts += [" ".join(w), " ".join(w + w[10:25] * 12)]
+    for new in (325, 331, 334, 340) * 4:
+        w = [word() for _ in range(3000)]
+        other = w[:1000] + [word() for _ in range(new - 4)] + w[1000 + new - 4 :]
+        a, b = ({tuple(x[k : k + 5]) for k in range(len(x) - 4)} for x in (w, other))
+        kept += [len(texts)] + [len(texts) + 1] * (len(a & b) < 0.8 * len(a | b))
+        texts += [" ".join(w), " ".join(other)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert sorted(r.doc_id for r in simhash.keep_one(docs).select("doc_id").collect()) == kept
+
+
 def test_run(spark, sf):
     out = corpus_pipeline.run(spark, sf)
     assert out.columns == ["doc_id", "start", "n_tokens", "ids_crc32"]

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import combinations
+from itertools import combinations, islice
 
 import numpy as np
 import pyarrow as pa
@@ -190,23 +190,28 @@ def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 #: Similarity of near-duplicate documents over shingles of so many words; bits within which the trees are searched;
 #: minima of which each two make a shard's key; bins of the signature that leaves out the dissimilar, which it may
-#: underrate by MARGIN; least shingle hashes that then measure similarity (exact for texts with no more).
-SIMILARITY, WIDTH, RADIUS, MINIMA, BINS, MARGIN, LEAST = 0.8, 5, 18, 6, 128, 0.16, 1024
+#: underrate by MARGIN; least shingle hashes that then measure similarity (exact for texts with fewer); how far such an
+#: estimate of longer texts may lie from the similarity (over five standard deviations), within which all hashes decide.
+SIMILARITY, WIDTH, RADIUS, MINIMA, BINS, MARGIN, LEAST, DOUBT = 0.8, 5, 18, 6, 128, 0.16, 1024, 0.07
 _FACTORS = np.random.default_rng(5).integers(1, 2**63, MINIMA, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
-def _sketch(data: bytes, width: int) -> tuple[int, bytes, list[int]]:
-    """SimHash of a text's shingles, a byte of the least hash in each bin (0: none) with the least hashes behind, and
-    the keys of its shards."""
+def _shingles(data: bytes, width: int) -> np.ndarray:
+    """Hashes of a text's distinct shingles, in order."""
     w = common.Words(data.lower())
     n = len(w.hashes)
     at = np.arange(max(n - width + 1, 1))
-    h = w.name(at, np.minimum(at + width, n))
+    return np.unique(w.name(at, np.minimum(at + width, n)))
+
+
+def _sketch(data: bytes, width: int) -> tuple[int, bytes, list[int]]:
+    """SimHash of a text's distinct shingles, a byte of the least hash in each bin (0: none) with the least hashes
+    behind, and the keys of its shards."""
+    s = _shingles(data, width)
     ones = np.zeros(BITS, np.int64)
-    for i in range(0, len(h), 1 << 15):
-        ones += np.unpackbits(h[i : i + (1 << 15)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    bits = int(np.packbits(ones * 2 > len(h), bitorder="little").view(np.int64)[0])
-    s = np.unique(h)
+    for i in range(0, len(s), 1 << 15):
+        ones += np.unpackbits(s[i : i + (1 << 15)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    bits = int(np.packbits(ones * 2 > len(s), bitorder="little").view(np.int64)[0])
     bins = (s >> np.uint64(57)).astype(np.int64)
     first = np.flatnonzero(np.concatenate([[True], bins[1:] != bins[:-1]]))
     signature = np.zeros(BINS, np.uint8)
@@ -238,75 +243,141 @@ def _similar(signature: np.ndarray, others: np.ndarray) -> np.ndarray:
 
 
 def similarity_of(a: np.ndarray, b: np.ndarray) -> float:
-    """Jaccard similarity by the least hashes (ordered) of two sets: of the LEAST least of both, those in both."""
+    """Jaccard similarity of two sets of hashes."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both / (len(a) + len(b) - both)
+
+
+def alike(a: np.ndarray, b: np.ndarray, similarity: float) -> bool | None:
+    """Whether two texts are similar, by their least hashes (ordered): of the LEAST least of both, those in both. None
+    where texts have more hashes and the estimate is too near to the similarity to decide."""
+    if len(a) < LEAST and len(b) < LEAST:
+        return similarity_of(a, b) >= similarity
     both = np.union1d(a, b)[:LEAST]
-    return float((np.isin(both, a, assume_unique=True) & np.isin(both, b, assume_unique=True)).mean())
+    estimate = float((np.isin(both, a, assume_unique=True) & np.isin(both, b, assume_unique=True)).mean())
+    return None if abs(estimate - similarity) <= DOUBT else estimate >= similarity
 
 
-def _alike(prints: list[int], nodes: np.ndarray, signatures: np.ndarray, least: list[np.ndarray], radius: int, similarity: float) -> list[tuple[int, int]]:
-    """Edges to the least node of each group that similar texts of a shard form; near ones come from a BK-tree."""
-    parent = list(range(len(prints)))
+class _Group:
+    """Nodes of a shard, joined in groups that go by their least node."""
+
+    def __init__(self, n: int):
+        self.of, self.members = np.arange(n), {i: [i] for i in range(n)}
+
+    def join(self, i: int, j: int) -> None:
+        a, b = sorted((int(self.of[i]), int(self.of[j])))
+        if a != b:
+            self.of[self.members[b]] = a
+            self.members[a] += self.members.pop(b)
 
-    def root(x: int) -> int:
-        while parent[x] != x:
-            parent[x] = parent[parent[x]]
-            x = parent[x]
-        return x
 
+def _alike(prints: list[int], nodes: np.ndarray, signatures: np.ndarray, least: list[np.ndarray], radius: int, similarity: float) -> tuple[list[tuple[int, int]], list[int]]:
+    """Edges to the least node of each group that similar texts of a shard form, and the nodes of pairs left undecided.
+
+    The texts within the radius come first, from a BK-tree; what is then not in one group with a text is compared with
+    it by signature, whatever its SimHash.
+    """
+    groups, doubt = _Group(len(prints)), np.zeros(len(prints), bool)
     tree, of_print = BKTree(prints[0]), {prints[0]: [0]}
+
+    def compare(i: int, near: np.ndarray) -> None:
+        for at in range(0, len(near), 64):
+            part = near[at : at + 64]
+            part = part[groups.of[part] != groups.of[i]]
+            for j in part[_similar(signatures[i], signatures[part]) >= similarity - MARGIN].tolist():
+                if groups.of[i] != groups.of[j]:
+                    same = alike(least[i], least[j], similarity)
+                    if same:
+                        groups.join(i, j)
+                    elif same is None:
+                        doubt[[i, j]] = True
+
     for i in range(1, len(prints)):
-        me = root(i)
-        near = [j for p in tree.within(prints[i], radius) for j in of_print[p] if root(j) != me]
-        while near:
-            part, near = near[:64], near[64:]
-            for j in np.array(part)[_similar(signatures[i], signatures[part]) >= similarity - MARGIN].tolist():
-                a, b = root(i), root(j)
-                if a != b and similarity_of(least[i], least[j]) >= similarity:
-                    parent[max(a, b)] = min(a, b)
-            near = [j for j in near if root(j) != root(i)]
+        near = np.array([j for p in tree.within(prints[i], radius) for j in of_print[p]], np.int64)
+        compare(i, near)
+        far = groups.of[:i] != groups.of[i]
+        far[near] = False
+        compare(i, np.flatnonzero(far))
         if prints[i] not in of_print:
             tree.add(prints[i])
         of_print.setdefault(prints[i], []).append(i)
-    return [(int(nodes[i]), int(nodes[r])) for i in range(len(prints)) if (r := root(i)) != i]
+    return [(int(nodes[i]), int(nodes[r])) for i, r in enumerate(groups.of.tolist()) if r != i], [int(nodes[i]) for i in np.flatnonzero(doubt)]
+
+
+def _by_key(batches: Iterator[pa.RecordBatch], columns: tuple[str, ...]) -> Iterator[list[tuple]]:
+    """Rows of each key in turn; rows come ordered by key, the first of the columns."""
+    rows: list[tuple] = []
+    for batch in batches:
+        for row in zip(*(batch.column(c).to_pylist() for c in columns)):
+            if rows and rows[0][0] != row[0]:
+                yield rows
+                rows = []
+            rows.append(row)
+        del batch
+        common.trim()
+    if rows:
+        yield rows
+
+
+def _edges(found: Iterator[tuple[int | None, int, int | None]]) -> Iterator[pa.RecordBatch]:
+    """Batches of (key, a, b)."""
+    while part := list(islice(found, 1 << 13)):
+        yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*part)], names=["key", "a", "b"])
 
 
 def _alike_shards(radius: int, similarity: float):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def edges(rows: list[tuple]) -> pa.RecordBatch:
-            out, at = [], 0
-            while at < len(rows):
-                end = at + 1
-                while end < len(rows) and rows[end][0] == rows[at][0]:
-                    end += 1
-                if end - at > 1:
-                    part = rows[at:end]
-                    out += _alike([r[2] & (2**64 - 1) for r in part], np.array([r[1] for r in part]), np.array([np.frombuffer(r[3], np.uint8, BINS) for r in part]), [np.frombuffer(r[3], "<u4", offset=BINS) for r in part], radius, similarity)
-                at = end
-            pairs = np.array(out, np.int64).reshape(-1, 2)
-            return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
+    """(null, a, b) for each edge; (key, a, null) for each node of an undecided pair of a shard."""
+
+    def found(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int | None, int, int | None]]:
+        for part in _by_key(batches, ("key", "t", "print", "signature")):
+            if len(part) > 1:
+                signatures = np.array([np.frombuffer(r[3], np.uint8, BINS) for r in part])
+                pairs, open_ = _alike([r[2] & (2**64 - 1) for r in part], np.array([r[1] for r in part]), signatures, [np.frombuffer(r[3], "<u4", offset=BINS) for r in part], radius, similarity)
+                yield from ((None, a, b) for a, b in pairs)
+                yield from ((part[0][0], t, None) for t in open_)
+
+    return lambda batches: _edges(found(batches))
 
-        rows: list[tuple] = []
-        for batch in batches:
-            rows += zip(*(batch.column(c).to_pylist() for c in ("key", "t", "print", "signature")))
-            done = next((i for i in range(len(rows) - 1, -1, -1) if rows[i][0] != rows[-1][0]), -1) + 1  # the last key may go on
-            if done > 0:
-                yield edges(rows[:done])
-                rows = rows[done:]
-        if rows:
-            yield edges(rows)
+
+def _all_hashes(width: int):
+    """t and all shingle hashes of the texts whose digest is t."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in common.pieces(batches, 64):
+            texts = [(t, x.as_buffer().to_pybytes()) for t, x in zip(batch.column("t").to_pylist(), batch.column("text"))]
+            with np.errstate(over="ignore"):
+                rows = [(t, _shingles(x, width).tobytes()) for t, x in texts if xxhash.xxh3_64_intdigest(x) - 2**63 == t]
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary())], names=["t", "hashes"])
 
     return run
 
 
+def _exact_shards(similarity: float):
+    """(key, a, b) for each edge between similar texts of a shard, by all their hashes."""
+
+    def found(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int | None, int, int | None]]:
+        for part in _by_key(batches, ("key", "t", "hashes")):
+            groups, sets = _Group(len(part)), [np.frombuffer(r[2], np.uint64) for r in part]
+            for i in range(len(part)):
+                for j in range(i):
+                    if groups.of[i] != groups.of[j] and min(len(sets[i]), len(sets[j])) / max(len(sets[i]), len(sets[j])) >= similarity and similarity_of(sets[i], sets[j]) >= similarity:
+                        groups.join(i, j)
+            yield from ((part[0][0], part[i][1], part[r][1]) for i, r in enumerate(groups.of.tolist()) if r != i)
+
+    return lambda batches: _edges(found(batches))
+
+
 def keep_one(docs: DataFrame, similarity: float = SIMILARITY, radius: int = RADIUS, width: int = WIDTH) -> DataFrame:
     """The rows of docs, all columns, one of each group of equal or similar texts: the one with the least doc_id.
 
     Texts are similar if the Jaccard similarity of their sets of `width`-word shingles (lower-cased in
-    ASCII) reaches `similarity` (measured on the 1,024 least hashes of both); groups are closed under steps. Equal texts are folded first. A text is sent to the
+    ASCII) reaches `similarity`; groups are closed under steps. Equal texts are folded first. A text is sent to the
     shards of each two of its six least shingle hashes that another text shares (of two texts at 0.8, all but two in
     a thousand meet); there a BK-tree of SimHashes gives the texts within `radius` bits, whose similarity is
-    then measured. Columns used: doc_id, text. Null and empty texts are alike; a null doc_id comes before others; of
-    repeated rows one stays; an empty table stays empty.
+    then measured, and then that of the others whose signature is near. Where texts have more than the 1,024 least
+    hashes that a shard gets and their estimate is in doubt, all hashes are made of the texts again and decide.
+    Columns used: doc_id, text. Null and empty texts are alike; a null doc_id comes before others; of repeated rows one
+    stays; an empty table stays empty.
     """
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62)))
     text = F.coalesce("text", F.lit(""))
@@ -317,7 +388,14 @@ def keep_one(docs: DataFrame, similarity: float = SIMILARITY, radius: int = RADI
     meet = common.dealt_join(keys, shared, "key")
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     sharded = meet.join(texts.select("t", "print", "signature"), "t").select("key", "t", "print", "signature").repartition(n, "key").sortWithinPartitions("key", "t")
-    comp = components(sharded.mapInArrow(_alike_shards(radius, similarity), "a long, b long"))
+    found = common.stored(sharded.mapInArrow(_alike_shards(radius, similarity), "key long, a long, b long"))
+    doubt = found.filter("b is null").select("key", F.col("a").alias("t"))
+    wanted = common.stored(texts.join(doubt.select("t").distinct(), "t", "left_semi").select("t", F.col("k1").alias("k1_")))
+    again = docs.select(key.alias("k1"), text.alias("text")).join(wanted, F.col("k1") == F.col("k1_")).select("t", "text")
+    hashes = again.mapInArrow(_all_hashes(width), "t long, hashes binary").groupBy("t").agg(F.first("hashes").alias("hashes"))
+    exact = doubt.join(hashes, "t").select("key", "t", "hashes").repartition(n, "key").sortWithinPartitions("key", "t")
+    decided = exact.mapInArrow(_exact_shards(similarity), "key long, a long, b long")
+    comp = components(found.filter("b is not null").union(decided).select("a", "b"))
     rooted = texts.select("t", "k1").join(comp, F.col("t") == F.col("node"), "left").select("t", "k1", F.coalesce("root", "t").alias("root"))
     kept = rooted.groupBy("root").agg(F.min(F.struct("k1", "t")).alias("m")).select(F.col("m.k1").alias("k1_"), F.col("m.t").alias("t_"))
     digest = docs.mapInArrow(_with_digest, _with_fields(docs))
