@@ -310,3 +310,14 @@ def test_reply_tree_branches(spark):
     assert [[t.text for t in r.turns] for r in got] == [["q", "good", "more"], ["orphan"], ["q", "bad"]]
     chain = spark.range(1, 400).select(F.lit(1).alias("conv_id"), F.col("id").alias("node"), (F.col("id") - 1).alias("parent"), F.lit("user").alias("role"), F.col("id").cast("string").alias("text"), F.lit(0.0).alias("score"))
     assert chat_format.parsed(chat_format.format_trees(chain)).select(F.size("turns")).first()[0] == 399
+
+
+def test_encoder_with_a_word_of_many_ids():
+    rng = random.Random(4)
+    long = "".join(rng.choice("0123456789abcdef") for _ in range(250_000))
+    texts = ["a few words", long, f"before {long[::-1]} behind", "a few more words"]
+    encoder = token_output.Encoder(token_output.tokenizer_path())
+    want = [e.ids for e in encoder.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    assert len(want[1]) > 100_000
+    for _ in range(2):
+        assert [x.tolist() for x in encoder.batch([t.encode() for t in texts])] == want

@@ -20,11 +20,15 @@ _SPACE = re.compile(r"[^\S \n]")
 _SUSPECT = np.zeros(256, bool)
 _SUSPECT[[9, 11, 12, 13, 28, 29, 30, 31, 0xC2, 0xE1, 0xE2, 0xE3]] = True  # first bytes of white space but blank and line break
 _SLOTS, _MOST = 1 << 21, 1_400_000
+_LONG = 4096  # bytes of the longest word that is kept; it has no more ids than bytes, so the table's counts hold them
 
 
 def _odd(data: bytes, b: np.ndarray) -> bool:
-    """Whether a text has pieces that may reach over a word's end, or special tokens, or ends in white space."""
+    """Whether a text has pieces that may reach over a word's end, or special tokens, or ends in white space, or a word
+    too long for the table."""
     part = (b == 32) | (b == 10)
+    if len(b) > _LONG and np.diff(np.flatnonzero(part), prepend=0, append=len(b)).max() > _LONG:
+        return True
     return bool(part[0] or part[-1] or (part[1:] & part[:-1]).any() or b"<|" in data or (_SUSPECT[b].any() and _SPACE.search(data.decode())))
 
 
@@ -33,7 +37,7 @@ class Encoder:
 
     The file's pattern never joins characters across one blank or one line break between words, so words (with the
     blank before them) are encoded apart, and known ones are looked up by hash, all words of a batch at a time. Texts
-    with other white space or special tokens go to the tokenizer whole. A full table takes no more words.
+    with other white space, special tokens or very long words go to the tokenizer whole. A full table takes no more words.
     """
 
     def __init__(self, path: str):
