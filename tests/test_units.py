@@ -123,3 +123,28 @@ def test_dedup_is_idempotent(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     once = dedup.exact(docs, dedup.normal(F.col("text")))
     assert dedup.exact(once, dedup.normal(F.col("text"))).count() == once.count()
+
+
+def test_linked_goes_on_where_stars_fail(spark):
+    """Buckets of chains: only the neighbours of a chain are alike, and a star links none or few of them."""
+    chain = [(i, 0, "a") for i in (1, 2, 3)] + [(i, 0, "b") for i in range(10, 30)] + [(i, 1, "b") for i in range(10, 30, 2)] + [(40, 0, "c"), (41, 0, "c")]
+    bk = spark.createDataFrame(chain, "doc_id long, band int, key string")
+    texts = spark.range(50).select(F.col("id").alias("doc_id"))
+    like = lambda pairs, some: pairs.filter("dst - src = 1 and src < 39")
+    got = {r.id: r.comp for r in dedup._linked(bk, like, texts).collect()}
+    assert got == {1: 1, 2: 1, 3: 1} | dict.fromkeys(range(10, 30), 10)
+
+
+def test_fuzzy_keeps_one_of_drifting_copies(spark):
+    """Of three texts the middle one is like both others, which are not like each other."""
+    rng = random.Random(11)
+    for seed in range(40):
+        w = [f"w{rng.randint(0, 10**6)}" for _ in range(207)]
+        a, b, c = (" ".join([f"x{seed}y{i}" for i in range(k)] + w[k:]) for k in (12, 0, 0))
+        c = " ".join(w[:-12] + [f"z{seed}y{i}" for i in range(12)])
+        docs = spark.createDataFrame([(1, a), (2, b), (3, c)], "doc_id long, text string").coalesce(1)
+        keys = {r.doc_id: set(r.k) for r in dedup.band_keys(dedup.minhash_signatures(docs)).groupBy("doc_id").agg(F.collect_list(F.concat_ws("-", "band", "key")).alias("k")).collect()}
+        if keys[1] & keys[2] & keys[3] and not (keys[2] & keys[3]) - keys[1]:
+            assert dedup.fuzzy(docs).select("doc_id", "cluster_size").collect() == [(1, 3)]
+            return
+    raise AssertionError("no seed puts the three in one bucket")
