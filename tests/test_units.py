@@ -148,3 +148,12 @@ def test_fuzzy_keeps_one_of_drifting_copies(spark):
             assert dedup.fuzzy(docs).select("doc_id", "cluster_size").collect() == [(1, 3)]
             return
     raise AssertionError("no seed puts the three in one bucket")
+
+
+def test_toxic_classifier_scores_all(spark, sf):
+    from textmill import registry
+
+    rows = {r.doc_id: r for r in registry.QUERIES["toxic_classifier"](spark, sf).collect()}
+    assert set(rows) == {r.doc_id for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id").collect()}
+    labels = {r.doc_id: r.toxic for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    assert all(0 <= r.score <= 1 and r.toxic == labels.get(i) for i, r in rows.items())

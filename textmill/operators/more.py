@@ -113,16 +113,18 @@ def lc_win_rate(spark, d):
 
 @query("toxic_classifier")
 def toxic_classifier(spark, d):
-    """Hashed word counts and a logistic head on labelled documents with an even hash; scores of the rest."""
+    """Hashed word counts and a logistic head on labelled documents with an even hash; scores of all documents, beside
+    the label where there is one."""
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.feature import HashingTF
     from pyspark.ml.functions import vector_to_array
 
-    rows = table(spark, d, "documents").select("doc_id", words("text").alias("w")).join(table(spark, d, "labels").select("doc_id", F.col("toxic").cast("double").alias("label")), "doc_id")
+    w = words(F.coalesce("text", F.lit(""))).alias("w")
+    rows = table(spark, d, "documents").select("doc_id", w).join(table(spark, d, "labels").select("doc_id", F.col("toxic").cast("double").alias("label")), "doc_id", "left")
     x = HashingTF(inputCol="w", outputCol="features", numFeatures=1 << 14).transform(rows)
     even = h28(F.col("doc_id").cast("string")) % 2 == 0
-    m = LogisticRegression(maxIter=15, regParam=0.05).fit(x.filter(even))
-    return m.transform(x.filter(~even)).select("doc_id", F.round(vector_to_array("probability")[1], 4).alias("score"), F.col("label").cast("int").alias("toxic"))
+    m = LogisticRegression(maxIter=15, regParam=0.05).fit(x.filter(even & F.col("label").isNotNull()))
+    return m.transform(x).select("doc_id", F.round(vector_to_array("probability")[1], 4).alias("score"), F.col("label").cast("int").alias("toxic"))
 
 
 @query("name_hits", f"WITH f AS (SELECT list(word) AS top FROM (SELECT word FROM (SELECT unnest({SQL_WORDS}) AS word FROM documents) GROUP BY word ORDER BY count(*) DESC, word LIMIT 100)) SELECT conv_id, turn, len(list_intersect({SQL_WORDS}, top))::INT AS hits FROM conversations, f WHERE role = 'user'")
