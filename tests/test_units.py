@@ -6,7 +6,7 @@ from collections import Counter
 from pyspark.sql import functions as F
 
 from textmill.functions.text import ARABIC, normalize_script
-from textmill.operators import dedup, evaluation, mixture, quality, tokenizer
+from textmill.operators import dedup, evaluation, mixture, more, quality, retrieval, tokenizer
 from textmill.plans.components import connected_components
 from textmill.plans.prefixsum import prefix_sum
 
@@ -157,3 +157,23 @@ def test_toxic_classifier_scores_all(spark, sf):
     assert set(rows) == {r.doc_id for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id").collect()}
     labels = {r.doc_id: r.toxic for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
     assert all(0 <= r.score <= 1 and r.toxic == labels.get(i) for i, r in rows.items())
+
+
+def test_closeness_reads_whole_texts(spark):
+    head, tail = "plain words of one kind " * 100, "zqx jvk " * 400
+    texts = [("en", head), ("fr", head + tail), ("fr", "aB" + tail), ("de", "été \U0001f600" + head)]
+    docs = spark.createDataFrame([(i, lang, t) for i, (lang, t) in enumerate(texts)], "doc_id long, lang string, text string")
+    grams = [Counter(t.lower()[k : k + 3] for k in range(len(t) - 2)) for _, t in texts]
+    got = {r.doc_id: r.s for r in more.closeness(docs).collect()}
+    for i, g in enumerate(grams):
+        assert abs(got[i] - sum(c * grams[0][x] for x, c in g.items()) / sum(c * c for c in g.values()) ** 0.5) < 1e-5
+
+
+def test_rag_prompt_holds_whole_texts(spark, sf):
+    from textmill import registry
+
+    texts = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()}
+    fit = [(r.qid, r.cid) for r in retrieval.context_fit(spark, sf).collect()]
+    prompts = {r.qid: r.prompt for r in registry.QUERIES["rag_prompt"](spark, sf).collect()}
+    assert any(len(texts[c]) > 200 for _, c in fit)
+    assert all(f"[{c}] {texts[c]}" in prompts[q] for q, c in fit)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -160,8 +161,8 @@ def mismatch(spark, d):
 
 @query("rag_prompt")
 def rag_prompt(spark, d):
-    """Prompt of a query with its best documents that fit the window."""
-    fit = retrieval.context_fit(spark, d).join(table(spark, d, "documents").select(F.col("doc_id").alias("cid"), F.substring("text", 1, 200).alias("t")), "cid")
+    """Prompt of a query with the whole texts of its best documents that fit the window."""
+    fit = retrieval.context_fit(spark, d).join(table(spark, d, "documents").select(F.col("doc_id").alias("cid"), F.col("text").alias("t")), "cid")
     return fit.groupBy("qid").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("cid", "t"))), lambda x: F.concat(F.lit("["), x["cid"].cast("string"), F.lit("] "), x["t"])), "\n").alias("prompt"))
 
 
@@ -176,13 +177,49 @@ def mt_average(spark, d):
     return evaluation._bleu(spark, d).agg(F.round(F.avg("bleu"), 3).alias("mean"), F.max("bleu").alias("best"))
 
 
+def _trigrams(text: str) -> tuple[np.ndarray, np.ndarray]:
+    """Codes of a text's letter trigrams, in order, and how often it has each."""
+    x = np.frombuffer(text.encode("utf-32-le"), "<u4").astype(np.int64)
+    return np.unique(x[:-2] << 42 | x[1:-1] << 21 | x[2:], return_counts=True)
+
+
+def _trigram_sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        for at in range(0, b.num_rows, 256):
+            parts = [_trigrams(t) for t in b.column("t").slice(at, 256).to_pylist()]
+            g, of = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
+            c = np.zeros(len(g), np.int64)
+            np.add.at(c, of, np.concatenate([p[1] for p in parts]))
+            yield pa.RecordBatch.from_arrays([pa.array(g), pa.array(c)], names=["g", "c"])
+
+
+def closeness(docs: DataFrame) -> DataFrame:
+    """doc_id, s: cosine, up to a factor, of the letter trigrams of a whole text to those of all English texts. Texts are
+    counted in Arrow batches; the reference goes to the workers, a number for each trigram that the language has."""
+    t = docs.select("doc_id", "lang", F.lower("text").alias("t")).filter("length(t) >= 3")
+    ref = t.filter("lang = 'en'").select("t").mapInArrow(_trigram_sums, "g long, c long").groupBy("g").agg(F.sum("c").alias("r")).toArrow().sort_by("g")
+    sent = docs.sparkSession.sparkContext.broadcast((ref["g"].to_numpy(), ref["r"].to_numpy()))
+
+    def products(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names, weights = sent.value
+        for b in batches:
+            dot, square = [], []
+            for x in b.column("t"):
+                g, c = _trigrams(x.as_py())
+                at = np.searchsorted(names, g)
+                known = at < len(names)
+                known[known] = names[at[known]] == g[known]
+                dot.append(int((c[known] * weights[at[known]]).sum()))
+                square.append(int((c * c).sum()))
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(dot, pa.int64()), pa.array(square, pa.int64())], names=["doc_id", "dot", "square"])
+
+    return t.select("doc_id", "t").mapInArrow(products, "doc_id long, dot long, square long").select("doc_id", F.round(F.col("dot") / F.sqrt("square"), 6).alias("s"))
+
+
 @query("proximity_batches")
 def proximity(spark, d):
     """Documents in five batches by the cosine of their letter trigrams to those of the reference language."""
-    t = table(spark, d, "documents").select("doc_id", "lang", F.lower(F.substring("text", 1, 2000)).alias("t")).filter("length(t) >= 3")
-    g = t.select("doc_id", "lang", F.explode(F.sequence(F.lit(1), F.length("t") - 2)).alias("i"), "t").groupBy("doc_id", "lang", F.expr("substr(t, i, 3)").alias("g")).agg(F.count("*").alias("c"))
-    ref = g.filter("lang = 'en'").groupBy("g").agg(F.sum("c").alias("r"))
-    cos = g.join(ref, "g", "left").groupBy("doc_id").agg(F.round(F.sum(F.col("c") * F.coalesce("r", F.lit(0))) / F.sqrt(F.sum(F.col("c") * F.col("c"))), 6).alias("s"))
+    cos = dedup.reliable(closeness(table(spark, d, "documents")))
     cut = cos.agg(F.percentile_approx("s", [0.8, 0.6, 0.4, 0.2], 10000).alias("q"))
     return cos.crossJoin(F.broadcast(cut)).select("doc_id", (1 + F.size(F.filter("q", lambda x: F.col("s") < x))).alias("batch"))
 
