@@ -63,8 +63,11 @@ def test_suffix_dedup_brute(spark):
     texts = corpus()
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     got = {r.doc_id: r for r in suffix_dedup.remove_repeats(docs, 120).collect()}
-    for i, gone in enumerate(brute([t.encode() for t in texts], 120)):
+    units = [t.encode() for t in texts]
+    for i, (gone, short, long) in enumerate(zip(brute(units, 120), brute(units, 36), brute(units, 48 + 7 + 36))):
         assert bytes(got[i].kept) == bytes(b for b, g in zip(texts[i].encode(), gone) if not g)
+        assert max(sum(gone), 36 * any(long)) <= got[i].n_shared <= sum(s or g for s, g in zip(short, gone))
+    assert any(r.n_shared > r.n_removed == 0 for r in got.values())
 
 
 @pytest.mark.parametrize("contexts", [1, 64])

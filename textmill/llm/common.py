@@ -35,7 +35,16 @@ def stored(df: DataFrame, *partition_by: str) -> DataFrame:
     """The rows of df as a table in the shared folder: lineage ends here and a lost executor costs only a reread."""
     path = shared_dir(df.sparkSession)
     df.write.partitionBy(*partition_by).parquet(path) if partition_by else df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.stored_at = path
+    return out
+
+
+def dropped(df: DataFrame) -> None:
+    """Removes the files of a stored() table that nothing reads any more."""
+    context = df.sparkSession.sparkContext
+    path = context._jvm.org.apache.hadoop.fs.Path(df.stored_at)
+    path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def keyed(docs: DataFrame) -> DataFrame:
@@ -116,11 +125,24 @@ def trim() -> None:
         return
 
 
-def pieces(batches, rows: int = 1024):
-    """Slices of Arrow batches, so that what is made of a batch stays small; freed memory goes back after each batch."""
+def pieces(batches, rows: int = 1024, size: int = 1 << 22):
+    """Slices of Arrow batches of at most `rows` rows and about `size` bytes of text (one row at least), so that what is
+    made of a batch stays small; freed memory goes back after each batch."""
+    import pyarrow.compute as pc
+
     for batch in batches:
-        for at in range(0, max(batch.num_rows, 1), rows):
-            yield batch.slice(at, rows)
+        upto = None
+        if "text" in batch.schema.names:
+            upto = np.cumsum(pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+        at = 0
+        while True:
+            end = at + rows
+            if upto is not None and at < len(upto):
+                end = min(end, max(int(np.searchsorted(upto, (upto[at - 1] if at else 0) + size)), at + 1))
+            yield batch.slice(at, end - at)
+            at = end
+            if at >= batch.num_rows:
+                break
         del batch
         trim()
 
