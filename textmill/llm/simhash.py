@@ -121,20 +121,48 @@ def _shard(radius: int):
     return run
 
 
-def links(prints: DataFrame, radius: int = 3, parts: int = 5) -> DataFrame:
+#: Distinct fingerprints from which a shard is split, and how many levels of shards there are: 39, 23 and 14 free bits.
+WIDE, LEVELS = 4096, 3
+
+
+def _narrowed(masks: list[int], radius: int, parts: int) -> list[int]:
+    """For each mask of bits that agree, the masks that add all choices of parts - radius parts of its free bits."""
+    out = []
+    for m in masks:
+        free = [i for i in range(BITS) if not m >> i & 1]
+        cuts = [len(free) * i // parts for i in range(parts + 1)]
+        for chosen in combinations(range(parts), max(parts - radius, 1)):
+            out.append(m | sum(1 << i for c in chosen for i in free[cuts[c] : cuts[c + 1]]))
+    return out
+
+
+def links(prints: DataFrame, radius: int = 3, parts: int = 5, wide: int = WIDE) -> DataFrame:
     """Edges (a, b) that connect distinct fingerprints (column print) within `radius` bits, directly or in steps.
 
     The bits are cut into `parts` parts; two fingerprints within the radius agree in parts - radius parts at least,
     so each is sent to the shards of all such choices, where a BK-tree finds what lies within the radius. A shard
-    sends one edge for each member of a group that it links, not all pairs.
+    sends one edge for each member of a group that it links, not all pairs. A shard of more than `wide` fingerprints
+    is split in the same way by its free bits; shards of the last level have 14 free bits, so 16,384 at most.
     """
-    cuts = [BITS * i // parts for i in range(parts + 1)]
-    keys = []
-    for i, chosen in enumerate(combinations(range(parts), max(parts - radius, 1))):
-        mask = sum(((1 << cuts[c + 1]) - (1 << cuts[c])) for c in chosen)
-        keys.append(F.xxhash64(F.lit(i), F.col("print").bitwiseAND(F.lit(_signed(mask)))))
     n = int(prints.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return prints.select("print", F.explode(F.array(*keys)).alias("key")).repartition(n, "key").sortWithinPartitions("key").mapInArrow(_shard(radius), "a long, b long")
+    masks, rows, shards = [0], prints.select("print", F.lit(0).alias("path")), None
+    for level in range(LEVELS):
+        fan = len(_narrowed([0], radius, parts))
+        masks = _narrowed(masks, radius, parts)
+        paths = F.sequence(F.col("path") * fan, F.col("path") * fan + (fan - 1))
+        agreeing = F.col("print").bitwiseAND(F.get(F.array(*[F.lit(_signed(m)) for m in masks]), F.col("path")))
+        rows = rows.select("print", F.explode(paths).alias("path")).withColumn("key", F.xxhash64("path", agreeing))
+        split = None
+        if level < LEVELS - 1:
+            split = common.stored(rows.groupBy("key").agg(F.count("*").alias("n")).filter(F.col("n") > wide).select("key", F.lit(True).alias("split")))
+        if split is None or split.isEmpty():
+            shards = rows if shards is None else shards.unionByName(rows)
+            break
+        both = common.dealt_join(rows, split, "key", how="left")
+        narrow = both.filter("split is null").drop("split")
+        shards = narrow if shards is None else shards.unionByName(narrow)
+        rows = both.filter("split").select("print", "path")
+    return shards.select("print", "key").repartition(n, "key").sortWithinPartitions("key").mapInArrow(_shard(radius), "a long, b long")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -191,8 +219,9 @@ def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 #: Similarity of near-duplicate documents over shingles of so many words; bits within which the trees are searched;
 #: minima of which each two make a shard's key; bins of the signature that leaves out the dissimilar, which it may
 #: underrate by MARGIN; least shingle hashes that then measure similarity (exact for texts with fewer); how far such an
-#: estimate of longer texts may lie from the similarity (over five standard deviations), within which all hashes decide.
-SIMILARITY, WIDTH, RADIUS, MINIMA, BINS, MARGIN, LEAST, DOUBT = 0.8, 5, 18, 6, 128, 0.16, 1024, 0.07
+#: estimate of longer texts may lie from the similarity (over five standard deviations), within which all hashes decide;
+#: rounds of stars before the trees.
+SIMILARITY, WIDTH, RADIUS, MINIMA, BINS, MARGIN, LEAST, DOUBT, STARS = 0.8, 5, 18, 6, 128, 0.16, 1024, 0.07, 3
 _FACTORS = np.random.default_rng(5).integers(1, 2**63, MINIMA, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
@@ -204,9 +233,9 @@ def _shingles(data: bytes, width: int) -> np.ndarray:
     return np.unique(w.name(at, np.minimum(at + width, n)))
 
 
-def _sketch(data: bytes, width: int) -> tuple[int, bytes, list[int]]:
-    """SimHash of a text's distinct shingles, a byte of the least hash in each bin (0: none) with the least hashes
-    behind, and the keys of its shards."""
+def _sketch(data: bytes, width: int) -> tuple[int, bytes, bytes, list[int]]:
+    """SimHash of a text's distinct shingles, a byte of the least hash in each bin (0: none), the least hashes, and the
+    keys of its shards."""
     s = _shingles(data, width)
     ones = np.zeros(BITS, np.int64)
     for i in range(0, len(s), 1 << 15):
@@ -218,7 +247,7 @@ def _sketch(data: bytes, width: int) -> tuple[int, bytes, list[int]]:
     signature[bins[first]] = 1 + (common.mixed(s[first]) % np.uint64(255)).astype(np.uint8)
     least = [(s * f).min() for f in _FACTORS]
     keys = [int(common.mixed((least[i] ^ (least[j] * np.uint64(0x9E3779B97F4A7C15))) + np.uint64(i * MINIMA + j)).view(np.int64)) for i, j in combinations(range(MINIMA), 2)]
-    return bits, signature.tobytes() + (s[:LEAST] >> np.uint64(32)).astype("<u4").tobytes(), keys
+    return bits, signature.tobytes(), (s[:LEAST] >> np.uint64(32)).astype("<u4").tobytes(), keys
 
 
 def _sketches(width: int):
@@ -228,9 +257,10 @@ def _sketches(width: int):
             with np.errstate(over="ignore"):
                 rows = [_sketch(t, width) for t in texts]
             digest = [xxhash.xxh3_64_intdigest(t) - 2**63 for t in texts]
-            cols = list(zip(*rows)) or [()] * 3
+            cols = list(zip(*rows)) or [()] * 4
             yield pa.RecordBatch.from_arrays(
-                [batch.column("k1"), pa.array(digest, pa.int64()), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.binary()), pa.array(cols[2], pa.list_(pa.int64()))], names=["k1", "t", "print", "signature", "keys"]
+                [batch.column("k1"), pa.array(digest, pa.int64()), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.binary()), pa.array(cols[2], pa.binary()), pa.array(cols[3], pa.list_(pa.int64()))],
+                names=["k1", "t", "print", "signature", "least", "keys"],
             )
 
     return run
@@ -271,13 +301,15 @@ class _Group:
             self.members[a] += self.members.pop(b)
 
 
-def _alike(prints: list[int], nodes: np.ndarray, signatures: np.ndarray, least: list[np.ndarray], radius: int, similarity: float) -> tuple[list[tuple[int, int]], list[int]]:
+def _alike(prints: list[int], nodes: np.ndarray, roots: list[int], signatures: np.ndarray, least: list[np.ndarray], radius: int, similarity: float) -> tuple[list[tuple[int, int]], list[int]]:
     """Edges to the least node of each group that similar texts of a shard form, and the nodes of pairs left undecided.
 
-    The texts within the radius come first, from a BK-tree; what is then not in one group with a text is compared with
+    Texts of one root are in a group from the start. The texts within the radius come first, from a BK-tree; what is then not in one group with a text is compared with
     it by signature, whatever its SimHash.
     """
-    groups, doubt = _Group(len(prints)), np.zeros(len(prints), bool)
+    groups, doubt, first = _Group(len(prints)), np.zeros(len(prints), bool), {}
+    for i, root in enumerate(roots):
+        groups.join(first.setdefault(root, i), i)
     tree, of_print = BKTree(prints[0]), {prints[0]: [0]}
 
     def compare(i: int, near: np.ndarray) -> None:
@@ -329,10 +361,10 @@ def _alike_shards(radius: int, similarity: float):
     """(null, a, b) for each edge; (key, a, null) for each node of an undecided pair of a shard."""
 
     def found(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int | None, int, int | None]]:
-        for part in _by_key(batches, ("key", "t", "print", "signature")):
+        for part in _by_key(batches, ("key", "t", "root", "print", "signature", "least")):
             if len(part) > 1:
-                signatures = np.array([np.frombuffer(r[3], np.uint8, BINS) for r in part])
-                pairs, open_ = _alike([r[2] & (2**64 - 1) for r in part], np.array([r[1] for r in part]), signatures, [np.frombuffer(r[3], "<u4", offset=BINS) for r in part], radius, similarity)
+                signatures = np.array([np.frombuffer(r[4], np.uint8) for r in part])
+                pairs, open_ = _alike([r[3] & (2**64 - 1) for r in part], np.array([r[1] for r in part]), [r[2] for r in part], signatures, [np.frombuffer(r[5], "<u4") for r in part], radius, similarity)
                 yield from ((None, a, b) for a, b in pairs)
                 yield from ((part[0][0], t, None) for t in open_)
 
@@ -367,35 +399,112 @@ def _exact_shards(similarity: float):
     return lambda batches: _edges(found(batches))
 
 
+def _near_signatures(similarity: float):
+    """The pairs (t, lead) whose signatures are near."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            a, b = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, BINS) for c in ("signature", "signature_"))
+            held, same = ((a | b) != 0).sum(axis=1), ((a == b) & (a != 0)).sum(axis=1)
+            yield batch.select(["t", "lead"]).filter(pa.array(same >= (similarity - MARGIN) * np.maximum(held, 1) - 1e-9))
+
+    return run
+
+
+def _decided(similarity: float):
+    """t, lead and whether they are alike; null where the least hashes leave it in doubt."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            least = zip(batch.column("least").to_pylist(), batch.column("least_").to_pylist())
+            same = [alike(np.frombuffer(a, "<u4"), np.frombuffer(b, "<u4"), similarity) for a, b in least]
+            yield pa.RecordBatch.from_arrays([batch.column("t"), batch.column("lead"), pa.array(same, pa.bool_())], names=["t", "lead", "same"])
+
+    return run
+
+
+def _exact(similarity: float):
+    """The pairs (a, b) that are similar by all their hashes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = zip(batch.column("hashes").to_pylist(), batch.column("hashes_").to_pylist())
+            same = [similarity_of(np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)) >= similarity for a, b in sets]
+            yield batch.select(["a", "b"]).filter(pa.array(same, pa.bool_()))
+
+    return run
+
+
+def _with(pairs: DataFrame, texts: DataFrame, a: str, b: str, column: str) -> DataFrame:
+    """pairs with a column of texts for either end."""
+    other = texts.select(F.col("t").alias(b), F.col(column).alias(f"{column}_"))
+    return pairs.join(texts.select(F.col("t").alias(a), column), a).join(other, b)
+
+
+def _stars(texts: DataFrame, open_: DataFrame, similarity: float) -> tuple[DataFrame, DataFrame]:
+    """(t, lead, same) of pairs compared, and (key, t, root) of shards that are not settled by them.
+
+    In every round each shard compares one leader with its others: first its least text, then the least one of its
+    smallest group. Links of all shards make groups. A shard is settled when all its texts but the leaders
+    so far are of one group: a group of copies, however large, takes a round of joins, and no task holds it.
+    """
+    found, rest = None, None
+    for _ in range(STARS):
+        if rest is None:
+            leaders = open_.groupBy("key").agg(F.min("t").alias("lead"))
+            pairs = common.dealt_join(open_, leaders, "key").filter("t <> lead")
+        else:
+            of = rest.groupBy("key", "root").agg(F.count("*").alias("n"), F.min("t").alias("lead"))
+            leaders = of.groupBy("key").agg(F.min_by(F.struct("lead", "root"), F.struct("n", "root")).alias("m")).select("key", "m.lead", F.col("m.root").alias("own"))
+            pairs = common.dealt_join(rest, leaders, "key").filter("root <> own")
+        pairs = pairs.select("t", "lead").distinct()
+        near = _with(pairs, texts, "t", "lead", "signature").mapInArrow(_near_signatures(similarity), "t long, lead long")
+        new = common.stored(_with(near, texts, "t", "lead", "least").mapInArrow(_decided(similarity), "t long, lead long, same boolean"))
+        found = new if found is None else found.union(new)
+        groups = common.stored(components(found.filter("same").select(F.col("t").alias("a"), F.col("lead").alias("b"))))
+        others = common.dealt_join(open_ if rest is None else rest.drop("root"), leaders.select("key", "lead"), "key").filter("t <> lead").drop("lead")
+        others = others.join(groups.select(F.col("node").alias("t"), "root"), "t", "left").withColumn("root", F.coalesce("root", "t"))
+        several = others.groupBy("key").agg(F.min("root").alias("x"), F.max("root").alias("y")).filter("x <> y").select("key")
+        rest = common.stored(common.dealt_join(others, several, "key"))
+        if rest.isEmpty():
+            break
+    return found, rest
+
+
 def keep_one(docs: DataFrame, similarity: float = SIMILARITY, radius: int = RADIUS, width: int = WIDTH) -> DataFrame:
     """The rows of docs, all columns, one of each group of equal or similar texts: the one with the least doc_id.
 
     Texts are similar if the Jaccard similarity of their sets of `width`-word shingles (lower-cased in
     ASCII) reaches `similarity`; groups are closed under steps. Equal texts are folded first. A text is sent to the
     shards of each two of its six least shingle hashes that another text shares (of two texts at 0.8, all but two in
-    a thousand meet); there a BK-tree of SimHashes gives the texts within `radius` bits, whose similarity is
-    then measured, and then that of the others whose signature is near. Where texts have more than the 1,024 least
-    hashes that a shard gets and their estimate is in doubt, all hashes are made of the texts again and decide.
-    Columns used: doc_id, text. Null and empty texts are alike; a null doc_id comes before others; of repeated rows one
-    stays; an empty table stays empty.
+    a thousand meet). Stars settle the shards whose texts are one group; in the others a BK-tree of SimHashes
+    gives the texts within `radius` bits, whose similarity is then measured, and then that of the others whose
+    signature is near. Where texts have more than the 1,024 least hashes that are compared and their estimate is in
+    doubt, all hashes are made of the texts again and decide. Columns used: doc_id, text. Null and empty texts are
+    alike; a null doc_id comes before others; of repeated rows one stays; an empty table stays empty.
     """
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62)))
     text = F.coalesce("text", F.lit(""))
-    rows = common.stored(docs.select(key.alias("k1"), text.alias("text")).mapInArrow(_sketches(width), "k1 long, t long, print long, signature binary, keys array<long>"))
-    texts = common.stored(rows.groupBy("t").agg(F.min("k1").alias("k1"), F.first("print").alias("print"), F.first("signature").alias("signature"), F.first("keys").alias("keys")))
+    rows = common.stored(docs.select(key.alias("k1"), text.alias("text")).mapInArrow(_sketches(width), "k1 long, t long, print long, signature binary, least binary, keys array<long>"))
+    texts = common.stored(rows.groupBy("t").agg(F.min("k1").alias("k1"), *[F.first(c).alias(c) for c in ("print", "signature", "least", "keys")]))
+    common.dropped(rows)
     keys = texts.select("t", F.explode("keys").alias("key"))
     shared = keys.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
-    meet = common.dealt_join(keys, shared, "key")
+    compared, rest = _stars(texts, common.stored(common.dealt_join(keys, shared, "key").distinct()), similarity)
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    sharded = meet.join(texts.select("t", "print", "signature"), "t").select("key", "t", "print", "signature").repartition(n, "key").sortWithinPartitions("key", "t")
+    sharded = rest.join(texts.select("t", "print", "signature", "least"), "t").select("key", "t", "root", "print", "signature", "least").repartition(n, "key").sortWithinPartitions("key", "t")
     found = common.stored(sharded.mapInArrow(_alike_shards(radius, similarity), "key long, a long, b long"))
     doubt = found.filter("b is null").select("key", F.col("a").alias("t"))
-    wanted = common.stored(texts.join(doubt.select("t").distinct(), "t", "left_semi").select("t", F.col("k1").alias("k1_")))
+    in_doubt = compared.filter("same is null").select(F.col("t").alias("a"), F.col("lead").alias("b"))
+    ends = doubt.select("t").union(in_doubt.select("a")).union(in_doubt.select("b")).distinct()
+    wanted = common.stored(texts.join(ends, "t", "left_semi").select("t", F.col("k1").alias("k1_")))
     again = docs.select(key.alias("k1"), text.alias("text")).join(wanted, F.col("k1") == F.col("k1_")).select("t", "text")
-    hashes = again.mapInArrow(_all_hashes(width), "t long, hashes binary").groupBy("t").agg(F.first("hashes").alias("hashes"))
+    hashes = common.stored(again.mapInArrow(_all_hashes(width), "t long, hashes binary").groupBy("t").agg(F.first("hashes").alias("hashes")))
     exact = doubt.join(hashes, "t").select("key", "t", "hashes").repartition(n, "key").sortWithinPartitions("key", "t")
-    decided = exact.mapInArrow(_exact_shards(similarity), "key long, a long, b long")
-    comp = components(found.filter("b is not null").union(decided).select("a", "b"))
+    decided = exact.mapInArrow(_exact_shards(similarity), "key long, a long, b long").select("a", "b")
+    pairs = _with(in_doubt, hashes, "a", "b", "hashes").mapInArrow(_exact(similarity), "a long, b long")
+    stars = compared.filter("same").select(F.col("t").alias("a"), F.col("lead").alias("b"))
+    comp = components(found.filter("b is not null").select("a", "b").union(decided).union(pairs).union(stars))
     rooted = texts.select("t", "k1").join(comp, F.col("t") == F.col("node"), "left").select("t", "k1", F.coalesce("root", "t").alias("root"))
     kept = rooted.groupBy("root").agg(F.min(F.struct("k1", "t")).alias("m")).select(F.col("m.k1").alias("k1_"), F.col("m.t").alias("t_"))
     digest = docs.mapInArrow(_with_digest, _with_fields(docs))
