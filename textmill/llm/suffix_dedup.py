@@ -27,7 +27,7 @@ _name = xxhash.xxh3_64_intdigest
 def _gram_hashes(data: bytes) -> np.ndarray:
     if len(data) < GRAM:
         return np.zeros(0, np.uint64)
-    return common.mixed(np.ndarray((len(data) - GRAM + 1,), np.dtype("<u8"), data, strides=(1,)))
+    return common.mixed(np.ndarray((len(data) - GRAM + 1,), np.dtype(">u8"), data, strides=(1,)).astype(np.uint64))
 
 
 def _wholes(view, place, lo, hi, length: int) -> list[int]:
@@ -166,4 +166,4 @@ def remove_repeats(docs: DataFrame, length: int = 400, digest: bool = False) ->
 
 
 def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return remove_repeats(common.table(spark, sf_dir, "documents"), 400, digest=True).drop("n_shared")
+    return remove_repeats(common.table(spark, sf_dir, "documents"), 400, digest=True)
