@@ -307,7 +307,7 @@ def test_mixing_edges(spark):
 def test_tokens_round_trip(spark, tmp_path):
     from tokenizers import Tokenizer
 
-    texts = corpus(7) + ["a  b\n\nc", "x<|endoftext|>y", "tab\there", " lead", "don't we'll 12ab#$ été 你好", "it's\nI'm"]
+    texts = corpus(7) + ["a  b\n\nc", "<", "|x", "a\u3000b", "\n", " ", "x\n", "x<|endoftext|>y", "tab\there", " lead", "don't we'll 12ab#$ été 你好", "it's\nI'm"]
     docs = spark.createDataFrame([(len(texts) - i, t) for i, t in enumerate(texts)], "doc_id long, text string")
     path = token_output.write_tokens(docs, str(tmp_path / "ids"), shard_ids=2000)
     tk, at = Tokenizer.from_file(token_output.tokenizer_path()), 0
@@ -324,11 +324,26 @@ def test_tokens_round_trip(spark, tmp_path):
 
 
 def test_grammar():
-    for ids in ([], [3], [5] * 101, list(range(50)) * 9):
+    for ids in ([], [3], [5] * 101, list(range(50)) * 9, [1, 2] * 5000):
         x = np.array(ids, np.uint32)
         g = token_output.Grammar.compress(x, int(x.max()) + 1 if len(x) else 1)
         assert (g.decode() == x).all()
         assert len(g.sequence) < len(x) or len(x) < 100
+        for a, b in ((0, len(x) // 2), (len(x) // 3, len(x)), (len(x) // 2, len(x) // 2)):
+            assert (g.decode(a, b) == x[a:b]).all()
+    assert g.lengths.max() > 500  # rounds go on while they save
+
+
+def test_encoder_with_a_full_table(monkeypatch):
+    """Words met again stay when the table is full; batches with more words than it holds go to the tokenizer."""
+    monkeypatch.setattr(token_output, "_MOST", 300)
+    rng = random.Random(6)
+    texts = [" ".join(f"{rng.choice('abc')}{rng.randint(0, 60 if i % 2 else 5000)}" for _ in range(60)) for i in range(60)]
+    texts.append(" ".join(f"q{i}" for i in range(900)))
+    encoder = token_output.Encoder(token_output.tokenizer_path())
+    want = [e.ids for e in encoder.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    got = [x.tolist() for at in range(0, len(texts), 3) for x in encoder.batch([t.encode() for t in texts[at : at + 3]])]
+    assert got == want and encoder.n <= 300
 
 
 def test_secrets(spark):

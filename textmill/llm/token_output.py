@@ -8,13 +8,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common
 
-#: Id behind each document; ids of one grammar; most rounds and fewest uses of a replaced pair; bits of the hash that counts pairs.
-END, SHARD_IDS, ROUNDS, LEAST_USES, BUCKET_BITS = 0, 1_000_000, 3, 6, 19
+#: Id behind each document; ids of one grammar; share of the sequence that a round of Re-Pair must save for another one to
+#: follow; fewest uses of a replaced pair; bits of the hash that counts pairs.
+END, SHARD_IDS, LEAST_GAIN, LEAST_USES, BUCKET_BITS = 0, 1_000_000, 0.01, 6, 19
 _BREAK = 198  # the id of a line break; its text never joins another piece
 _SPACE = re.compile(r"[^\S \n]")
 _SUSPECT = np.zeros(256, bool)
@@ -23,13 +24,23 @@ _SLOTS, _MOST = 1 << 21, 1_400_000
 _LONG = 4096  # bytes of the longest word that is kept; it has no more ids than bytes, so the table's counts hold them
 
 
-def _odd(data: bytes, b: np.ndarray) -> bool:
-    """Whether a text has pieces that may reach over a word's end, or special tokens, or ends in white space, or a word
-    too long for the table."""
+def _odd(data: bytes, b: np.ndarray, edges: np.ndarray) -> np.ndarray:
+    """Which texts of a batch (data, b; none empty) have pieces that may reach over a word's end, or special tokens, or end
+    in white space, or a word too long for the table."""
+    first, last = edges[:-1], edges[1:] - 1
     part = (b == 32) | (b == 10)
-    if len(b) > _LONG and np.diff(np.flatnonzero(part), prepend=0, append=len(b)).max() > _LONG:
-        return True
-    return bool(part[0] or part[-1] or (part[1:] & part[:-1]).any() or b"<|" in data or (_SUSPECT[b].any() and _SPACE.search(data.decode())))
+    odd = part[first] | part[last]
+    inner = np.ones(len(b), bool)
+    inner[last] = False  # what stands behind belongs to the next text
+    of = lambda at: np.searchsorted(edges, at, "right") - 1
+    odd[of(np.flatnonzero(part[:-1] & part[1:] & inner[:-1]))] = True
+    odd[of(np.flatnonzero((b[:-1] == 60) & (b[1:] == 124) & inner[:-1]))] = True
+    part[first] = True
+    starts = np.flatnonzero(part)
+    odd[of(starts[np.diff(starts, append=len(b)) > _LONG])] = True
+    for i in np.unique(of(np.flatnonzero(_SUSPECT[b]))).tolist():
+        odd[i] |= _SPACE.search(data[edges[i] : edges[i + 1]].decode()) is not None
+    return odd
 
 
 class Encoder:
@@ -37,16 +48,20 @@ class Encoder:
 
     The file's pattern never joins characters across one blank or one line break between words, so words (with the
     blank before them) are encoded apart, and known ones are looked up by hash, all words of a batch at a time. Texts
-    with other white space, special tokens or very long words go to the tokenizer whole. A full table takes no more words.
+    with other white space, special tokens or very long words go to the tokenizer whole. A full table keeps the words
+    that were met again since they were learnt or kept.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.keys, self.first, self.count = np.zeros(_SLOTS, np.uint64), np.zeros(_SLOTS, np.int32), np.zeros(_SLOTS, np.int16)
-        self.pool, self.used, self.n = np.zeros(1 << 20, np.uint32), 0, 0
         self.apart = self.tokenizer.encode("\n", add_special_tokens=False).ids == [_BREAK]
+        self._clear()
+
+    def _clear(self) -> None:
+        self.keys, self.first, self.count, self.met = np.zeros(_SLOTS, np.uint64), np.zeros(_SLOTS, np.int32), np.zeros(_SLOTS, np.int16), np.zeros(_SLOTS, bool)
+        self.pool, self.used, self.n = np.zeros(1 << 20, np.uint32), 0, 0
 
     def _find(self, h: np.ndarray) -> np.ndarray:
         """The slot of each hash, or -1."""
@@ -70,13 +85,13 @@ class Encoder:
             counts.append(np.diff(cut) - 1)
         return np.concatenate(ids), np.concatenate(counts)
 
-    def _learn(self, h: np.ndarray, words: list[bytes]) -> None:
-        ids, counts = self._ids_of(words)
+    def _enter(self, h: np.ndarray, ids: np.ndarray, counts: np.ndarray) -> None:
+        """Enters words that the table doesn't hold, by hash, with their ids."""
         while self.used + len(ids) > len(self.pool):
             self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
         self.pool[self.used : self.used + len(ids)] = ids
         first = np.cumsum(counts) - counts + self.used
-        self.used, self.n = self.used + len(ids), self.n + len(words)
+        self.used, self.n = self.used + len(ids), self.n + len(h)
         slot, todo = (h & np.uint64(_SLOTS - 1)).astype(np.int64), np.arange(len(h))
         while len(todo):
             free = todo[self.keys[slot[todo]] == 0]
@@ -86,17 +101,47 @@ class Encoder:
             todo = todo[self.keys[slot[todo]] != h[todo]]
             slot[todo] = (slot[todo] + 1) & (_SLOTS - 1)
 
-    def batch(self, texts: list[bytes]) -> list[np.ndarray]:
-        out: list[np.ndarray | None] = [np.zeros(0, np.uint32) if not t else None for t in texts]
-        plain = [i for i, t in enumerate(texts) if t and self.apart and not _odd(t, np.frombuffer(t, np.uint8))]
-        chosen = set(plain)
-        whole = [i for i, t in enumerate(texts) if t and i not in chosen]
-        for i, e in zip(whole, self.tokenizer.encode_batch([texts[i].decode() for i in whole], add_special_tokens=False)):
+    def _renew(self) -> None:
+        """Keeps the words that were met again, if they leave half of the table."""
+        held = np.flatnonzero(self.met & (self.keys != 0))
+        h, first, count, pool = self.keys[held], self.first[held].astype(np.int64), self.count[held].astype(np.int64), self.pool
+        self._clear()
+        if 2 * len(held) <= _MOST:
+            self._enter(h, _runs(pool, first, count), count)
+
+    def _learn(self, data: bytes, h: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> None:
+        """Enters the words of a batch that the table doesn't hold."""
+        fresh, at = np.unique(h, return_index=True)
+        words = [data[x:y] for x, y in zip(starts[at].tolist(), ends[at].tolist())]
+        if b"\n" in words:  # the separator itself
+            k = words.index(b"\n")
+            self._enter(fresh[k : k + 1], np.array([_BREAK], np.uint32), np.array([1]))
+            fresh = np.delete(fresh, k)
+            del words[k]
+        if words:
+            self._enter(fresh, *self._ids_of(words))
+
+    def _whole(self, texts: list[bytes], at: list[int], out: list[np.ndarray]) -> list[np.ndarray]:
+        for i, e in zip(at, self.tokenizer.encode_batch([texts[i].decode() for i in at], add_special_tokens=False)):
             out[i] = np.array(e.ids, np.uint32)
-        if not plain:
+        return out
+
+    def batch(self, texts: list[bytes]) -> list[np.ndarray]:
+        """Ids of each text. Texts whose words together overflow the table go to the tokenizer whole."""
+        out = [np.zeros(0, np.uint32)] * len(texts)
+        some = [i for i, t in enumerate(texts) if t]
+        if not some:
             return out
-        data = b"".join(texts[i] for i in plain)
-        b, edges = np.frombuffer(data, np.uint8), np.cumsum([0] + [len(texts[i]) for i in plain])
+        data, edges = b"".join(texts[i] for i in some), np.cumsum([0] + [len(texts[i]) for i in some])
+        b = np.frombuffer(data, np.uint8)
+        odd = _odd(data, b, edges) if self.apart else np.ones(len(some), bool)
+        if odd.any():
+            whole, some = [i for i, o in zip(some, odd) if o], [i for i, o in zip(some, odd) if not o]
+            self._whole(texts, whole, out)
+            if not some:
+                return out
+            data, edges = b"".join(texts[i] for i in some), np.cumsum([0] + [len(texts[i]) for i in some])
+            b = np.frombuffer(data, np.uint8)
         new = (b == 32) | (b == 10)
         new[1:] |= b[:-1] == 10
         new[edges[:-1]] = True
@@ -105,38 +150,30 @@ class Encoder:
         h = common.word_hashes(b, starts, ends) | np.uint64(1)
         slot = self._find(h)
         gone = np.flatnonzero(slot < 0)
+        self.met[slot[slot >= 0]] = True
         if len(gone):
-            fresh, at, back = np.unique(h[gone], return_index=True, return_inverse=True)
-            at = gone[at]
-            words = [data[x:y] for x, y in zip(starts[at].tolist(), ends[at].tolist())]
-            if b"\n" in words:  # the separator itself
-                k = words.index(b"\n")
-                self.pool[self.used], self.used = _BREAK, self.used + 1
-                s = int(fresh[k] & np.uint64(_SLOTS - 1))
-                while self.keys[s]:
-                    s = (s + 1) & (_SLOTS - 1)
-                self.keys[s], self.first[s], self.count[s] = fresh[k], self.used - 1, 1
-                fresh, words = np.delete(fresh, k), [w for w in words if w != b"\n"]
-            if words and self.n + len(words) <= _MOST:
-                self._learn(fresh, words)
-            elif words:
-                return self._apart(texts, out, plain)
+            if self.n + len(gone) > _MOST:
+                self._renew()
+                if self.n + len(np.unique(h)) > _MOST:
+                    self._clear()
+                    if len(np.unique(h)) > _MOST:
+                        return self._whole(texts, some, out)
+                slot = self._find(h)
+                gone = np.flatnonzero(slot < 0)
+            self._learn(data, h[gone], starts[gone], ends[gone])
             slot[gone] = self._find(h[gone])
-        first, count = self.first[slot].astype(np.int64), self.count[slot].astype(np.int64)
-        stop = np.cumsum(count)
-        ids = self.pool[np.arange(stop[-1]) - np.repeat(stop - count - first, count)]
-        cut = np.concatenate([[0], stop])[np.searchsorted(starts, edges)]
-        for i, x, y in zip(plain, cut[:-1].tolist(), cut[1:].tolist()):
+        count = self.count[slot].astype(np.int64)
+        ids = _runs(self.pool, self.first[slot].astype(np.int64), count)
+        cut = np.concatenate([[0], np.cumsum(count)])[np.searchsorted(starts, edges)]
+        for i, x, y in zip(some, cut[:-1].tolist(), cut[1:].tolist()):
             out[i] = ids[x:y]
         return out
 
-    def _apart(self, texts: list[bytes], out: list, plain: list[int]) -> list[np.ndarray]:
-        """With a full table: starts a new one, so that it holds the words of the texts at hand."""
-        self.keys[:] = 0
-        self.used = self.n = 0
-        for i, e in zip(plain, self.tokenizer.encode_batch([texts[i].decode() for i in plain], add_special_tokens=False)):
-            out[i] = np.array(e.ids, np.uint32)
-        return out
+
+def _runs(pool: np.ndarray, first: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """pool[first : first + count] of all, one behind the other."""
+    stop = np.cumsum(count)
+    return pool[np.arange(stop[-1] if len(stop) else 0) + np.repeat(first + count - stop, count)]
 
 
 _ENCODERS: dict[str, Encoder] = {}
@@ -160,8 +197,7 @@ class Grammar:
         self.base, self.rules, self.sequence = base, rules.reshape(-1, 2), sequence
         self.lengths = np.ones(len(self.rules), np.int64)
         for a, b in self._levels():
-            pair = self.rules[a:b].astype(np.int64) - base
-            self.lengths[a:b] = np.where(pair >= 0, self.lengths[np.maximum(pair, 0)], 1).sum(axis=1)
+            self.lengths[a:b] = self._sizes(self.rules[a:b]).sum(axis=1)
 
     def _levels(self) -> Iterator[tuple[int, int]]:
         """Runs of rules that use earlier rules only."""
@@ -173,16 +209,20 @@ class Grammar:
             yield at, max(end, at + 1)
             at = max(end, at + 1)
 
+    def _sizes(self, symbols: np.ndarray) -> np.ndarray:
+        """How many ids each symbol stands for."""
+        s = symbols.astype(np.int64) - self.base
+        return np.where(s >= 0, self.lengths[np.maximum(s, 0)] if len(self.lengths) else 1, 1)
+
     @classmethod
-    def compress(cls, ids: np.ndarray, base: int, rounds: int = ROUNDS, least: int = LEAST_USES) -> Grammar:
+    def compress(cls, ids: np.ndarray, base: int, gain: float = LEAST_GAIN, least: int = LEAST_USES) -> Grammar:
         """Re-Pair, in rounds that each replace all pairs used `least` times or more, left to right, most used first
-        where two overlap; pairs are counted in hash buckets. Ends when no pair is used so often."""
+        where two overlap; pairs are counted in hash buckets. Ends when no pair is used so often, or when a round
+        saved less than `gain` of the sequence."""
         seq, rules, n = ids.astype(np.uint32), [], 0
-        for _ in range(rounds):
-            if len(seq) < 2:
-                break
+        while len(seq) > 1:
             code = seq[:-1].astype(np.uint64) << np.uint64(32) | seq[1:]
-            bucket = ((code * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - BUCKET_BITS)).astype(np.int32)
+            bucket = ((code * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)
             uses = np.bincount(bucket, minlength=1 << BUCKET_BITS).astype(np.int32)[bucket]
             # A pair is taken where it is used more than the pairs on either side, the most used first; of neighbours
             # used alike, such as a run of one id, every second one is.
@@ -212,30 +252,43 @@ class Grammar:
             pairs = stands[chosen]
             rules.append(np.stack([pairs >> np.uint64(32), pairs & np.uint64(0xFFFFFFFF)], axis=1).astype(np.uint32))
             n += len(chosen)
+            if len(at) < gain * len(seq):
+                break
         return cls(base, np.concatenate(rules) if rules else np.zeros((0, 2), np.uint32), seq)
 
-    def _expand(self, seq: np.ndarray) -> np.ndarray:
-        while len(seq) and (high := seq >= self.base).any():
-            times = np.where(high, 2, 1)
-            start = np.cumsum(times) - times
-            out = np.empty(int(times.sum()), np.uint32)
-            out[start[~high]] = seq[~high]
-            pair = self.rules[seq[high].astype(np.int64) - self.base]
-            out[start[high]], out[start[high] + 1] = pair[:, 0], pair[:, 1]
-            seq = out
-        return seq
+    def _expanded(self) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all rules, one behind the other, and where each begins."""
+        first = np.cumsum(self.lengths) - self.lengths
+        flat = np.zeros(int(self.lengths.sum()), np.uint32)
+        for a, b in self._levels():
+            at = first[a:b]
+            for symbols in self.rules[a:b].T:
+                size = self._sizes(symbols)
+                self._put(flat, symbols, size, at, flat, first)
+                at = at + size
+        return flat, first
+
+    def _put(self, out: np.ndarray, symbols: np.ndarray, size: np.ndarray, at: np.ndarray, flat: np.ndarray, first: np.ndarray) -> None:
+        """Writes the ids of symbols to out, each from its place on."""
+        high = symbols >= self.base
+        out[at[~high]] = symbols[~high]
+        n, to, begin = size[high], at[high], first[symbols[high].astype(np.int64) - self.base]
+        ramp = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        out[np.repeat(to, n) + ramp] = flat[np.repeat(begin, n) + ramp]
 
     def decode(self, start: int = 0, end: int | None = None) -> np.ndarray:
         """The ids from place start to end, expanding only the symbols that cover them."""
-        s = self.sequence.astype(np.int64) - self.base
-        offsets = np.concatenate([[0], np.cumsum(np.where(s >= 0, self.lengths[np.maximum(s, 0)] if len(self.lengths) else 1, 1))])
+        size = self._sizes(self.sequence)
+        offsets = np.concatenate([[0], np.cumsum(size)])
         end = int(offsets[-1]) if end is None else end
         a, b = int(np.searchsorted(offsets, start, "right")) - 1, int(np.searchsorted(offsets, end, "left"))
-        return self._expand(self.sequence[a:b])[start - int(offsets[a]) :][: end - start]
+        out = np.zeros(int(offsets[b] - offsets[a]), np.uint32)
+        self._put(out, self.sequence[a:b], size[a:b], offsets[a:b] - offsets[a], *self._expanded())
+        return out[start - int(offsets[a]) :][: end - start]
 
 
-_FILE = pa.schema([("shard", pa.int32()), ("part", pa.int32()), ("doc_ids", pa.list_(pa.int64())), ("n_tokens", pa.list_(pa.int64())), ("n_ids", pa.int64()), ("base", pa.int64()), ("rules", pa.binary()), ("rule_lengths", pa.binary()), ("sequence", pa.binary())])
-FILE_COLUMNS = "shard int, part int, doc_ids array<long>, n_tokens array<long>, n_ids long, base long, rules binary, rule_lengths binary, sequence binary"
+_FILE = pa.schema([("shard", pa.int32()), ("part", pa.int32()), ("doc_ids", pa.list_(pa.int64())), ("n_tokens", pa.list_(pa.int64())), ("first", pa.int64()), ("n_ids", pa.int64()), ("base", pa.int64()), ("rules", pa.binary()), ("rule_lengths", pa.binary()), ("sequence", pa.binary())])
+FILE_COLUMNS = "shard int, part int, doc_ids array<long>, n_tokens array<long>, first long, n_ids long, base long, rules binary, rule_lengths binary, sequence binary"
 
 
 def _packed(x: np.ndarray) -> bytes:
@@ -254,13 +307,13 @@ def _unpacked(data: bytes) -> np.ndarray:
 
 def _written(path: str, shard_ids: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, doc_ids, ids, total, part, shard = None, [], [], 0, 0, 0
+        encoder, doc_ids, ids, total, part, shard, first = None, [], [], 0, 0, 0, 0
 
         def out() -> pa.RecordBatch:
             flat = np.concatenate(ids)
             base = max(int(flat.max()) + 1, 1)
             g = Grammar.compress(flat, base)
-            row = (shard, part, list(doc_ids), [len(x) for x in ids], len(flat), base, _packed(g.rules), _packed(g.lengths), _packed(g.sequence))
+            row = (shard, part, list(doc_ids), [len(x) for x in ids], first, len(flat), base, _packed(g.rules), _packed(g.lengths), _packed(g.sequence))
             return pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip(row, _FILE)], schema=_FILE)
 
         for piece in common.pieces(batches, 256):
@@ -273,7 +326,7 @@ def _written(path: str, shard_ids: int):
                 total += len(e) + 1
                 if total >= shard_ids:
                     yield out()
-                    doc_ids, ids, total, part = [], [], 0, part + 1
+                    doc_ids, ids, total, part, first = [], [], 0, part + 1, first + total
         if ids:
             yield out()
         common.trim()
@@ -290,8 +343,8 @@ def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
 def write_tokens(docs: DataFrame, path: str, tokenizer: str | None = None, shard_ids: int = SHARD_IDS) -> str:
     """Writes all documents' ids, each ended by id 0, in ascending doc_id order; returns path.
 
-    Format: Parquet files of rows (shard, part): documents in order with their number of ids, and one grammar, whose
-    rules and sequence are little-endian symbols behind a byte that gives their width. Columns used: doc_id, text. A
+    Format: Parquet files of rows (shard, part): documents in order with their number of ids, the number of the shard's
+    ids before them, and one grammar, whose rules and sequence are little-endian symbols behind a byte that gives their width. Columns used: doc_id, text. A
     null text is empty; a null doc_id comes first; repeated rows are written each; an empty table writes no row.
     Equal doc_ids follow each other in any order of equal texts. Nothing is written by hand to a local disk, so a
     lost task is simply written again.
@@ -319,16 +372,14 @@ def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def read_tokens(spark: SparkSession, path: str) -> DataFrame:
-    """doc_id, start, n_tokens, ids_crc32 of every document, decoded from the files. The files' own sizes (a row per
-    grammar) are summed to the places where grammars start."""
+    """doc_id, start, n_tokens, ids_crc32 of every document, decoded from the files. The ids before a shard are summed
+    from one number a shard; a grammar's own row has the number of those before it in its shard."""
     files = spark.read.schema(FILE_COLUMNS).parquet(path)
-    sizes = sorted((r.shard, r.part, r.n_ids) for r in files.select("shard", "part", "n_ids").collect())
-    at, offsets = 0, []
-    for shard, part, n in sizes:
-        offsets.append((shard, part, at))
-        at += n
-    places = spark.createDataFrame(offsets, "shard int, part int, offset long")
-    return files.join(places, ["shard", "part"]).select("doc_ids", "n_tokens", "offset", "base", "rules", "sequence").mapInArrow(_read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    sizes = files.groupBy("shard").agg(F.sum("n_ids").alias("n"))
+    before = F.sum("n").over(Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1))
+    shards = sizes.select("shard", F.coalesce(before, F.lit(0)).alias("before"))
+    placed = files.join(F.broadcast(shards), "shard").withColumn("offset", F.col("before") + F.col("first"))
+    return placed.select("doc_ids", "n_tokens", "offset", "base", "rules", "sequence").mapInArrow(_read, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def token_output(docs: DataFrame, tokenizer: str | None = None) -> DataFrame:
