@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import re
 import tempfile
 import uuid
 
@@ -26,7 +27,9 @@ def shared_dir(spark: SparkSession) -> str:
     if not base:
         base = spark.sparkContext.getCheckpointDir()
         if not base:
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="textmill-"))
+            if not re.match(r"local(\[|$)", spark.sparkContext.master):
+                raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors see")
+            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="textmill-"))  # one machine: tests and the bench
             base = spark.sparkContext.getCheckpointDir()
     return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
 
@@ -125,7 +128,7 @@ def trim() -> None:
         return
 
 
-def pieces(batches, rows: int = 1024, size: int = 1 << 22):
+def pieces(batches, rows: int = 1024, size: int = 1 << 20):
     """Slices of Arrow batches of at most `rows` rows and about `size` bytes of text (one row at least), so that what is
     made of a batch stays small; freed memory goes back after each batch."""
     import pyarrow.compute as pc

@@ -219,9 +219,8 @@ def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 #: Similarity of near-duplicate documents over shingles of so many words; bits within which the trees are searched;
 #: minima of which each two make a shard's key; bins of the signature that leaves out the dissimilar, which it may
 #: underrate by MARGIN; least shingle hashes that then measure similarity (exact for texts with fewer); how far such an
-#: estimate of longer texts may lie from the similarity (over five standard deviations), within which all hashes decide;
-#: rounds of stars before the trees.
-SIMILARITY, WIDTH, RADIUS, MINIMA, BINS, MARGIN, LEAST, DOUBT, STARS = 0.8, 5, 18, 6, 128, 0.16, 1024, 0.07, 3
+#: estimate of longer texts may lie from the similarity (over five standard deviations), within which all hashes decide.
+SIMILARITY, WIDTH, RADIUS, MINIMA, BINS, MARGIN, LEAST, DOUBT = 0.8, 5, 18, 6, 128, 0.16, 1024, 0.07
 _FACTORS = np.random.default_rng(5).integers(1, 2**63, MINIMA, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
@@ -444,31 +443,19 @@ def _with(pairs: DataFrame, texts: DataFrame, a: str, b: str, column: str) -> Da
 def _stars(texts: DataFrame, open_: DataFrame, similarity: float) -> tuple[DataFrame, DataFrame]:
     """(t, lead, same) of pairs compared, and (key, t, root) of shards that are not settled by them.
 
-    In every round each shard compares one leader with its others: first its least text, then the least one of its
-    smallest group. Links of all shards make groups. A shard is settled when all its texts but the leaders
-    so far are of one group: a group of copies, however large, takes a round of joins, and no task holds it.
+    Each shard compares its least text with its others, by joins. A text then goes by the least text that it is like, and
+    by that one's. A shard is settled when its others go by one text: a group of copies, however large, takes one
+    round of joins, and no task holds it.
     """
-    found, rest = None, None
-    for _ in range(STARS):
-        if rest is None:
-            leaders = open_.groupBy("key").agg(F.min("t").alias("lead"))
-            pairs = common.dealt_join(open_, leaders, "key").filter("t <> lead")
-        else:
-            of = rest.groupBy("key", "root").agg(F.count("*").alias("n"), F.min("t").alias("lead"))
-            leaders = of.groupBy("key").agg(F.min_by(F.struct("lead", "root"), F.struct("n", "root")).alias("m")).select("key", "m.lead", F.col("m.root").alias("own"))
-            pairs = common.dealt_join(rest, leaders, "key").filter("root <> own")
-        pairs = pairs.select("t", "lead").distinct()
-        near = _with(pairs, texts, "t", "lead", "signature").mapInArrow(_near_signatures(similarity), "t long, lead long")
-        new = common.stored(_with(near, texts, "t", "lead", "least").mapInArrow(_decided(similarity), "t long, lead long, same boolean"))
-        found = new if found is None else found.union(new)
-        groups = common.stored(components(found.filter("same").select(F.col("t").alias("a"), F.col("lead").alias("b"))))
-        others = common.dealt_join(open_ if rest is None else rest.drop("root"), leaders.select("key", "lead"), "key").filter("t <> lead").drop("lead")
-        others = others.join(groups.select(F.col("node").alias("t"), "root"), "t", "left").withColumn("root", F.coalesce("root", "t"))
-        several = others.groupBy("key").agg(F.min("root").alias("x"), F.max("root").alias("y")).filter("x <> y").select("key")
-        rest = common.stored(common.dealt_join(others, several, "key"))
-        if rest.isEmpty():
-            break
-    return found, rest
+    leaders = open_.groupBy("key").agg(F.min("t").alias("lead"))
+    rays = common.dealt_join(open_, leaders, "key").filter("t <> lead")
+    near = _with(rays.select("t", "lead").distinct(), texts, "t", "lead", "signature").mapInArrow(_near_signatures(similarity), "t long, lead long")
+    found = common.stored(_with(near, texts, "t", "lead", "least").mapInArrow(_decided(similarity), "t long, lead long, same boolean"))
+    like = found.filter("same").groupBy("t").agg(F.min("lead").alias("root"))
+    by = like.join(like.select(F.col("t").alias("root"), F.col("root").alias("next")), "root", "left").select("t", F.coalesce("next", "root").alias("root"))
+    others = rays.select("key", "t").join(by, "t", "left").withColumn("root", F.coalesce("root", "t"))
+    several = others.groupBy("key").agg(F.min("root").alias("x"), F.max("root").alias("y")).filter("x <> y").select("key")
+    return found, common.stored(common.dealt_join(others, several, "key"))
 
 
 def keep_one(docs: DataFrame, similarity: float = SIMILARITY, radius: int = RADIUS, width: int = WIDTH) -> DataFrame:
