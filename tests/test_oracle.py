@@ -46,4 +46,4 @@ def test_same_rows(spark, sf, duck, name):
 
 @pytest.mark.parametrize("name", sorted(set(registry.QUERIES) - set(registry.ORACLE)))
 def test_runs(spark, sf, name):
-    assert registry.QUERIES[name](spark, sf).count() >= 0
+    assert registry.QUERIES[name](spark, sf).count() > 0  # their rows are tested in test_variants and test_units

@@ -129,9 +129,8 @@ def test_linked_goes_on_where_stars_fail(spark):
     """Buckets of chains: only the neighbours of a chain are alike, and a star links none or few of them."""
     chain = [(i, 0, "a") for i in (1, 2, 3)] + [(i, 0, "b") for i in range(10, 30)] + [(i, 1, "b") for i in range(10, 30, 2)] + [(40, 0, "c"), (41, 0, "c")]
     bk = spark.createDataFrame(chain, "doc_id long, band int, key string")
-    texts = spark.range(50).select(F.col("id").alias("doc_id"))
-    like = lambda pairs, some: pairs.filter("dst - src = 1 and src < 39")
-    got = {r.id: r.comp for r in dedup._linked(bk, like, texts).collect()}
+    like = lambda pairs: pairs.filter("dst - src = 1 and src < 39")
+    got = {r.id: r.comp for r in dedup._linked(bk, like).collect()}
     assert got == {1: 1, 2: 1, 3: 1} | dict.fromkeys(range(10, 30), 10)
 
 

@@ -5,29 +5,40 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..catalog import query, table
 from ..functions.text import h28, ratio, sql_h28, sql_ratio, words
 
 _W = "list_filter(string_split_regex(lower({}), '[ \\t\\n\\r]+'), lambda x: x <> '')"
+#: Items of a block in which options and examples are drawn; blocks are by hash, as many as the table needs.
+BLOCK = 64
+_SQL_BLOCKS = f"(SELECT greatest(1, (count(*) + {BLOCK - 1}) // {BLOCK}) FROM benchmark)"
+
+
+def blocked(items: DataFrame) -> Column:
+    """An item's hash block; blocks hold about BLOCK items however many there are, so a join of blocks is linear."""
+    return h28(F.col("item_id").cast("string")) % max(1, -(-items.count() // BLOCK))
+
+
 # Options of a continuation item: its own second half and three others picked by hash; the score of an option is a hash
 # stand-in for a log-likelihood that favours words shared with the first half.
 _SQL_MCQ = f"""(SELECT i.item_id, o.item_id AS option_id, o.rest AS option, i.context, (i.item_id = o.item_id) AS gold FROM
   (SELECT item_id, array_to_string(w[1:len(w)//2], ' ') AS context FROM (SELECT item_id, {_W.format('text')} AS w FROM benchmark)) i
-  JOIN (SELECT item_id, array_to_string(w[len(w)//2+1:], ' ') AS rest FROM (SELECT item_id, {_W.format('text')} AS w FROM benchmark)) o ON true
+  JOIN (SELECT item_id, array_to_string(w[len(w)//2+1:], ' ') AS rest FROM (SELECT item_id, {_W.format('text')} AS w FROM benchmark)) o
+    ON {sql_h28('i.item_id::VARCHAR')} % {_SQL_BLOCKS} = {sql_h28('o.item_id::VARCHAR')} % {_SQL_BLOCKS}
   QUALIFY row_number() OVER (PARTITION BY i.item_id ORDER BY (i.item_id <> o.item_id)::INT, {sql_h28("i.item_id::VARCHAR || '-' || o.item_id::VARCHAR")}, o.item_id) <= 4)"""
 
 
 def continuation_mcq(items: DataFrame, k: int = 4) -> DataFrame:
-    """(item_id, option_id, option, context, gold): the benchmark is small by nature, so its self join is too."""
-    w = items.select("item_id", words("text").alias("w"))
+    """(item_id, option_id, option, context, gold): an item's own second half and others of its block."""
+    w = items.select("item_id", words("text").alias("w"), blocked(items).alias("block"))
     half = F.floor(F.size("w") / 2).cast("int")
-    a = w.select("item_id", F.array_join(F.slice("w", F.lit(1), half), " ").alias("context"))
-    b = w.select(F.col("item_id").alias("option_id"), F.array_join(F.slice("w", half + 1, F.size("w")), " ").alias("option"))
+    a = w.select("item_id", F.array_join(F.slice("w", F.lit(1), half), " ").alias("context"), "block")
+    b = w.select("block", F.col("item_id").alias("option_id"), F.array_join(F.slice("w", half + 1, F.size("w")), " ").alias("option"))
     order = Window.partitionBy("item_id").orderBy((F.col("item_id") != F.col("option_id")).cast("int"), h28(F.concat_ws("-", "item_id", "option_id")), "option_id")
-    j = a.join(b, F.lit(True)).withColumn("rn", F.row_number().over(order)).filter(F.col("rn") <= k)
+    j = a.join(b, "block").withColumn("rn", F.row_number().over(order)).filter(F.col("rn") <= k)
     return j.select("item_id", "option_id", "option", "context", (F.col("item_id") == F.col("option_id")).alias("gold"))
 
 
@@ -59,10 +70,11 @@ def exact_match(spark, d):
     return table(spark, d, "documents").agg(F.count("*").alias("n"), F.count(last).alias("answered"))
 
 
-@query("kshot_prompts", f"SELECT a.item_id, string_agg(b.text, chr(10) ORDER BY {sql_h28("a.item_id::VARCHAR || ':' || b.item_id::VARCHAR")}, b.item_id) AS shots FROM benchmark a JOIN LATERAL (SELECT b.item_id, b.text FROM benchmark b WHERE b.item_id <> a.item_id ORDER BY {sql_h28("a.item_id::VARCHAR || ':' || b.item_id::VARCHAR")}, b.item_id LIMIT 3) b ON true GROUP BY a.item_id")
+@query("kshot_prompts", f"SELECT a.item_id, string_agg(b.text, chr(10) ORDER BY {sql_h28("a.item_id::VARCHAR || ':' || b.item_id::VARCHAR")}, b.item_id) AS shots FROM benchmark a JOIN LATERAL (SELECT b.item_id, b.text FROM benchmark b WHERE b.item_id <> a.item_id AND {sql_h28('a.item_id::VARCHAR')} % {_SQL_BLOCKS} = {sql_h28('b.item_id::VARCHAR')} % {_SQL_BLOCKS} ORDER BY {sql_h28("a.item_id::VARCHAR || ':' || b.item_id::VARCHAR")}, b.item_id LIMIT 3) b ON true GROUP BY a.item_id")
 def kshot(spark, d, k: int = 3):
     b = table(spark, d, "benchmark")
-    j = b.select("item_id").join(b.select(F.col("item_id").alias("o"), "text"), F.col("item_id") != F.col("o")).withColumn("h", h28(F.concat_ws(":", "item_id", "o")))
+    b = b.withColumn("block", blocked(b))
+    j = b.select("item_id", "block").join(b.select(F.col("item_id").alias("o"), "text", "block"), "block").filter("item_id <> o").withColumn("h", h28(F.concat_ws(":", "item_id", "o")))
     top = j.withColumn("rn", F.row_number().over(Window.partitionBy("item_id").orderBy("h", "o"))).filter(F.col("rn") <= k)
     return top.groupBy("item_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("rn", "text"))), lambda x: x["text"]), "\n").alias("shots"))
 
@@ -111,14 +123,14 @@ def bleu(pairs: DataFrame, by: str) -> DataFrame:
 
 
 #: Perturbations of a reference that stand for systems: every word whose hash is 0 modulo the rate is dropped, cut to
-#: three letters, or doubled.
-SYSTEMS = {"drop": (10, ""), "cut": (6, "3"), "double": (8, "2")}
+#: three letters, doubled, or cut to its first letter.
+SYSTEMS = {"drop": (10, ""), "cut": (6, "3"), "double": (8, "2"), "initial": (5, "1")}
 _REF = "(SELECT item_id AS id, string_split(text, ' ') AS w, text AS ref FROM benchmark)"
 
 
 def _sql_system(name: str) -> str:
     rate = SYSTEMS[name][0]
-    new = {"drop": "NULL", "cut": "substr(w[i], 1, 3)", "double": "w[i] || ' ' || w[i]"}[name]
+    new = {"drop": "NULL", "cut": "substr(w[i], 1, 3)", "double": "w[i] || ' ' || w[i]", "initial": "substr(w[i], 1, 1)"}[name]
     return f"SELECT '{name}' AS system, id, ref, array_to_string(list_filter(list_transform(range(1, len(w) + 1), lambda i: CASE WHEN {sql_h28(f"'{name}' || id::VARCHAR || '-' || i::VARCHAR")} % {rate} = 0 THEN {new} ELSE w[i] END), lambda x: x IS NOT NULL), ' ') AS hyp FROM {_REF}"
 
 
@@ -132,7 +144,7 @@ def perturb(name: str, rate: int, new):
 def hypotheses(items: DataFrame) -> DataFrame:
     out = None
     for name, (rate, _) in SYSTEMS.items():
-        new = {"drop": lambda x: F.lit(None).cast("string"), "cut": lambda x: F.substring(x, 1, 3), "double": lambda x: F.concat_ws(" ", x, x)}[name]
+        new = {"drop": lambda x: F.lit(None).cast("string"), "cut": lambda x: F.substring(x, 1, 3), "double": lambda x: F.concat_ws(" ", x, x), "initial": lambda x: F.substring(x, 1, 1)}[name]
         w = items.select(F.col("item_id").alias("id"), F.col("text").alias("ref"), F.split("text", " ").alias("w"))
         one = w.withColumn("w", F.transform("w", perturb(name, rate, new))).select(F.lit(name).alias("system"), "id", "ref", F.array_join(F.array_compact("w"), " ").alias("hyp"))
         out = one if out is None else out.unionByName(one)
@@ -154,11 +166,10 @@ def _bleu(spark, d):
     return bleu(hypotheses(table(spark, d, "benchmark")), "system")
 
 
-@query("system_selection", f"SELECT system, rank() OVER (ORDER BY bleu DESC)::INT AS place FROM {_SQL_BLEU} QUALIFY place <= 2")
-@query("system_shortlist", f"SELECT system, rank() OVER (ORDER BY bleu DESC)::INT AS place FROM {_SQL_BLEU} QUALIFY place <= 2")
-def select_system(spark, d):
-    """The best systems by the metric, ties kept; people decide among them."""
-    return _bleu(spark, d).withColumn("place", F.rank().over(Window.orderBy(F.desc("bleu")))).filter("place <= 2").select("system", "place")
+@query("system_shortlist", f"SELECT system, rank() OVER (ORDER BY bleu DESC)::INT AS place FROM {_SQL_BLEU} QUALIFY place <= 3")
+def shortlist(spark, d, n: int = 3):
+    """The best systems by the metric, ties kept; people decide among them. A row for each system is ranked."""
+    return _bleu(spark, d).withColumn("place", F.rank().over(Window.orderBy(F.desc("bleu")))).filter(F.col("place") <= n).select("system", "place")
 
 
 @query("human_best_share", "SELECT event_type, round(count(DISTINCT k)::DOUBLE / (SELECT count(DISTINCT (props->>'$.k')::INT) FROM events), 6) AS share FROM (SELECT event_type, (props->>'$.k')::INT AS k FROM events) GROUP BY event_type")

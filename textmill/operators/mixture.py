@@ -135,11 +135,6 @@ def lr_schedule(spark, d, warmup=2000, peak=3e-4, least=3e-5, steps=18000, end=2
     return spark.range(0, end + 1, 100).select(s.alias("step"), F.round(lr, 9).alias("lr"))
 
 
-@query("param_count", "SELECT * FROM (VALUES ('scratch', 76800::BIGINT * 4096), ('continual', 128256::BIGINT * 3584)) t(model, embedding)")
-def param_count(spark, d):
-    return spark.createDataFrame([("scratch", 76800, 4096), ("continual", 128256, 3584)], "model string, v long, h long").select("model", (F.col("v") * F.col("h")).alias("embedding"))
-
-
 @query("license_lines", r"SELECT doc_id, len(list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '(?i)licen[cs]e|copyright')))::INT AS n FROM documents WHERE regexp_matches(text, '(?i)licen[cs]e|copyright')")
 def license_lines(spark, d):
     p = "(?i)licen[cs]e|copyright"

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from ..catalog import query, table
 from ..functions.text import SQL_WORDS, h28, ratio, sql_h28, sql_ratio, words
+from ..plans.components import reliable
+from ..plans.ranks import quantiles
 from .clean import SQL_HOST, host
 from .quality import sql_signals, signals
 
@@ -116,9 +118,10 @@ def _ppl(spark, d):
 
 
 def drop_by_perplexity(ppl: DataFrame, by: str = "source", high: float | None = 0.95, low: float | None = None) -> DataFrame:
-    """Rows not above the high quantile of their dataset, nor below the low one. Quantiles are exact here; for very
-    large datasets percentile_approx gives the same cut within its accuracy from a bounded sketch."""
-    q = ppl.groupBy(by).agg(F.expr(f"percentile(ppl, {high if high is not None else 1.0})").alias("hi"), F.expr(f"percentile(ppl, {low if low is not None else 0.0})").alias("lo"))
+    """Rows not above the high quantile of their dataset, nor below the low one. Quantiles are exact and come from ranks over
+    ranges, so a dataset of any size is dealt to many tasks."""
+    ppl = reliable(ppl)
+    q = quantiles(ppl, by, "ppl", {"hi": high if high is not None else 1.0, "lo": low if low is not None else 0.0})
     return ppl.join(q, by).filter((F.round("ppl", 4) <= F.round("hi", 4)) & (F.round("ppl", 4) >= F.round("lo", 4))).drop("hi", "lo")
 
 

@@ -9,8 +9,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..catalog import query, table
+from ..catalog import ORACLE, query, table
 from ..functions.text import SQL_WORDS, h28, ratio, sql_h28, sql_ratio, words
+from ..plans.ranks import cut_points, ranked
 from . import dedup, evaluation, models, post, retrieval, tokenizer
 
 
@@ -20,7 +21,7 @@ def alignment_by_tokenizer(spark, d):
 
 
 _SQL_IVF = "(SELECT label, list(m ORDER BY i) AS c FROM (SELECT label, i, round(avg(embedding[i]::DOUBLE), 6) AS m FROM embeddings, (SELECT unnest(range(1, 65)) AS i) GROUP BY ALL) GROUP BY label)"
-_SQL_IVF_TOP = f"(WITH p AS (SELECT vec_id AS qid, embedding AS q, k.label FROM embeddings, {_SQL_IVF} k WHERE vec_id % 50 = 0 QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY round(list_dot_product(embedding::DOUBLE[], k.c), 5) DESC, k.label) <= 5) SELECT qid, vec_id AS cid FROM p JOIN embeddings e USING (label) WHERE qid <> vec_id QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round(list_dot_product(q::DOUBLE[], embedding::DOUBLE[]), 6) DESC, vec_id) <= 20)"
+_SQL_IVF_TOP = f"(WITH p AS (SELECT vec_id AS qid, embedding AS q, k.label FROM embeddings, {_SQL_IVF} k WHERE {retrieval.ASKED} QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY round(list_dot_product(embedding::DOUBLE[], k.c), 5) DESC, k.label) <= 5) SELECT qid, vec_id AS cid FROM p JOIN embeddings e USING (label) WHERE qid <> vec_id QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round(list_dot_product(q::DOUBLE[], embedding::DOUBLE[]), 6) DESC, vec_id) <= 20)"
 
 
 def ivf(spark, d, probes: int = 5, k: int = 20) -> DataFrame:
@@ -28,7 +29,7 @@ def ivf(spark, d, probes: int = 5, k: int = 20) -> DataFrame:
     e = table(spark, d, "embeddings")
     c = retrieval.weight_average(spark, d)
     near = F.round(dedup.cosine(F.col("q"), F.col("v")), 5)
-    q = e.filter("vec_id % 50 = 0").select(F.col("vec_id").alias("qid"), F.col("embedding").alias("q"))
+    q = e.filter(retrieval.ASKED).select(F.col("vec_id").alias("qid"), F.col("embedding").alias("q"))
     p = q.crossJoin(F.broadcast(c)).withColumn("rn", F.row_number().over(Window.partitionBy("qid").orderBy(F.desc(near), "label"))).filter(F.col("rn") <= probes).select("qid", "q", "label")
     j = p.join(e.select(F.col("vec_id").alias("cid"), "embedding", "label"), "label").filter("qid <> cid")
     sim = F.round(dedup.cosine(F.col("q"), F.col("embedding")), 6)
@@ -40,18 +41,18 @@ def _ivf(spark, d):
     return ivf(spark, d)
 
 
-_SQL_EXACT = "(SELECT q.vec_id AS qid, c.vec_id AS cid FROM embeddings q JOIN embeddings c ON q.vec_id <> c.vec_id WHERE q.vec_id % 50 = 0 QUALIFY row_number() OVER (PARTITION BY q.vec_id ORDER BY round(list_dot_product(q.embedding::DOUBLE[], c.embedding::DOUBLE[]), 6) DESC, c.vec_id) <= 20)"
+_SQL_EXACT = f"(SELECT q.vec_id AS qid, c.vec_id AS cid FROM embeddings q JOIN embeddings c ON q.vec_id <> c.vec_id WHERE q.{retrieval.ASKED} QUALIFY row_number() OVER (PARTITION BY q.vec_id ORDER BY round(list_dot_product(q.embedding::DOUBLE[], c.embedding::DOUBLE[]), 6) DESC, c.vec_id) <= 20)"
 
 
 @query("ann_recall", f"SELECT count(*) AS n, {sql_ratio('(SELECT count(*) FROM ' + _SQL_EXACT + ' SEMI JOIN ' + _SQL_IVF_TOP + ' USING (qid, cid))', 'count(*)')} AS recall FROM {_SQL_EXACT}")
 def ann_recall(spark, d):
     e = table(spark, d, "embeddings")
-    exact = retrieval.search(e.filter("vec_id % 50 = 0"), e, least=-2.0).select("qid", "cid")
+    exact = retrieval.search(e.filter(retrieval.ASKED), e, least=-2.0).select("qid", "cid")
     found = ivf(spark, d).select("qid", "cid", F.lit(1).alias("f"))
     return exact.join(found, ["qid", "cid"], "left").agg(F.count("*").alias("n"), ratio(F.count("f"), F.count("*")).alias("recall"))
 
 
-@query("attribution_scores")
+@query("attribution_scores", f"SELECT count(*) AS n, {sql_ratio('count(*) FILTER (support >= 0.5)', 'count(*)')} AS support_rate, round(avg(support), 6) AS mean_support FROM ({ORACLE['attribute_sentences']})")
 def attribution_scores(spark, d):
     """Share of sentences with evidence, and their mean support."""
     return retrieval.attribute(spark, d).agg(F.count("*").alias("n"), ratio(F.count_if(F.col("support") >= 0.5), F.count("*")).alias("support_rate"), F.round(F.avg("support"), 6).alias("mean_support"))
@@ -144,22 +145,22 @@ def task_grammar(spark, d):
 
 @query("preference_balanced", f"SELECT pid, chosen, rejected FROM {post._SQL_PREF} QUALIFY row_number() OVER (PARTITION BY pid % 2 ORDER BY pid) <= (SELECT min(n) FROM (SELECT count(*) AS n FROM {post._SQL_PREF} GROUP BY pid % 2))")
 def balanced(spark, d):
-    """As many pairs of either group (parity stands for language) as the smaller has."""
-    p = post.preference_pairs(spark, d).withColumn("g", F.col("pid") % 2)
-    least = p.groupBy("g").agg(F.count("*").alias("n")).agg(F.min("n").alias("n"))
-    return p.withColumn("rn", F.row_number().over(Window.partitionBy("g").orderBy("pid"))).join(F.broadcast(least), F.col("rn") <= F.col("n")).select("pid", "chosen", "rejected")
+    """As many pairs of either group (parity stands for language) as the smaller has; ranks come from ranges."""
+    r = ranked(post.preference_pairs(spark, d).withColumn("g", F.col("pid") % 2), ["g"], ["pid"])
+    least = r.groupBy("g").agg(F.count("*").alias("n")).agg(F.min("n").alias("n"))
+    return r.join(F.broadcast(least), F.col("rank_") < F.col("n")).select("pid", "chosen", "rejected")
 
 
-@query("lang_mismatch_rejects", f"SELECT p.pid, arg_min(r.pid, ({sql_h28("p.pid::VARCHAR || '-' || r.pid::VARCHAR")}, r.pid)) AS rejected FROM {post._SQL_QA} p JOIN {post._SQL_QA} r ON {sql_h28('p.pid::VARCHAR')} % 16 = {sql_h28('r.pid::VARCHAR')} % 16 AND p.conv_id % 2 <> r.conv_id % 2 GROUP BY p.pid")
+@query("lang_mismatch_rejects", f"SELECT p.pid, arg_min(r.pid, ({sql_h28("p.pid::VARCHAR || '-' || r.pid::VARCHAR")}, r.pid)) AS rejected FROM {post._SQL_QA} p JOIN {post._SQL_QA} r ON {sql_h28('p.pid::VARCHAR')} % {post._SQL_BLOCKS} = {sql_h28('r.pid::VARCHAR')} % {post._SQL_BLOCKS} AND p.conv_id % 2 <> r.conv_id % 2 GROUP BY p.pid")
 def mismatch(spark, d):
     """An answer in another language (parity of the dialog stands for it) as the rejected side."""
-    q = post.exchanges(table(spark, d, "conversations")).withColumn("b", h28(F.col("pid").cast("string")) % 16)
-    r = q.select(F.col("pid").alias("rid"), F.col("conv_id").alias("rc"), "b")
-    j = q.join(r, "b").filter((F.col("conv_id") % 2) != (F.col("rc") % 2))
+    q = post.in_blocks(post.exchanges(table(spark, d, "conversations")))
+    r = q.select(F.col("pid").alias("rid"), F.col("conv_id").alias("rc"), "block")
+    j = q.join(r, "block").filter((F.col("conv_id") % 2) != (F.col("rc") % 2))
     return j.groupBy("pid").agg(F.min_by("rid", F.struct(h28(F.concat_ws("-", "pid", "rid")), "rid")).alias("rejected"))
 
 
-@query("rag_prompt")
+@query("rag_prompt", f"SELECT qid, string_agg('[' || cid::VARCHAR || '] ' || text, chr(10) ORDER BY cid) AS prompt FROM ({ORACLE['context_fit']}) JOIN documents ON cid = doc_id GROUP BY qid")
 def rag_prompt(spark, d):
     """Prompt of a query with the whole texts of its best documents that fit the window."""
     fit = retrieval.context_fit(spark, d).join(table(spark, d, "documents").select(F.col("doc_id").alias("cid"), F.col("text").alias("t")), "cid")
@@ -216,60 +217,74 @@ def closeness(docs: DataFrame) -> DataFrame:
     return t.select("doc_id", "t").mapInArrow(products, "doc_id long, dot long, square long").select("doc_id", F.round(F.col("dot") / F.sqrt("square"), 6).alias("s"))
 
 
-@query("proximity_batches")
+_SQL_TRIGRAMS = "(SELECT doc_id, lang, g, count(*) AS c FROM (SELECT doc_id, lang, unnest(list_transform(range(1, length(t) - 1), lambda i: substr(t, i, 3))) AS g FROM (SELECT doc_id, lang, lower(text) AS t FROM documents) WHERE length(t) >= 3) GROUP BY ALL)"
+
+
+@query("proximity_batches", f"WITH g AS MATERIALIZED {_SQL_TRIGRAMS}, r AS (SELECT g, sum(c) AS r FROM g WHERE lang = 'en' GROUP BY g), s AS (SELECT doc_id, round((coalesce(sum(c * r), 0) / sqrt(sum(c * c)))::DOUBLE, 6) AS s FROM g LEFT JOIN r USING (g) GROUP BY doc_id) SELECT doc_id, ntile(5) OVER (ORDER BY -s, doc_id)::INT AS batch FROM s")
 def proximity(spark, d):
-    """Documents in five batches by the cosine of their letter trigrams to those of the reference language."""
-    cos = dedup.reliable(closeness(table(spark, d, "documents")))
-    cut = cos.agg(F.percentile_approx("s", [0.8, 0.6, 0.4, 0.2], 10000).alias("q"))
-    return cos.crossJoin(F.broadcast(cut)).select("doc_id", (1 + F.size(F.filter("q", lambda x: F.col("s") < x))).alias("batch"))
+    """Documents in five batches of equal size by the cosine of their letter trigrams to those of the reference language,
+    the nearest first; the batches' ends come from ranks over ranges."""
+    cos = dedup.reliable(closeness(table(spark, d, "documents")).withColumn("far", -F.col("s")))
+    cuts = cut_points(cos, ["far", "doc_id"], 5)
+    return cos.crossJoin(F.broadcast(cuts)).select("doc_id", (1 + F.size(F.filter("cuts", lambda c: c <= F.struct("far", "doc_id")))).alias("batch"))
 
 
-@query("map_in_arrow_sig")
+@query("map_in_arrow_sig", f"SELECT doc_id, sig[1] AS first, sig[{dedup.BANDS * dedup.ROWS}] AS last FROM ({dedup.sql_signatures()})")
 def sig(spark, d):
-    return dedup.minhash_signatures(table(spark, d, "documents")).select("doc_id", F.size("sig").alias("n"))
+    """Two entries of each signature: what a batch operator over whole texts returns."""
+    return dedup.minhash_signatures(table(spark, d, "documents")).select("doc_id", F.col("sig")[0].alias("first"), F.get("sig", F.lit(dedup.BANDS * dedup.ROWS - 1)).alias("last"))
 
 
 @query("udf_arrow_wer")
 def udf_wer(spark, d):
-    return evaluation.wer(spark, d)
+    """Word errors of each hypothesis by a scalar Arrow UDF, a column beside the built-in ones."""
+
+    @F.arrow_udf("long")
+    def errors(hyp: pa.Array, ref: pa.Array) -> pa.Array:
+        return pa.array([evaluation.word_errors(h.split(" "), r.split(" ")) for h, r in zip(hyp.to_pylist(), ref.to_pylist())], pa.int64())
+
+    return evaluation.hypotheses(table(spark, d, "benchmark")).select("system", "id", errors("hyp", "ref").alias("errors"))
 
 
-@query("udf_grouped_agg")
+@query("udf_grouped_agg", "SELECT event_type, list(v ORDER BY v)[(count(*) // 2 + 1)::INT] AS median FROM (SELECT event_type, round(value, 1) AS v FROM events WHERE value IS NOT NULL) GROUP BY event_type")
 def udf_grouped(spark, d):
-    """A grouped Arrow aggregate: median of a group's values."""
+    """A grouped Arrow aggregate: the upper median of a group's values to one place. Equal values are counted first, so a
+    group's rows in the worker are its distinct values, not its events."""
 
     def median(group: pa.Table) -> pa.Table:
-        v = sorted(group.column("value").to_pylist())
-        return pa.table({"event_type": [group.column("event_type")[0].as_py()], "median": [v[len(v) // 2]]})
-
-    return table(spark, d, "events").select("event_type", "value").groupBy("event_type").applyInArrow(median, "event_type string, median double")
+        group = group.sort_by("v")
+        upto = np.cumsum(group.column("n").to_numpy())
+        at = int(np.searchsorted(upto, upto[-1] // 2, "right"))
+        return pa.table({"event_type": [group.column("event_type")[0].as_py()], "median": [group.column("v")[at].as_py()]})
+
+    counts = table(spark, d, "events").filter("value is not null").groupBy("event_type", F.round("value", 1).alias("v")).agg(F.count("*").alias("n"))
+    return counts.groupBy("event_type").applyInArrow(median, "event_type string, median double")
+
+
+class LineChunks:
+    """Table function: line-bounded chunks of a text, at most `most` words each, a greedy fold over its lines."""
+
+    def eval(self, text: str, most: int) -> Iterator[tuple[int, int]]:
+        pos = held = 0
+        for line in (text or "").split("\n"):
+            n = len(line.split())
+            if held and held + n > most:
+                yield pos, held
+                pos, held = pos + 1, 0
+            while held + n > most:
+                yield pos, most
+                pos, n = pos + 1, n - (most - held)
+                held = 0
+            held += n
+        if held:
+            yield pos, held
 
 
 @query("udtf_chunks")
 def udtf_chunks(spark, d):
-    """Line-bounded chunks of at most 60 words, a greedy fold over each document's lines."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            rows = []
-            for doc_id, text in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist()):
-                pos, held = 0, []
-                for line in (text or "").split("\n"):
-                    w = line.split()
-                    while w or held:
-                        if held and len(held) + len(w) > 60:
-                            rows.append((doc_id, pos, len(held)))
-                            pos, held = pos + 1, []
-                            continue
-                        held, w = held + w[: 60 - len(held)], w[60 - len(held) :]
-                        if not w:
-                            break
-                if held:
-                    rows.append((doc_id, pos, len(held)))
-            c = list(zip(*rows)) or [(), (), ()]
-            yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int32()), pa.array(c[2], pa.int32())], names=["doc_id", "pos", "n"])
-
-    return table(spark, d, "documents").select("doc_id", "text").mapInArrow(run, "doc_id long, pos int, n int")
+    """Line-bounded chunks of at most 60 words through a table function, joined laterally to each document."""
+    chunks = F.udtf(LineChunks, returnType="pos int, n int", useArrow=True)
+    return table(spark, d, "documents").select("doc_id", "text").lateralJoin(chunks(F.col("text").outer(), F.lit(60))).select("doc_id", "pos", "n")
 
 
 @query("json_roundtrip", "SELECT doc_id, lang, n_chars FROM documents")

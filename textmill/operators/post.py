@@ -10,10 +10,13 @@ from pyspark.sql import functions as F
 
 from ..catalog import query, table
 from ..functions.text import h28, ratio, sql_h28, sql_ratio, words
+from ..plans.ranks import cut_points
 
 _SQL_W = "list_filter(string_split_regex(lower(text), '[ \\t\\n\\r]+'), lambda x: x <> '')"
 _SQL_PAIRS = """(SELECT conv_id, turn, text AS prompt, lead(text) OVER (PARTITION BY conv_id ORDER BY turn) AS response, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS next_role, role FROM conversations)"""
-_SQL_QA = f"(SELECT conv_id * 1000 + turn AS pid, conv_id, turn, prompt, response FROM {_SQL_PAIRS} WHERE role = 'user' AND next_role = 'assistant')"
+#: An exchange's number is that of its dialog times this, plus its turn.
+TURNS = 1 << 24
+_SQL_QA = f"(SELECT conv_id * {TURNS} + turn AS pid, conv_id, turn, prompt, response FROM {_SQL_PAIRS} WHERE role = 'user' AND next_role = 'assistant')"
 
 
 def samples(conv: DataFrame) -> DataFrame:
@@ -39,17 +42,21 @@ def exchanges(conv: DataFrame) -> DataFrame:
     """pid, conv_id, turn, prompt, response of each user turn that an assistant answers."""
     w = Window.partitionBy("conv_id").orderBy("turn")
     p = conv.select("conv_id", "turn", "role", F.col("text").alias("prompt"), F.lead("text").over(w).alias("response"), F.lead("role").over(w).alias("next"))
-    return p.filter("role = 'user' and next = 'assistant'").select((F.col("conv_id") * 1000 + F.col("turn")).alias("pid"), "conv_id", "turn", "prompt", "response")
+    return p.filter("role = 'user' and next = 'assistant'").select((F.col("conv_id") * TURNS + F.col("turn")).alias("pid"), "conv_id", "turn", "prompt", "response")
 
 
 _SQL_ANN = f"(SELECT pid, conv_id, turn, ({sql_h28('conv_id::VARCHAR')} % 11)::INT AS capability, ntile(3) OVER (ORDER BY len(string_split(prompt, ' ')), pid)::INT AS complexity, CASE WHEN contains(response, chr(10)) THEN 'lines' ELSE 'plain' END AS style, prompt, response FROM {_SQL_QA})"
 
 
 def annotate(qa: DataFrame) -> DataFrame:
-    """Capability (11 classes), complexity (terciles of prompt length) and style of each exchange."""
+    """Capability (11 classes), complexity (terciles of prompt length) and style of each exchange. The terciles' ends are
+    found by ranks over ranges; no task sees all exchanges."""
     n = F.size(F.split("prompt", " "))
-    ranked = F.ntile(3).over(Window.orderBy(n, "pid"))
-    return qa.select("*", (h28(F.col("conv_id").cast("string")) % 11).cast("int").alias("capability"), ranked.alias("complexity"), F.when(F.contains("response", F.lit("\n")), "lines").otherwise("plain").alias("style"))
+    cuts = cut_points(qa.select(n.alias("n_"), "pid"), ["n_", "pid"], 3)
+    complexity = 1 + F.size(F.filter("cuts", lambda c: c <= F.struct(n.alias("n_"), F.col("pid"))))
+    capability = (h28(F.col("conv_id").cast("string")) % 11).cast("int")
+    style = F.when(F.contains("response", F.lit("\n")), "lines").otherwise("plain")
+    return qa.crossJoin(F.broadcast(cuts)).select(*qa.columns, capability.alias("capability"), complexity.alias("complexity"), style.alias("style"))  # cuts is one row
 
 
 @query("sample_annotations", f"SELECT pid, capability, complexity, style FROM {_SQL_ANN}")
@@ -128,16 +135,25 @@ def funnel(spark, d):
     return out
 
 
+#: Exchanges of a block in which answers are exchanged; blocks are by hash, as many as the table needs.
+BLOCK = 64
+_SQL_BLOCKS = f"(SELECT greatest(16, (count(*) + {BLOCK - 1}) // {BLOCK}) FROM {_SQL_QA})"
+
 # Candidate answers of a prompt: its own and the three of other dialogs that come first in a hash order of the prompt.
 _SQL_CAND = f"""(SELECT pid, prompt, rid, response FROM (SELECT p.pid, p.prompt, r.pid AS rid, r.response, row_number() OVER (PARTITION BY p.pid ORDER BY (p.pid <> r.pid)::INT, {sql_h28("p.pid::VARCHAR || '-' || r.pid::VARCHAR")}, r.pid) AS rn
-  FROM {_SQL_QA} p JOIN {_SQL_QA} r ON p.pid = r.pid OR ({sql_h28('p.pid::VARCHAR')} % 16 = {sql_h28('r.pid::VARCHAR')} % 16 AND p.conv_id <> r.conv_id)) WHERE rn <= 4)"""
+  FROM {_SQL_QA} p JOIN {_SQL_QA} r ON {sql_h28('p.pid::VARCHAR')} % {_SQL_BLOCKS} = {sql_h28('r.pid::VARCHAR')} % {_SQL_BLOCKS} AND (p.pid = r.pid OR p.conv_id <> r.conv_id)) WHERE rn <= 4)"""
+
+
+def in_blocks(qa: DataFrame) -> DataFrame:
+    """qa with its hash block; blocks hold about BLOCK exchanges however many there are, so a join of blocks is linear."""
+    return qa.withColumn("block", h28(F.col("pid").cast("string")) % max(16, -(-qa.count() // BLOCK)))
 
 
-def generate(qa: DataFrame, blocks: int = 16, k: int = 4) -> DataFrame:
+def generate(qa: DataFrame, k: int = 4) -> DataFrame:
     """k answers per prompt; other dialogs' answers stand for other models. Blocks by hash bound the comparison."""
-    b = (h28(F.col("pid").cast("string")) % blocks).alias("block")
-    p = qa.select("pid", "conv_id", "prompt", b)
-    r = qa.select(F.col("pid").alias("rid"), F.col("conv_id").alias("rconv"), "response", b)
+    qa = in_blocks(qa)
+    p = qa.select("pid", "conv_id", "prompt", "block")
+    r = qa.select(F.col("pid").alias("rid"), F.col("conv_id").alias("rconv"), "response", "block")
     j = p.join(r, "block").filter((F.col("pid") == F.col("rid")) | (F.col("conv_id") != F.col("rconv")))
     order = Window.partitionBy("pid").orderBy((F.col("pid") != F.col("rid")).cast("int"), h28(F.concat_ws("-", "pid", "rid")), "rid")
     return j.withColumn("rn", F.row_number().over(order)).filter(F.col("rn") <= k).select("pid", "prompt", "rid", "response")
@@ -225,12 +241,6 @@ def dislike_reasons(spark, d):
     return votes(table(spark, d, "events")).filter("event_type = 'error'").groupBy((F.col("prompt") % 8).alias("reason")).agg(F.count("*").alias("n"))
 
 
-@query("deployment_gate", "SELECT model, auto > 60 AND human > 0.5 AS promote FROM (VALUES ('a', 61.0, 0.55), ('b', 64.0, 0.48), ('c', 58.0, 0.70)) t(model, auto, human)")
-def gate(spark, d):
-    """Promotion only if both the benchmark and the users say better."""
-    return spark.createDataFrame([("a", 61.0, 0.55), ("b", 64.0, 0.48), ("c", 58.0, 0.70)], "model string, auto double, human double").select("model", ((F.col("auto") > 60) & (F.col("human") > 0.5)).alias("promote"))
-
-
 @query("anneal_subset", f"SELECT pid, capability FROM (SELECT pid, capability, row_number() OVER (PARTITION BY capability ORDER BY score DESC, pid) AS rn FROM {_SQL_L3}) WHERE rn <= 3")
 def anneal(spark, d, n: int = 3):
     rn = F.row_number().over(Window.partitionBy("capability").orderBy(F.desc("score"), "pid"))

@@ -230,7 +230,7 @@ _functions("fn_string", "documents", "doc_id, upper(lang) || '-' || lpad(source,
 _functions("fn_regex", "documents", "doc_id, regexp_extract(text, '([A-Z][a-z]+)', 1) AS first_cap, len(regexp_extract_all(text, '[0-9]+'))::INT AS n_numbers", lambda: ["doc_id", F.regexp_extract("text", "([A-Z][a-z]+)", 1).alias("first_cap"), F.regexp_count("text", F.lit("[0-9]+")).alias("n_numbers")])
 _functions("fn_date", "events", "event_id, date_trunc('day', ts)::DATE AS day, extract(hour FROM ts)::INT AS h, date_diff('day', TIMESTAMP '2024-01-01', ts)::INT AS n", lambda: ["event_id", F.to_date("ts").alias("day"), F.hour("ts").alias("h"), F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")).alias("n")])
 _functions("fn_math", "lineitem", "l_orderkey, l_linenumber, round(sqrt(l_quantity), 6) AS s, floor(l_quantity / 7)::BIGINT AS f, round(ln(l_quantity), 6) AS l", lambda: ["l_orderkey", "l_linenumber", F.round(F.sqrt("l_quantity"), 6).alias("s"), F.floor(F.col("l_quantity") / 7).alias("f"), F.round(F.log("l_quantity"), 6).alias("l")])
-_functions("fn_array", "documents", "doc_id, len(string_split(text, ' '))::INT AS n, list_sort(list_distinct(string_split(text[1:200], ' '))) AS w", lambda: ["doc_id", F.size(F.split("text", " ")).alias("n"), F.array_sort(F.array_distinct(F.split(F.substring("text", 1, 200), " "))).alias("w")])
+_functions("fn_array", "documents", "doc_id, len(string_split(text, ' '))::INT AS n, md5(array_to_string(list_sort(list_distinct(string_split(text, ' '))), ' ')) AS w", lambda: ["doc_id", F.size(F.split("text", " ")).alias("n"), F.md5(F.array_join(F.array_sort(F.array_distinct(F.split("text", " "))), " ").cast("binary")).alias("w")])
 _functions("fn_map", "documents", "doc_id, 'source' AS k, source AS v", lambda: ["doc_id", F.explode(F.map_filter(F.create_map(F.lit("lang"), "lang", F.lit("source"), "source"), lambda k, v: k == "source")).alias("k", "v")])
 _functions("fn_json", "events", "event_id, (props->>'$.k')::INT AS k", lambda: ["event_id", F.get_json_object("props", "$.k").cast("int").alias("k")])
 _functions("fn_hash", "documents", "doc_id, md5(text) AS m, sha256(text) AS s", lambda: ["doc_id", F.md5("text").alias("m"), F.sha2("text", 256).alias("s")])

@@ -10,6 +10,8 @@ from ..functions.text import SQL_WORDS, ratio, sql_ratio, words
 from .dedup import cosine
 
 TOP, KEPT, CHUNK, OVERLAP = 20, 4, 2048, 50
+#: The queries of a search: one vector in twenty.
+ASKED = "vec_id % 20 = 0"
 
 
 @query("chunk_fixed", f"SELECT doc_id, pos::INT AS pos, len(w[s:s+255])::INT AS n_tok, md5(array_to_string(w[s:s+255], ' ')) AS digest FROM (SELECT doc_id, w, unnest(range(0, greatest(1, ((len(w) - 50 + 205) // 206)))) AS pos FROM (SELECT doc_id, {SQL_WORDS} AS w FROM documents) WHERE len(w) > 0) t, LATERAL (SELECT pos * 206 + 1 AS s)")
@@ -23,7 +25,7 @@ def chunks(spark, d, size: int = 256, overlap: int = 50):
     return each.select("doc_id", F.col("p").cast("int").alias("pos"), F.size(part).alias("n_tok"), F.md5(F.array_join(part, " ").cast("binary")).alias("digest"))
 
 
-_SQL_TOP = "(SELECT q.vec_id AS qid, c.vec_id AS cid, round(list_dot_product(q.embedding::DOUBLE[], c.embedding::DOUBLE[]), 6) AS sim FROM embeddings q JOIN embeddings c ON q.vec_id <> c.vec_id WHERE q.vec_id % 50 = 0 AND sim >= 0.1 QUALIFY row_number() OVER (PARTITION BY q.vec_id ORDER BY sim DESC, c.vec_id) <= 20)"
+_SQL_TOP = f"(SELECT q.vec_id AS qid, c.vec_id AS cid, round(list_dot_product(q.embedding::DOUBLE[], c.embedding::DOUBLE[]), 6) AS sim FROM embeddings q JOIN embeddings c ON q.vec_id <> c.vec_id WHERE q.{ASKED} AND sim >= 0.1 QUALIFY row_number() OVER (PARTITION BY q.vec_id ORDER BY sim DESC, c.vec_id) <= 20)"
 
 
 def search(queries: DataFrame, corpus: DataFrame, k: int = TOP, least: float = 0.1) -> DataFrame:
@@ -37,7 +39,7 @@ def search(queries: DataFrame, corpus: DataFrame, k: int = TOP, least: float = 0
 @query("vector_topk", f"SELECT * FROM {_SQL_TOP}")
 def _topk(spark, d):
     e = table(spark, d, "embeddings")
-    return search(e.filter("vec_id % 50 = 0"), e)
+    return search(e.filter(ASKED), e)
 
 
 @query("rerank_top4", f"SELECT qid, cid FROM {_SQL_TOP} JOIN embeddings ON cid = vec_id QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round(sim + 0.01 * label, 6) DESC, cid) <= 4")

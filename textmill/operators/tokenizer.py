@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from ..catalog import query, table
 from ..functions.text import SQL_WORDS, ratio, sql_ratio, words
+from ..plans.components import reliable
 
 #: Affixes of the Latin stand-in, longest match first; a stem keeps three letters at least.
 PREFIXES, SUFFIXES, STEM = ("unter", "über", "ver", "zu", "be", "re", "en", "un"), ("ungen", "keit", "heit", "ment", "tion", "ing", "ung", "lich", "able", "ble", "ed", "ly", "es", "en", "er"), 3
@@ -163,40 +164,53 @@ def boundary_f1(tokens: list[str], morphemes: list[str]) -> float:
     return 1.0 if not a and not b else 2 * len(a & b) / max(len(a) + len(b), 1)
 
 
-def _measured(freq: DataFrame, name: str, encode: Callable[[str], list[str]], segment: Segmenter) -> DataFrame:
-    """One row of measures of a tokenizer; each distinct word is encoded once and weighs its count."""
+#: Word types, the commonest ones, that a byte-pair trainer on the driver takes: a bound that doesn't grow with the corpus.
+TYPES = 1_000_000
+
+
+def trained(freq: DataFrame, merges: int, segment: Segmenter, most: int = TYPES) -> tuple[dict, dict]:
+    """Ranks of plain and of morpheme-bounded merges, of the `most` commonest words (word, cnt)."""
+    words_, pieces = [], Counter()
+    for r in freq.orderBy(F.desc("cnt"), "word").limit(most).toLocalIterator():
+        words_.append((r.word, r.cnt))
+        for p in segment(r.word):
+            pieces[p] += r.cnt
+    ranks = lambda merged: {(a, b): i for i, (a, b, _) in enumerate(merged)}
+    return ranks(bpe_train(words_, merges)), ranks(bpe_train(sorted(pieces.items()), merges))
+
+
+def measured(freq: DataFrame, ways: dict[str, Callable[[str], list[str]]], segment: Segmenter) -> DataFrame:
+    """One row of measures of each tokenizer. Each distinct word is encoded once by each, in one pass; a batch sends one row a
+    tokenizer."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = [(encode(w), segment(w)) for w in b.column("word").to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column("cnt"), pa.array([len(t) for t, _ in rows]), pa.array([alignment(t, m) for t, m in rows]), pa.array([boundary_f1(t, m) for t, m in rows])], names=["cnt", "n", "a", "f"])
+            words_, cnt = b.column("word").to_pylist(), b.column("cnt").to_pylist()
+            morphemes, rows = [segment(w) for w in words_], []
+            for name, encode in ways.items():
+                s = [0, 0, 0.0, 0.0]
+                for w, m, c in zip(words_, morphemes, cnt):
+                    t = encode(w)
+                    s[0], s[1], s[2], s[3] = s[0] + c * len(t), s[1] + c, s[2] + c * alignment(t, m), s[3] + c * boundary_f1(t, m)
+                rows.append((name, *s))
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.string(), pa.int64(), pa.int64(), pa.float64(), pa.float64()))], names=["tokenizer", "tokens", "words", "a", "f"])
 
-    m = freq.mapInArrow(run, "cnt long, n long, a double, f double")
-    c = F.col("cnt")
-    return m.agg(F.sum(c * F.col("n")).alias("tokens"), F.sum(c).alias("words"), F.sum(c * F.col("a")).alias("a"), F.sum(c * F.col("f")).alias("f")).select(F.lit(name).alias("tokenizer"), "tokens", ratio(F.col("tokens"), F.col("words")).alias("fertility"), F.round(F.col("a") / F.col("words"), 6).alias("alignment"), F.round(F.col("f") / F.col("words"), 6).alias("boundary_f1"))
+    m = freq.select("word", "cnt").mapInArrow(run, "tokenizer string, tokens long, words long, a double, f double")
+    s = m.groupBy("tokenizer").agg(*[F.sum(c).alias(c) for c in ("tokens", "words", "a", "f")])
+    return s.select("tokenizer", "tokens", ratio(F.col("tokens"), F.col("words")).alias("fertility"), F.round(F.col("a") / F.col("words"), 6).alias("alignment"), F.round(F.col("f") / F.col("words"), 6).alias("boundary_f1"))
 
 
 @query("tokenizer_comparison")
 def tokenizer_comparison(spark, d, merges: int = 300):
-    """Characters, bytes, plain BPE and morpheme-bounded BPE on fertility and alignment. The trainer takes distinct
-    words seen twice or more; their number, not the corpus, is what reaches the driver."""
-    freq = _freq(spark, d)
-    words_, pieces = [], Counter()
-    for r in freq.filter("cnt >= 2").toLocalIterator():
-        words_.append((r.word, r.cnt))
-        for p in affix_segments(r.word):
-            pieces[p] += r.cnt
-    plain = {(a, b): i for i, (a, b, _) in enumerate(bpe_train(words_, merges))}
-    bounded = {(a, b): i for i, (a, b, _) in enumerate(bpe_train(sorted(pieces.items()), merges))}
+    """Characters, bytes, plain BPE and morpheme-bounded BPE on fertility and alignment over all words. Words are counted
+    once; the trainer takes the commonest million of them."""
+    freq = reliable(_freq(spark, d))
+    plain, bounded = trained(freq, merges, affix_segments)
     ways = {
         "char": list, "byte": lambda w: [chr(b) for b in w.encode()], "bpe": lambda w: bpe_encode(w, plain),
         "bounded_bpe": lambda w: [t for m in affix_segments(w) for t in bpe_encode(m, bounded)], "bounded_unsegmented": lambda w: bpe_encode(w, bounded), "whitespace": lambda w: [w],
     }
-    out = None
-    for n, f in ways.items():
-        one = _measured(freq, n, f, affix_segments)
-        out = one if out is None else out.unionByName(one)
-    return out
+    return measured(freq, ways, affix_segments)
 
 
 @query("tokenizer_lengths", f"SELECT doc_id, len(w)::BIGINT AS by_word, length(array_to_string(w, ''))::BIGINT AS by_char, strlen(array_to_string(w, ''))::BIGINT AS by_byte FROM (SELECT doc_id, {SQL_WORDS} AS w FROM documents)")
