@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from textmill.llm import chat_format, decontaminate, mixing, quality_classifier, quality_rules, secret_scan, simhash, substring_dedup, suffix_dedup, token_output
 from textmill.llm.fm_index import FMIndex
 
-SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, size long, key string, n long, rank int"
+SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, size long, key string, n long, rank int, k1 long, k1_ long, t long, row_ string, number_ int, id_ long, times_ long, digest_ long"
 
 
 def edge(spark):
@@ -24,7 +24,7 @@ def edge(spark):
         (3, "same text " * 60, "en", "b", 1, 1, "k", 1, 1), (3, "same text " * 60, "en", "b", 1, 1, "k", 1, 1), (4, "same text " * 60, "fr", None, 1, 1, "k", 1, 1),
         (5, long, "de", "c", 1, 1, "k", 1, 1), (6, " \n\t ", "es", "", 1, 1, "k", 1, 1), (None, None, None, None, None, None, None, None, None),
     ]
-    return spark.createDataFrame(rows, SCHEMA)
+    return spark.createDataFrame([(*r, 1, None, 1, "x", None, 3, 0, 1) for r in rows], SCHEMA)
 
 
 def empty(spark):
@@ -204,7 +204,11 @@ def test_classifier_edges(spark):
     assert len(rows) == 9 and all(0 <= r.score <= 1 for r in rows)
     assert {r.score for r in quality_classifier.classify(edge(spark), labels.limit(0)).collect()} == {0.5}
     assert quality_classifier.classify(empty(spark), labels).count() == 0
-    assert quality_classifier.keep_good(edge(spark), labels).columns == edge(spark).columns
+    kept = quality_classifier.keep_good(edge(spark), labels)
+    good = Counter(r.doc_id for r in rows if r.predicted)
+    assert kept.columns == edge(spark).columns and Counter(r.doc_id for r in kept.collect()) == good
+    assert quality_classifier.keep_good(edge(spark), labels.limit(0)).count() == 9
+    assert quality_classifier.keep_good(empty(spark), labels).count() == 0
 
 
 def test_isotonic():
@@ -274,7 +278,8 @@ def test_decontaminate_edges(spark, way):
     assert {r.doc_id for r in decontaminate.contaminated(edge(spark), b).collect()} == {3, 4, 5}
     assert decontaminate.contaminated(edge(spark), b.limit(0)).count() == 0
     assert decontaminate.contaminated(empty(spark), b).count() == 0
-    assert decontaminate.keep_clean(edge(spark), b).count() == 5
+    kept = decontaminate.keep_clean(edge(spark), b)
+    assert kept.columns == edge(spark).columns and Counter(r.doc_id for r in kept.collect()) == Counter([1, 2, 6, None, None])
 
 
 def test_mixing(spark, sf):
@@ -296,10 +301,28 @@ def test_mixing_targets(spark):
 
 def test_mixing_edges(spark):
     out = mixing.mix(edge(spark))
-    assert out.columns == edge(spark).columns and out.count() >= 0
-    assert mixing.mix(empty(spark)).count() == 0
-    rows = mixing.mix_sizes(edge(spark).select("doc_id", "source", F.coalesce("size", F.lit(0)).alias("size"), "n", "key")).collect()
+    got = Counter(r.doc_id for r in out.collect())
+    rows = mixing.mix_sizes(edge(spark).select("doc_id", "source", F.size(F.expr("filter(split(coalesce(text, ''), '[ \\t\\n]+'), x -> x <> '')")).cast("long").alias("size"), "n", "key")).collect()
     assert len(rows) == 9 and all(0 <= r.copies <= 3 for r in rows)
+    want = Counter()
+    for r in rows:
+        want[r.doc_id] += r.copies * (r.copies > 0)
+    assert out.columns == edge(spark).columns and got == +want
+    assert mixing.mix(empty(spark)).count() == 0
+
+
+def test_mixing_rows_alike(spark):
+    """Rows alike, spread over tasks, share their copies as evenly as they can; others are as often there as they are taken."""
+    rows = [(7, "one two three", "a", i) for i in range(50)] + [(i, "w " * (i % 9 + 1), "ab"[i % 2], i) for i in range(100, 180)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, times_ long").repartition(6)
+    light = docs.select("doc_id", "source", F.size(F.split(F.trim("text"), " ")).cast("long").alias("size"))
+    want = Counter()
+    for r in mixing.mix_sizes(light).collect():
+        want[r.doc_id] += r.copies
+    out = mixing.mix(docs).collect()
+    assert Counter(r.doc_id for r in out) == +want
+    each = Counter(r.times_ for r in out if r.doc_id == 7)
+    assert max(each.values()) - min([each[i] for i in range(50)]) <= 1
 
 
 def test_tokens_round_trip(spark, tmp_path):
@@ -408,6 +431,8 @@ def test_reply_tree_branches(spark):
     df = spark.createDataFrame(nodes, "conv_id long, node long, parent long, role string, text string, score double")
     got = chat_format.parsed(chat_format.format_trees(df)).orderBy("branch").collect()
     assert [[t.text for t in r.turns] for r in got] == [["q", "good", "more"], ["orphan"], ["q", "bad"]]
+    again = chat_format.parsed(chat_format.format_trees(df.unionByName(df).unionByName(df.withColumn("text", F.concat("text", F.lit("z")))))).orderBy("branch").collect()
+    assert [[t.text for t in r.turns] for r in again] == [[t.text for t in r.turns] for r in got]
     chain = spark.range(1, 400).select(F.lit(1).alias("conv_id"), F.col("id").alias("node"), (F.col("id") - 1).alias("parent"), F.lit("user").alias("role"), F.col("id").cast("string").alias("text"), F.lit(0.0).alias("score"))
     assert chat_format.parsed(chat_format.format_trees(chain)).select(F.size("turns")).first()[0] == 399
 

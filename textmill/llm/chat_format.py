@@ -59,11 +59,12 @@ def format_trees(nodes: DataFrame, most_branches: int | None = None) -> DataFram
     Columns: conv_id, node, parent (null: a root), role, text, score. Returns conv_id, branch (1 for the path with
     the highest mean score; ties by leaf), leaf, formatted, and loss: spans (start, end) in code points of formatted
     that cover the escaped text of each assistant turn. A null role or text is empty; a null conv_id is a
-    conversation of its own; a null score counts as 0; rows alike in conv_id and node must not occur; an empty table
-    gives an empty result.
+    conversation of its own; a null score counts as 0; of rows alike in conv_id and node the
+    least by parent, role, text and score counts; an empty table gives an empty result.
     """
     score = F.coalesce(F.col("score").cast("double"), F.lit(0.0))
     n = nodes.select(F.coalesce(F.col("conv_id").cast("long"), F.lit(_NONE)).alias("conv"), F.col("node").cast("long").alias("node"), F.col("parent").cast("long").alias("parent"), F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"), score.alias("score"))
+    n = n.groupBy("conv", "node").agg(F.min(F.struct("parent", "role", "text", "score")).alias("m")).select("conv", "node", "m.*")
     way = paths(n.select("conv", "node", "parent")).select(F.col("conv").alias("c_"), F.col("leaf"), F.col("node").alias("n_"), "back")
     turn = F.struct((-F.col("back")).alias("at"), "role", "text")
     threads = way.join(n, (F.col("c_") == F.col("conv")) & (F.col("n_") == F.col("node"))).groupBy("conv", "leaf").agg(F.sort_array(F.collect_list(turn)).alias("turns"), F.avg("score").alias("score"))

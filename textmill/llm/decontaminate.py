@@ -298,7 +298,8 @@ def keep_clean(docs: DataFrame, benchmark: DataFrame, least: int = LEAST_WORDS,
         bad = _joined(common.keyed(docs), items, least, share).select(F.col("k1").alias("k1_"), F.col("k2").alias("k2_")).distinct()
         text = F.coalesce("text", F.lit(""))
         k1, k2 = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62) - 1)), F.hash(F.xxhash64(text), F.col("doc_id").isNull())
-        return docs.join(bad, (k1 == F.col("k1_")) & (k2 == F.col("k2_")), "left_anti")
+        rows = docs.select(F.struct(*docs.columns).alias("row_"), k1.alias("k1"), k2.alias("k2"))  # names can't clash
+        return rows.join(bad, (F.col("k1") == F.col("k1_")) & (F.col("k2") == F.col("k2_")), "left_anti").select("row_.*")
     find = _found(Seeds(few, least, share))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -159,16 +159,28 @@ def mix_sizes(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int =
 def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST_COPIES) -> DataFrame:
     """The mix itself: the rows of docs, all columns, each as often as mix_sizes() takes it by its number of words.
 
-    Columns used: doc_id, source, text. Rows alike in doc_id and text share the copies that their sizes were given.
+    Columns used: doc_id, source, text. Rows alike in doc_id and text share the copies that their sizes were given, as
+    evenly as they can: they are numbered within tasks, and tasks by the rows of those before. A null text is taken
+    never, a null doc_id or source is one of its own, an empty table stays empty, columns of any name are carried along.
     """
     text = F.coalesce("text", F.lit(""))
     key = [F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62))).alias("k1_"), F.xxhash64(text, F.col("doc_id").isNull()).alias("k2_")]
     light = docs.select("doc_id", "source", common.n_words(F.col("text")).alias("size"), *key)
-    copies = mix_sizes(light, weights, most).groupBy("k1_", "k2_").agg(F.sort_array(F.collect_list("copies")).alias("each_")).filter("element_at(each_, -1) > 0")
-    number = F.row_number().over(Window.partitionBy("k1_", "k2_").orderBy(F.lit(1)))
-    rows = docs.select(*docs.columns, *key).withColumn("number_", number).join(copies, ["k1_", "k2_"])
-    times = F.element_at("each_", F.least(F.col("number_"), F.size("each_")))
-    return rows.filter(times > 0).withColumn("copy_", F.explode(F.sequence(F.lit(1), times))).select(*docs.columns)
+    copies = mix_sizes(light, weights, most).groupBy("k1_", "k2_").agg(F.count("*").alias("n_"), F.sum("copies").alias("times_"))
+    copies = common.stored(copies.filter("times_ > 0"))
+    keyed = docs.select(F.struct(*docs.columns).alias("row_"), *key)  # all columns travel in one, so their names can't clash
+    once = common.dealt_join(keyed, copies.filter("n_ = 1"), "k1_", "k2_")
+    alike = copies.filter("n_ > 1")
+    if not alike.isEmpty():
+        rows = common.stored(common.dealt_join(keyed, alike, "k1_", "k2_").withColumn("part_", F.spark_partition_id()))
+        parts = rows.groupBy("k1_", "k2_", "part_").agg(F.count("*").alias("here_"))
+        before = F.sum("here_").over(Window.partitionBy("k1_", "k2_").orderBy("part_").rowsBetween(Window.unboundedPreceding, -1))  # a row a task
+        parts = parts.select("k1_", "k2_", "part_", F.coalesce(before, F.lit(0)).alias("before_"))
+        number = F.row_number().over(Window.partitionBy("k1_", "k2_", "part_").orderBy(F.lit(1)))
+        numbered = rows.withColumn("number_", number).join(parts, ["k1_", "k2_", "part_"])
+        times = F.floor(F.col("times_") / F.col("n_")) + (F.col("before_") + F.col("number_") <= F.col("times_") % F.col("n_")).cast("int")
+        once = once.unionByName(numbered.withColumn("times_", times).select(*once.columns))
+    return once.filter("times_ > 0").select("row_", F.explode(F.sequence(F.lit(1), F.col("times_").cast("int"))).alias("copy_")).select("row_.*")
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -95,17 +95,20 @@ def fold(doc_id: Column) -> Column:
     return F.pmod(F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), F.lit(5)).cast("int")
 
 
-def fit(stats: DataFrame, labels: DataFrame, most: int = MOST_LABELLED, features: int = FEATURES) -> Model | None:
-    """Fits on labelled rows outside fold 0, `most` at most, chosen by a hash of doc_id; None where there are none.
+def chosen(labels: DataFrame, most: int = MOST_LABELLED) -> DataFrame:
+    """(id_, quality) of labelled rows outside fold 0, about `most` at most, chosen by a hash of doc_id; stored."""
+    good = labels.filter("quality is not null").select(F.col("doc_id").cast("long").alias("id_"), F.col("quality").cast("double").alias("quality"))
+    good = common.stored(good.filter(fold(F.col("id_")) != 0))
+    n = good.count()
+    return good if n <= most else common.stored(good.filter(F.pmod(F.xxhash64("id_"), F.lit(1 << 30)) < int((1 << 30) * most / n)))
+
+
+def fit(stats: DataFrame, good: DataFrame, features: int = FEATURES) -> Model | None:
+    """Fits on the chosen() rows among `stats`; None where there are none.
 
     Folds 1-3 give the ridge weights: each task sums the normal equations of its rows and the driver adds the sums.
     Fold 4 gives the calibration.
     """
-    good = labels.filter("quality is not null").select(F.col("doc_id").cast("long").alias("id_"), F.col("quality").cast("double").alias("quality"))
-    good = good.filter(fold(F.col("id_")) != 0)
-    n = good.count()
-    if n > most:
-        good = good.filter(F.pmod(F.xxhash64("id_"), F.lit(1 << 30)) < int((1 << 30) * most / n))
     rows = common.stored(stats.join(good, F.col("doc_id") == F.col("id_")).select("doc_id", "quality", "stats", fold(F.col("doc_id")).alias("fold")))
     moments = rows.select("doc_id", F.posexplode("stats").alias("i", "v")).groupBy("i").agg(F.avg("v").alias("m"), F.stddev_pop("v").alias("s")).collect()
     if not moments:
@@ -156,12 +159,18 @@ def classify(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED) -> D
     learned from; rows with a null quality are left out; repeated rows are scored one by one.
     """
     stats = common.stored(statistics_of(docs))
-    return score(stats, fit(stats, labels, most))
+    return score(stats, fit(stats, chosen(labels, most)))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED) -> DataFrame:
-    """The rows of docs, all columns, that are predicted good."""
-    model = fit(statistics_of(docs), labels, most)
+    """The rows of docs, all columns, that are predicted good.
+
+    The fit takes statistics of the chosen documents only, `most` ids that are sent to the tasks. Rows alike go or stay
+    alike; a null doc_id is judged like any other; without labels all rows stay; columns of any name are carried along.
+    """
+    good = chosen(labels, most)
+    few = docs.select("doc_id", "text").join(F.broadcast(good.select("id_").distinct()), F.col("doc_id").cast("long") == F.col("id_"), "left_semi")  # at most about `most` ids
+    model = fit(statistics_of(few), good)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in common.pieces(batches):

@@ -10,6 +10,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from . import common
 
@@ -494,19 +495,14 @@ def keep_one(docs: DataFrame, similarity: float = SIMILARITY, radius: int = RADI
     comp = components(found.filter("b is not null").select("a", "b").union(decided).union(pairs).union(stars))
     rooted = texts.select("t", "k1").join(comp, F.col("t") == F.col("node"), "left").select("t", "k1", F.coalesce("root", "t").alias("root"))
     kept = rooted.groupBy("root").agg(F.min(F.struct("k1", "t")).alias("m")).select(F.col("m.k1").alias("k1_"), F.col("m.t").alias("t_"))
-    digest = docs.mapInArrow(_with_digest, _with_fields(docs))
-    one = digest.join(kept, (F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62))) == F.col("k1_")) & (F.col("digest_") == F.col("t_")))
+    packed = docs.select(F.struct(*docs.columns).alias("row_"), key.alias("k1"))  # all columns travel in one, so their names can't clash
+    digest = packed.mapInArrow(_with_digest, StructType([*packed.schema.fields, StructField("t", LongType())]))
+    one = digest.join(kept, (F.col("k1") == F.col("k1_")) & (F.col("t") == F.col("t_")))
     number = F.row_number().over(Window.partitionBy("k1_", "t_").orderBy(F.lit(1)))
-    return one.withColumn("number_", number).filter("number_ = 1").select(*docs.columns)
-
-
-def _with_fields(docs: DataFrame):
-    from pyspark.sql.types import LongType, StructField, StructType
-
-    return StructType([*docs.schema.fields, StructField("digest_", LongType())])
+    return one.withColumn("number_", number).filter("number_ = 1").select("row_.*")
 
 
 def _with_digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in common.pieces(batches):
-        digest = [xxhash.xxh3_64_intdigest(t.as_buffer().to_pybytes() if t.is_valid else b"") - 2**63 for t in batch.column("text")]
-        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(digest, pa.int64())], names=[*batch.schema.names, "digest_"])
+        digest = [xxhash.xxh3_64_intdigest(t.as_buffer().to_pybytes() if t.is_valid else b"") - 2**63 for t in batch.column("row_").field("text")]
+        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(digest, pa.int64())], names=["row_", "k1", "t"])
