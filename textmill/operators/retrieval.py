@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -28,12 +32,66 @@ def chunks(spark, d, size: int = 256, overlap: int = 50):
 _SQL_TOP = f"(SELECT q.vec_id AS qid, c.vec_id AS cid, round(list_dot_product(q.embedding::DOUBLE[], c.embedding::DOUBLE[]), 6) AS sim FROM embeddings q JOIN embeddings c ON q.vec_id <> c.vec_id WHERE q.{ASKED} AND sim >= 0.1 QUALIFY row_number() OVER (PARTITION BY q.vec_id ORDER BY sim DESC, c.vec_id) <= 20)"
 
 
+#: Bytes of query vectors that a pass over the corpus takes to the tasks.
+PASS_BYTES = 32_000_000
+
+
+class _Best:
+    """The best k of each query so far, as (query, similarity, id) arrays."""
+
+    def __init__(self, k: int, least: float, n: int):
+        self.k, self.bound, self.held, self.size = k, np.full(n, least), [], 0
+
+    def add(self, q: np.ndarray, sim: np.ndarray, cid: np.ndarray) -> None:
+        self.held.append((q, sim, cid))
+        self.size += len(q)
+        if self.size > 4 * self.k * len(self.bound) + 100_000:
+            self.cut()
+
+    def cut(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        q, sim, cid = (np.concatenate(x) for x in zip(*self.held)) if self.held else (np.zeros(0, np.int64), np.zeros(0), np.zeros(0, np.int64))
+        order = np.lexsort((cid, -sim, q))
+        q, sim, cid = q[order], sim[order], cid[order]
+        first = np.searchsorted(q, q, "left")
+        place = np.arange(len(q)) - first
+        last = place == self.k - 1
+        self.bound[q[last]] = np.maximum(self.bound[q[last]], sim[last])
+        top = place < self.k
+        self.held, self.size = [(q[top], sim[top], cid[top])], int(top.sum())
+        return self.held[0]
+
+
+def _nearest(ids: np.ndarray, vectors: np.ndarray, k: int, least: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best = _Best(k, least, len(ids))
+        for batch in batches:
+            for at in range(0, batch.num_rows, 2048):
+                part = batch.slice(at, 2048)
+                cid, x = part.column("vec_id").to_numpy(), part.column("embedding").flatten().to_numpy().reshape(part.num_rows, -1).astype(np.float64)
+                for lo in range(0, len(ids), 1024):
+                    sim = np.round(vectors[lo : lo + 1024] @ x.T, 6)
+                    q, c = np.nonzero((sim >= best.bound[lo : lo + 1024, None]) & (ids[lo : lo + 1024, None] != cid[None, :]))
+                    best.add(q + lo, sim[q, c], cid[c])
+        q, sim, cid = best.cut()
+        yield pa.RecordBatch.from_arrays([pa.array(ids[q]), pa.array(cid), pa.array(sim)], names=["qid", "cid", "sim"])
+
+    return run
+
+
 def search(queries: DataFrame, corpus: DataFrame, k: int = TOP, least: float = 0.1) -> DataFrame:
-    """(qid, cid, sim): top k above a threshold. Queries are a stated set; each task keeps its own best k of a query
-    before the shuffle (a window limit), so at most k rows of a query and task are sent."""
-    j = queries.select(F.col("vec_id").alias("qid"), F.col("embedding").alias("q")).join(corpus.select(F.col("vec_id").alias("cid"), F.col("embedding").alias("c")), F.col("qid") != F.col("cid"))
-    s = j.select("qid", "cid", F.round(cosine(F.col("q"), F.col("c")), 6).alias("sim")).filter(F.col("sim") >= least)
-    return s.withColumn("rn", F.row_number().over(Window.partitionBy("qid").orderBy(F.desc("sim"), "cid"))).filter(F.col("rn") <= k).select("qid", "cid", "sim")
+    """(qid, cid, sim): top k above a threshold by exact similarity, ties by id. Queries are a stated set; those of
+    PASS_BYTES of vectors go to all tasks at a time, each of which keeps its own best k of a query, so at most k rows of a
+    query and task are sent. A vector or id that is missing is left out."""
+    queries, corpus = (x.filter("vec_id is not null and embedding is not null").select(F.col("vec_id").cast("long").alias("vec_id"), "embedding") for x in (queries, corpus))
+    n, dim = queries.agg(F.count("*"), F.max(F.size("embedding"))).first()
+    out, passes = None, max(1, -(-n * (dim or 1) * 8 // PASS_BYTES))
+    for i in range(passes):
+        asked = queries.filter(F.pmod(F.xxhash64("vec_id"), F.lit(passes)) == i).toArrow().combine_chunks()
+        ids = asked.column("vec_id").to_numpy()
+        vectors = np.array(asked.column("embedding").to_pylist(), np.float64).reshape(len(ids), -1) if len(ids) else np.zeros((0, dim or 1))
+        one = corpus.mapInArrow(_nearest(ids, vectors, k, least), "qid long, cid long, sim double")
+        out = one if out is None else out.unionByName(one)
+    return out.withColumn("rn", F.row_number().over(Window.partitionBy("qid").orderBy(F.desc("sim"), "cid"))).filter(F.col("rn") <= k).select("qid", "cid", "sim")
 
 
 @query("vector_topk", f"SELECT * FROM {_SQL_TOP}")
