@@ -167,8 +167,10 @@ def test_keep_one_similarity(spark):
     assert sorted(r.doc_id for r in simhash.keep_one(docs).collect()) == [*range(20), *range(40, 60)]
 
 
-def test_keep_one_large_groups(spark):
+@pytest.mark.parametrize("block", [256, 7])
+def test_keep_one_large_groups(spark, monkeypatch, block):
     """A large group of near copies, of which some are alike only in steps, and texts that share half of it."""
+    monkeypatch.setattr(simhash, "BLOCK", block)
     rng = random.Random(2)
     base = [f"w{i}" for i in range(120)]
     texts = []

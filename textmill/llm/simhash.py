@@ -220,8 +220,9 @@ def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 #: Similarity of near-duplicate documents over shingles of so many words; bits within which the trees are searched;
 #: minima of which each two make a shard's key; bins of the signature that leaves out the dissimilar, which it may
 #: underrate by MARGIN; least shingle hashes that then measure similarity (exact for texts with fewer); how far such an
-#: estimate of longer texts may lie from the similarity (over five standard deviations), within which all hashes decide.
-SIMILARITY, WIDTH, RADIUS, MINIMA, BINS, MARGIN, LEAST, DOUBT = 0.8, 5, 18, 6, 128, 0.16, 1024, 0.07
+#: estimate of longer texts may lie from the similarity (over five standard deviations), within which all hashes decide;
+#: texts of a shard above which it is cut into blocks.
+SIMILARITY, WIDTH, RADIUS, MINIMA, BINS, MARGIN, LEAST, DOUBT, BLOCK = 0.8, 5, 18, 6, 128, 0.16, 1024, 0.07, 256
 _FACTORS = np.random.default_rng(5).integers(1, 2**63, MINIMA, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
@@ -301,10 +302,11 @@ class _Group:
             self.members[a] += self.members.pop(b)
 
 
-def _alike(prints: list[int], nodes: np.ndarray, roots: list[int], signatures: np.ndarray, least: list[np.ndarray], radius: int, similarity: float) -> tuple[list[tuple[int, int]], list[int]]:
+def _alike(prints: list[int], nodes: np.ndarray, roots: list[int], sides: np.ndarray, signatures: np.ndarray, least: list[np.ndarray], radius: int, similarity: float) -> tuple[list[tuple[int, int]], list[int]]:
     """Edges to the least node of each group that similar texts of a shard form, and the nodes of pairs left undecided.
 
-    Texts of one root are in a group from the start. The texts within the radius come first, from a BK-tree; what is then not in one group with a text is compared with
+    Texts of one root are in a group from the start. Of a unit of two blocks only texts of different sides are compared;
+    side 2 is a block with itself. The texts within the radius come first, from a BK-tree; what is then not in one group with a text is compared with
     it by signature, whatever its SimHash.
     """
     groups, doubt, first = _Group(len(prints)), np.zeros(len(prints), bool), {}
@@ -315,7 +317,7 @@ def _alike(prints: list[int], nodes: np.ndarray, roots: list[int], signatures: n
     def compare(i: int, near: np.ndarray) -> None:
         for at in range(0, len(near), 64):
             part = near[at : at + 64]
-            part = part[groups.of[part] != groups.of[i]]
+            part = part[(groups.of[part] != groups.of[i]) & ((sides[part] != sides[i]) | (sides[i] == 2))]
             for j in part[_similar(signatures[i], signatures[part]) >= similarity - MARGIN].tolist():
                 if groups.of[i] != groups.of[j]:
                     same = alike(least[i], least[j], similarity)
@@ -361,10 +363,10 @@ def _alike_shards(radius: int, similarity: float):
     """(null, a, b) for each edge; (key, a, null) for each node of an undecided pair of a shard."""
 
     def found(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int | None, int, int | None]]:
-        for part in _by_key(batches, ("key", "t", "root", "print", "signature", "least")):
+        for part in _by_key(batches, ("key", "t", "root", "side", "print", "signature", "least")):
             if len(part) > 1:
-                signatures = np.array([np.frombuffer(r[4], np.uint8) for r in part])
-                pairs, open_ = _alike([r[3] & (2**64 - 1) for r in part], np.array([r[1] for r in part]), [r[2] for r in part], signatures, [np.frombuffer(r[5], "<u4") for r in part], radius, similarity)
+                signatures = np.array([np.frombuffer(r[5], np.uint8) for r in part])
+                pairs, open_ = _alike([r[4] & (2**64 - 1) for r in part], np.array([r[1] for r in part]), [r[2] for r in part], np.array([r[3] for r in part]), signatures, [np.frombuffer(r[6], "<u4") for r in part], radius, similarity)
                 yield from ((None, a, b) for a, b in pairs)
                 yield from ((part[0][0], t, None) for t in open_)
 
@@ -459,13 +461,25 @@ def _stars(texts: DataFrame, open_: DataFrame, similarity: float) -> tuple[DataF
     return found, common.stored(common.dealt_join(others, several, "key"))
 
 
+def _units(shards: DataFrame, block: int) -> DataFrame:
+    """(key, t, root) -> the same with side: a shard of more than `block` texts is cut into blocks, and each two blocks, or
+    one with itself, make a unit of work with a key of its own. No task holds a shard, and no pair of texts is left out."""
+    sizes = common.stored(shards.groupBy("key").agg(F.count("*").alias("n")).filter(F.col("n") > block))
+    blocks = sizes.select("key", F.ceil(F.col("n") / block).cast("long").alias("blocks"))
+    both = common.dealt_join(shards, blocks, "key", how="left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long")))
+    own = both.withColumn("own", F.pmod(F.xxhash64("t", F.lit("block")), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    side = F.when(F.col("own") == F.col("other"), 2).otherwise((F.col("own") > F.col("other")).cast("int"))
+    unit = F.when(F.col("blocks") == 1, F.col("key")).otherwise(F.xxhash64("key", F.least("own", "other"), F.greatest("own", "other")))
+    return own.select(unit.alias("key"), "t", "root", side.alias("side"))
+
+
 def keep_one(docs: DataFrame, similarity: float = SIMILARITY, radius: int = RADIUS, width: int = WIDTH) -> DataFrame:
     """The rows of docs, all columns, one of each group of equal or similar texts: the one with the least doc_id.
 
     Texts are similar if the Jaccard similarity of their sets of `width`-word shingles (lower-cased in
     ASCII) reaches `similarity`; groups are closed under steps. Equal texts are folded first. A text is sent to the
     shards of each two of its six least shingle hashes that another text shares (of two texts at 0.8, all but two in
-    a thousand meet). Stars settle the shards whose texts are one group; in the others a BK-tree of SimHashes
+    a thousand meet). Stars settle the shards whose texts are one group; in the others, large ones in blocks, a BK-tree of SimHashes
     gives the texts within `radius` bits, whose similarity is then measured, and then that of the others whose
     signature is near. Where texts have more than the 1,024 least hashes that are compared and their estimate is in
     doubt, all hashes are made of the texts again and decide. Columns used: doc_id, text. Null and empty texts are
@@ -480,7 +494,7 @@ def keep_one(docs: DataFrame, similarity: float = SIMILARITY, radius: int = RADI
     shared = keys.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
     compared, rest = _stars(texts, common.stored(common.dealt_join(keys, shared, "key").distinct()), similarity)
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    sharded = rest.join(texts.select("t", "print", "signature", "least"), "t").select("key", "t", "root", "print", "signature", "least").repartition(n, "key").sortWithinPartitions("key", "t")
+    sharded = _units(rest, BLOCK).join(texts.select("t", "print", "signature", "least"), "t").select("key", "t", "root", "side", "print", "signature", "least").repartition(n, "key").sortWithinPartitions("key", "t")
     found = common.stored(sharded.mapInArrow(_alike_shards(radius, similarity), "key long, a long, b long"))
     doubt = found.filter("b is null").select("key", F.col("a").alias("t"))
     in_doubt = compared.filter("same is null").select(F.col("t").alias("a"), F.col("lead").alias("b"))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import os
 import re
 import zlib
 from collections.abc import Iterator
@@ -180,7 +181,9 @@ _ENCODERS: dict[str, Encoder] = {}
 
 
 def _encoder(path: str) -> Encoder:
-    """One encoder for each worker process, so that its words are learnt once and not by every task."""
+    """One encoder for each worker process, so that its words are learnt once and not by every task. Its library is kept to
+    the worker's own thread: the tasks of an executor are as many as its cores."""
+    os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     try:
         from textmill.llm import token_output as own
     except ImportError:
