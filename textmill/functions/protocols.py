@@ -14,6 +14,7 @@ from typing import Any, Protocol
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 from pyspark.sql.types import StructField, StructType, _parse_datatype_string
 
 
@@ -44,7 +45,8 @@ class ArrowModel:
 
     def apply(self, df: DataFrame, in_cols: Sequence[str], out_col: str) -> DataFrame:
         name, load, call, rows, names = self.name, self.load, self.call, self.rows, [*df.columns, out_col]
-        schema = StructType([*df.schema.fields, StructField(out_col, _parse_datatype_string(self.out_type))])
+        kind = _parse_datatype_string(self.out_type)
+        schema, arrow = StructType([*df.schema.fields, StructField(out_col, kind)]), to_arrow_type(kind)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             from textmill.functions import protocols as own
@@ -55,7 +57,7 @@ class ArrowModel:
                 for at in range(0, batch.num_rows, rows):
                     part = batch.slice(at, rows)
                     out = call(own._LOADED[name], *(part.column(c).to_pylist() for c in in_cols))
-                    yield pa.RecordBatch.from_arrays([*part.columns, pa.array(out)], names=names)
+                    yield pa.RecordBatch.from_arrays([*part.columns, pa.array(out, arrow)], names=names)
 
         return df.mapInArrow(run, schema)
 

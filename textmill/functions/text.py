@@ -19,6 +19,14 @@ def words(text: Column | str, lower: bool = True) -> Column:
     return F.filter(F.split(F.lower(c) if lower else c, "[ \t\n\r]+"), lambda x: x != "")
 
 
+GAPS = str.maketrans("\t\n\r", "   ")
+
+
+def words_of(text: str | None) -> list[str]:
+    """words() of one text, in Python."""
+    return [w for w in (text or "").lower().translate(GAPS).split(" ") if w]
+
+
 def lines(text: Column | str) -> Column:
     """Lines that are not blank."""
     return F.filter(F.split(text, "\n"), lambda x: x.rlike("[^ \t\r]"))

@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+from collections import Counter
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..catalog import query, table
-from ..functions.text import SQL_WORDS, h28, ratio, sql_h28, sql_ratio, words
+from ..functions.text import SQL_WORDS, h28, ratio, sql_h28, sql_ratio, words, words_of
 from ..plans.components import reliable
 from ..plans.ranks import quantiles
 from .clean import SQL_HOST, host
@@ -75,15 +79,29 @@ _SQL_BIGRAMS = f"(SELECT lang, w[i] AS v, w[i + 1] AS w, count(*) AS n FROM (SEL
 ADD = 0.1
 
 
-def _pairs(df: DataFrame, *keep: str) -> DataFrame:
-    w = df.select(*keep, F.concat(F.array(F.lit("<s>")), words("text")).alias("w"))
-    both = F.arrays_zip(F.slice("w", 1, F.size("w") - 1).alias("v"), F.slice("w", 2, F.size("w")).alias("w"))
-    return w.filter(F.size("w") > 1).select(*keep, F.explode(both).alias("p")).select(*keep, F.col("p.v").alias("v"), F.col("p.w").alias("w"))
+def _pairs(df: DataFrame, by_doc: bool) -> DataFrame:
+    """(doc_id, lang, v, w, n) or (lang, v, w, n): neighbours, from a line start on, counted in each document, or in each slice
+    of a batch; words don't leave the batch one by one."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                counts: Counter = Counter()
+                for doc_id, lang, text in zip(*(part.column(c).to_pylist() for c in ("doc_id", "lang", "text"))):
+                    w = words_of(text)
+                    counts.update((doc_id if by_doc else None, lang, v, x) for v, x in zip(["<s>", *w], w))
+                cols = [*zip(*counts)] or [()] * 4
+                arrays = [pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.string(), pa.string(), pa.string()))]
+                yield pa.RecordBatch.from_arrays([*arrays, pa.array(counts.values(), pa.int64())], names=["doc_id", "lang", "v", "w", "n"])
+
+    found = df.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").mapInArrow(run, "doc_id long, lang string, v string, w string, n long")
+    return found if by_doc else found.drop("doc_id")
 
 
 def train_bigrams(docs: DataFrame, labels: DataFrame) -> DataFrame:
     good = docs.join(labels.filter("quality = 1").select("doc_id"), "doc_id", "left_semi").filter(h28(F.col("doc_id").cast("string")) % 2 == 0)
-    return _pairs(good, "lang").groupBy("lang", "v", "w").agg(F.count("*").alias("n"))
+    return _pairs(good, False).groupBy("lang", "v", "w").agg(F.sum("n").alias("n"))
 
 
 @query("lm_bigram_counts", f"SELECT * FROM {_SQL_BIGRAMS}")
@@ -98,7 +116,7 @@ def perplexity(docs: DataFrame, bigrams: DataFrame) -> DataFrame:
     unseen context falls back to the uniform distribution through the additive term."""
     ctx = bigrams.groupBy("lang", "v").agg(F.sum("n").alias("c"))
     vocab = bigrams.groupBy("lang").agg(F.count_distinct("w").alias("size"))
-    own = _pairs(docs, "doc_id", "lang").groupBy("doc_id", "lang", "v", "w").agg(F.count("*").alias("k"))
+    own = _pairs(docs, True).withColumnRenamed("n", "k")
     j = own.join(bigrams, ["lang", "v", "w"], "left").join(ctx, ["lang", "v"], "left").join(vocab, "lang", "left")
     p = (F.coalesce("n", F.lit(0)) + ADD) / (F.coalesce("c", F.lit(0)) + ADD * (F.coalesce("size", F.lit(0)) + 1))
     g = j.groupBy("doc_id").agg(F.sum("k").alias("n"), F.sum(F.col("k") * F.log(p)).alias("lp"))

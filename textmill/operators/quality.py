@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..catalog import query, table
-from ..functions.text import ARABIC, LATIN, SQL_LINES, SQL_RAW_WORDS, SQL_WORDS, ScriptProfile, ratio, sql_ratio
+from ..functions.text import ARABIC, GAPS, LATIN, SQL_LINES, SQL_RAW_WORDS, SQL_WORDS, ScriptProfile, ratio, sql_ratio
 
 SIGNALS = (
     "n_words", "n_sentences", "n_lines", "mean_word_len", "frac_unique_words", "unigram_entropy", "symbol_word_ratio", "punct_word_ratio", "special_char_frac", "digit_frac",
@@ -44,7 +44,6 @@ def _counted(profile: ScriptProfile):
     time, words by type, so that what is asked of a word is asked once for each batch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        gaps = str.maketrans("\t\n\r", "   ")
         stop, terminal = frozenset(profile.stop_words), re.compile(f"[{profile.terminators}]+")
         target, bullet = re.compile(f"[{profile.letters}]"), re.compile(f"[ \t]*[{profile.bullets}]")
         ends = tuple(profile.terminators)
@@ -63,9 +62,9 @@ def _counted(profile: ScriptProfile):
                 known: dict[str, tuple[bool, bool]] = {}
                 rows = []
                 for t, letters, digits, marks, plain in zip(texts, *(per_text(b) for b in (_LETTER, _DIGIT, _PUNCTUATION, _PLAIN))):
-                    w = [x for x in t.translate(gaps).split(" ") if x]
+                    w = [x for x in t.translate(GAPS).split(" ") if x]
                     low = t.lower()
-                    lw = Counter(x for x in low.translate(gaps).split(" ") if x)
+                    lw = Counter(x for x in low.translate(GAPS).split(" ") if x)
                     lines_ = [x for x in t.split("\n") if x.strip(" \t\r")]
                     stripped = [x.rstrip(" \t\r") for x in lines_]
                     n, m = len(w), len(lines_)

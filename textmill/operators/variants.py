@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..catalog import query, table
-from ..functions.protocols import ExpressionModel
+from ..functions.protocols import ArrowModel, ExpressionModel
 from ..functions.text import SQL_WORDS, h28, ratio, sql_h28, sql_ratio, words
 from ..plans.components import reliable
 from ..plans.ranks import ranked
@@ -427,3 +427,34 @@ def minhash_builtin(spark, d):
     m = MinHashLSH(inputCol="features", outputCol="h", numHashTables=4, seed=5).fit(x)
     pairs = m.approxSimilarityJoin(x, x, 0.2, "distance").filter("datasetA.doc_id < datasetB.doc_id")
     return pairs.select(F.col("datasetA.doc_id").alias("src"), F.col("datasetB.doc_id").alias("dst"), F.round(1 - F.col("distance"), 6).alias("jaccard"))
+
+
+# --- One model of each role; expressions stay in the JVM, the segmenter and the embedder run over Arrow slices.
+VOWELS = "aeiou"
+ROLES = {
+    "translator": (translator, ["text"], "target"),
+    "judge": (ExpressionModel(lambda t: post.judge(t, *post.A)), ["text"], "score"),
+    "comparator": (ExpressionModel(lambda a, b: F.when(post.judge(a, *post.A) >= post.judge(b, *post.A), "first").otherwise("second")), ["text", "target"], "better"),
+    "annotator": (ExpressionModel(lambda t: F.when(F.size(words(t)) >= 40, "long").otherwise("short")), ["text"], "style"),
+    "generator": (ExpressionModel(lambda t: F.array_join(F.slice(words(t), 1, 5), " ")), ["text"], "reply"),
+    "detector": (ExpressionModel(lambda t: F.lower(t).rlike(UNSAFE)), ["text"], "unsafe"),
+    "reranker": (ExpressionModel(lambda t, r: F.size(F.array_intersect(words(t), words(r)))), ["text", "reply"], "overlap"),
+    "learned_metric": (ExpressionModel(lambda t, r: ratio(F.length(r), F.length(t))), ["text", "target"], "similarity"),
+    "segmenter": (ArrowModel("affixes", lambda: tokenizer.affix_segments, lambda f, texts: [len(f(max(t.lower().split() or [""], key=lambda w: (len(w), w)))) for t in texts], "int"), ["text"], "pieces"),
+    "embedder": (ArrowModel("vowels", lambda: VOWELS, lambda v, texts: [[float(t.lower().count(c)) for c in v] for t in texts], "array<double>"), ["text"], "vector"),
+}
+
+
+@query(
+    "model_roles",
+    f"""WITH b AS (SELECT item_id, text, array_to_string(list_transform(string_split(lower(text), ' '), lambda w: CASE w {' '.join(f"WHEN '{a}' THEN '{b}'" for a, b in GLOSSARY.items())} ELSE w END), ' ') AS target, array_to_string(({SQL_WORDS})[1:5], ' ') AS reply FROM benchmark)
+    SELECT item_id, target, {post.sql_judge('text', *post.A)} AS score, CASE WHEN {post.sql_judge('text', *post.A)} >= {post.sql_judge('target', *post.A)} THEN 'first' ELSE 'second' END AS better, CASE WHEN len({SQL_WORDS}) >= 40 THEN 'long' ELSE 'short' END AS style, reply,
+    regexp_matches(lower(text), '{UNSAFE}') AS unsafe, len(list_intersect({SQL_WORDS}, {SQL_WORDS.replace('lower(text)', 'lower(reply)')}))::INT AS overlap, {sql_ratio('length(target)', 'length(text)')} AS similarity,
+    [{', '.join(f"len(string_split(lower(text), '{c}')) - 1" for c in VOWELS)}]::DOUBLE[] AS vector FROM b""",
+)
+def model_roles(spark, d):
+    """A stand-in of every role applied to the items, one after another; what the segmenter gives is tested apart."""
+    df = table(spark, d, "benchmark")
+    for model, cols, out in ROLES.values():
+        df = model.apply(df, cols, out)
+    return df.drop("text", "pieces")

@@ -15,7 +15,8 @@ def prefix_sum(df: DataFrame, order: list[str], value: Column, name: str, partit
     number a range) are added. Returns a stored table, because a range number must not change between its two uses.
     """
     n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ranged = reliable(df.withColumn("value_", value).repartitionByRange(n, *order).withColumn("range_", F.spark_partition_id()))
+    rows = reliable(df.withColumn("value_", value))  # dealing by ranges reads its input twice
+    ranged = reliable(rows.repartitionByRange(n, *order).withColumn("range_", F.spark_partition_id()))
     local = F.sum("value_").over(Window.partitionBy("range_").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1))
     totals = ranged.groupBy("range_").agg(F.sum("value_").alias("total_"))
     before = totals.select(F.col("range_").alias("r_"), F.coalesce(F.sum("total_").over(Window.orderBy("range_").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("offset_"))
