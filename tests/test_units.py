@@ -44,6 +44,34 @@ def test_bpe_equals_naive():
         assert tokenizer.bpe_train(pieces, 10) == naive_bpe(pieces, 10)
 
 
+def test_merges_made_at_once_are_those_made_one_by_one():
+    rng = random.Random(8)
+    for _ in range(60):
+        pieces = [("".join(rng.choice("abcdefgh") for _ in range(rng.randint(1, 9))), rng.randint(1, 4)) for _ in range(rng.randint(3, 40))]
+        want, got, q = naive_bpe(pieces, 25), [], [(list(p), c) for p, c in pieces]
+        while len(got) < 25:
+            n = Counter()
+            for s, c in q:
+                for pair in zip(s, s[1:]):
+                    n[pair] += c
+            top = sorted(((a, b, m) for (a, b), m in n.items()), key=lambda x: (-x[2], x[0], x[1]))
+            cut = rng.randint(1, 12)
+            batch = tokenizer.safe_prefix(top[:cut], 25 - len(got), len(top) <= cut)
+            if not batch:
+                break
+            got += batch
+            for a, b, _ in batch:
+                q = [(tokenizer._joined(s, (a, b)), c) for s, c in q]
+        assert got == want
+
+
+def test_training_in_rounds(spark):
+    rng = random.Random(9)
+    pieces = Counter("".join(rng.choice("abcdefghij") for _ in range(rng.randint(1, 9))) for _ in range(300))
+    df = spark.createDataFrame(list(pieces.items()), "word string, cnt long").repartition(3)
+    assert tokenizer.bpe_train_rounds(df, 12, top=50) == naive_bpe(sorted(pieces.items()), 12)
+
+
 def test_encode_joins_to_word_and_stops_at_vocab():
     pieces = [("banana", 5), ("bandana", 3)]
     merges = tokenizer.bpe_train(pieces, vocab=8)

@@ -127,6 +127,84 @@ def bpe_train(pieces: Iterable[tuple[str, int]], merges: int | None = None, voca
     return out
 
 
+def _joined(q: list[str], pair: tuple[str, str]) -> list[str]:
+    """q with every pair, from the left, as one symbol."""
+    new, k = [], 0
+    while k < len(q):
+        two = k + 1 < len(q) and (q[k], q[k + 1]) == pair
+        new.append(q[k] + q[k + 1] if two else q[k])
+        k += 2 if two else 1
+    return new
+
+
+def safe_prefix(top: list[tuple[str, str, int]], limit: int, whole: bool) -> list[tuple[str, str, int]]:
+    """The merges that can be made at once: the longest run of the commonest pairs, none of which has a symbol of another.
+
+    Such merges leave each other's counts alone, and what a merge makes is at most as common as a pair that shares a
+    symbol with it, at which the run ends; so one at a time the trainer would have made the same ones in the same
+    order. Pairs as common as one that is next must be free of touched symbols too, or what a merge made could come
+    before it. `whole`: the list holds all pairs, not only the commonest."""
+    out: list[tuple[str, str, int]] = []
+    touched: set[str] = set()
+    at = 0
+    while at < len(top) and len(out) < limit:
+        end = at
+        while end < len(top) and top[end][2] == top[at][2]:
+            end += 1
+        ends_within = end == len(top) and not whole  # pairs as common may be missing from the list
+        for k in range(at, end):
+            if len(out) == limit or (out and (ends_within or any(a in touched or b in touched for a, b, _ in top[k:end]))):
+                return out
+            out.append(top[k])
+            touched |= set(top[k][:2])
+        at = end
+    return out
+
+
+def bpe_train_rounds(pieces: DataFrame, merges: int, top: int = 2000) -> list[tuple[str, str, int]]:
+    """bpe_train() for more pieces (word, cnt) than a driver holds: in each round Spark counts the pairs of all pieces, the
+    driver takes the `top` commonest and all merges that can be made at once, and the tasks make them. Pieces are stored
+    after each round."""
+
+    def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([list(w) for w in b.column("word").to_pylist()], pa.list_(pa.string())), b.column("cnt")], names=["q", "cnt"])
+
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n: Counter = Counter()
+            for q, c in zip(b.column("q").to_pylist(), b.column("cnt").to_pylist()):
+                for pair in zip(q, q[1:]):
+                    n[pair] += c
+            yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in n], pa.string()), pa.array([p[1] for p in n], pa.string()), pa.array(n.values(), pa.int64())], names=["l", "r", "n"])
+
+    def made(batch: list[tuple[str, str, int]]):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                out = []
+                for q in b.column("q").to_pylist():
+                    for left, right, _ in batch:
+                        if left in q and right in q:
+                            q = _joined(q, (left, right))
+                    out.append(q)
+                yield pa.RecordBatch.from_arrays([pa.array(out, pa.list_(pa.string())), b.column("cnt")], names=["q", "cnt"])
+
+        return run
+
+    schema, out = "q array<string>, cnt long", []
+    state = reliable(pieces.select("word", "cnt").mapInArrow(split, schema))
+    while len(out) < merges:
+        pairs = state.mapInArrow(counted, "l string, r string, n long").groupBy("l", "r").agg(F.sum("n").alias("n"))
+        first = [(r.l, r.r, r.n) for r in pairs.orderBy(F.desc("n"), "l", "r").limit(top).collect()]
+        batch = safe_prefix(first, merges - len(out), len(first) < top)
+        if not batch:
+            break
+        out += batch
+        if len(out) < merges:
+            state = reliable(state.mapInArrow(made(batch), schema))
+    return out
+
+
 def bpe_encode(word: str, ranks: dict[tuple[str, str], int], unit: str = "char") -> list[str]:
     q = [chr(b) for b in word.encode()] if unit == "byte" else list(word)
     while len(q) > 1:
@@ -164,19 +242,29 @@ def boundary_f1(tokens: list[str], morphemes: list[str]) -> float:
     return 1.0 if not a and not b else 2 * len(a & b) / max(len(a) + len(b), 1)
 
 
-#: Word types, the commonest ones, that a byte-pair trainer on the driver takes: a bound that doesn't grow with the corpus.
-TYPES = 1_000_000
+#: Word types that a byte-pair trainer on the driver takes; more are trained in rounds of Spark.
+TYPES = 500_000
 
 
 def trained(freq: DataFrame, merges: int, segment: Segmenter, most: int = TYPES) -> tuple[dict, dict]:
-    """Ranks of plain and of morpheme-bounded merges, of the `most` commonest words (word, cnt)."""
-    words_, pieces = [], Counter()
-    for r in freq.orderBy(F.desc("cnt"), "word").limit(most).toLocalIterator():
-        words_.append((r.word, r.cnt))
-        for p in segment(r.word):
-            pieces[p] += r.cnt
-    ranks = lambda merged: {(a, b): i for i, (a, b, _) in enumerate(merged)}
-    return ranks(bpe_train(words_, merges)), ranks(bpe_train(sorted(pieces.items()), merges))
+    """Ranks of plain and of morpheme-bounded merges of all words (word, cnt)."""
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n: Counter = Counter()
+            for w, c in zip(b.column("word").to_pylist(), b.column("cnt").to_pylist()):
+                for p in segment(w):
+                    n[p] += c
+            yield pa.RecordBatch.from_arrays([pa.array(list(n), pa.string()), pa.array(n.values(), pa.int64())], names=["word", "cnt"])
+
+    pieces = reliable(freq.select("word", "cnt").mapInArrow(cut, "word string, cnt long").groupBy("word").agg(F.sum("cnt").alias("cnt")))
+
+    def ranks(of: DataFrame) -> dict[tuple[str, str], int]:
+        few = of.count() <= most
+        merged = bpe_train([(r.word, r.cnt) for r in of.orderBy("word").collect()], merges) if few else bpe_train_rounds(of, merges)
+        return {(a, b): i for i, (a, b, _) in enumerate(merged)}
+
+    return ranks(freq.select("word", "cnt")), ranks(pieces)
 
 
 def measured(freq: DataFrame, ways: dict[str, Callable[[str], list[str]]], segment: Segmenter) -> DataFrame:
@@ -202,8 +290,8 @@ def measured(freq: DataFrame, ways: dict[str, Callable[[str], list[str]]], segme
 
 @query("tokenizer_comparison")
 def tokenizer_comparison(spark, d, merges: int = 300):
-    """Characters, bytes, plain BPE and morpheme-bounded BPE on fertility and alignment over all words. Words are counted
-    once; the trainer takes the commonest million of them."""
+    """Characters, bytes, plain BPE and morpheme-bounded BPE on fertility and alignment over all words, which are counted
+    once. Up to TYPES word types are trained on the driver, more in rounds of Spark."""
     freq = reliable(_freq(spark, d))
     plain, bounded = trained(freq, merges, affix_segments)
     ways = {
