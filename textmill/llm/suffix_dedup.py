@@ -166,4 +166,5 @@ def remove_repeats(docs: DataFrame, length: int = 400, digest: bool = False) ->
 
 
 def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return remove_repeats(common.table(spark, sf_dir, "documents"), 400, digest=True)
+    out = remove_repeats(common.table(spark, sf_dir, "documents"), 400, digest=True)
+    return out.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "n_shared")
