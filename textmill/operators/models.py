@@ -13,6 +13,7 @@ from ..catalog import query, table
 from ..functions.text import SQL_WORDS, h28, ratio, sql_h28, sql_ratio, words, words_of
 from ..plans.components import reliable
 from ..plans.ranks import quantiles
+from ..plans.spread import spread
 from .clean import SQL_HOST, host
 from .quality import sql_signals, signals
 
@@ -23,7 +24,7 @@ def induce_lexicon(docs: DataFrame, labels: DataFrame, min_df: int = 3, lift: fl
     """(word, n, n_toxic): words of min_df labelled documents or more whose toxic share is `lift` times the base share."""
     lab = labels.select("doc_id", "toxic")
     base = lab.agg(F.avg("toxic").alias("base"))
-    each = docs.join(lab, "doc_id").select("doc_id", "toxic", F.explode(F.array_distinct(words("text"))).alias("word"))
+    each = spread(docs.select("doc_id", "text")).join(lab, "doc_id").select("doc_id", "toxic", F.explode(F.array_distinct(words("text"))).alias("word"))
     g = each.groupBy("word").agg(F.count("*").alias("n"), F.sum("toxic").cast("bigint").alias("n_toxic")).filter(F.col("n") >= min_df)
     return g.join(F.broadcast(base), F.col("n_toxic") >= F.col("n") * F.col("base") * lift).select("word", "n", "n_toxic")
 
@@ -38,7 +39,7 @@ def _lexicon(spark, d):
 
 def flag(docs: DataFrame, lexicon: DataFrame) -> DataFrame:
     """(doc_id, hits) of documents with a word of the lexicon; Spark broadcasts the lexicon if it is small."""
-    each = docs.select("doc_id", F.explode(F.array_distinct(words("text"))).alias("word"))
+    each = spread(docs.select("doc_id", "text")).select("doc_id", F.explode(F.array_distinct(words("text"))).alias("word"))
     return each.join(lexicon.select("word"), "word", "left_semi").groupBy("doc_id").agg(F.count("*").alias("hits"))
 
 
@@ -95,7 +96,7 @@ def _pairs(df: DataFrame, by_doc: bool) -> DataFrame:
                 arrays = [pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.string(), pa.string(), pa.string()))]
                 yield pa.RecordBatch.from_arrays([*arrays, pa.array(counts.values(), pa.int64())], names=["doc_id", "lang", "v", "w", "n"])
 
-    found = df.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").mapInArrow(run, "doc_id long, lang string, v string, w string, n long")
+    found = spread(df.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text")).mapInArrow(run, "doc_id long, lang string, v string, w string, n long")
     return found if by_doc else found.drop("doc_id")
 
 

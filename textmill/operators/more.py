@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from ..catalog import ORACLE, query, table
 from ..functions.text import SQL_WORDS, h28, ratio, sql_h28, sql_ratio, words
 from ..plans.ranks import cut_points, ranked
+from ..plans.spread import spread
 from . import dedup, evaluation, models, post, retrieval, tokenizer
 
 
@@ -197,7 +198,7 @@ def _trigram_sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 def closeness(docs: DataFrame) -> DataFrame:
     """doc_id, s: cosine, up to a factor, of the letter trigrams of a whole text to those of all English texts. Texts are
     counted in Arrow batches; the reference goes to the workers, a number for each trigram that the language has."""
-    t = docs.select("doc_id", "lang", F.lower("text").alias("t")).filter("length(t) >= 3")
+    t = spread(docs.select("doc_id", "lang", "text")).select("doc_id", "lang", F.lower("text").alias("t")).filter("length(t) >= 3")
     ref = t.filter("lang = 'en'").select("t").mapInArrow(_trigram_sums, "g long, c long").groupBy("g").agg(F.sum("c").alias("r")).toArrow().sort_by("g")
     sent = docs.sparkSession.sparkContext.broadcast((ref["g"].to_numpy(), ref["r"].to_numpy()))
 

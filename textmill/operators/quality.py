@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from ..catalog import query, table
 from ..functions.text import ARABIC, GAPS, LATIN, SQL_LINES, SQL_RAW_WORDS, SQL_WORDS, ScriptProfile, ratio, sql_ratio
+from ..plans.spread import spread
 
 SIGNALS = (
     "n_words", "n_sentences", "n_lines", "mean_word_len", "frac_unique_words", "unigram_entropy", "symbol_word_ratio", "punct_word_ratio", "special_char_frac", "digit_frac",
@@ -94,7 +95,7 @@ def signals(df: DataFrame, profile: ScriptProfile = LATIN, id_col: str = "doc_id
 
     An empty or null text has 0 in every signal. Characters are code points. A null id stays; repeated rows stay.
     """
-    c = df.select(id_col, F.col(text).alias("t")).mapInArrow(_counted(profile), f"{id_col} {df.schema[id_col].dataType.simpleString()}, " + ", ".join(f"{x} double" for x in _COUNTS))
+    c = spread(df.select(id_col, F.col(text).alias("t"))).mapInArrow(_counted(profile), f"{id_col} {df.schema[id_col].dataType.simpleString()}, " + ", ".join(f"{x} double" for x in _COUNTS))
     of = lambda a, b, name: ratio(F.col(a), F.col(b)).alias(name)
     return c.select(
         id_col,

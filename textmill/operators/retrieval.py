@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..catalog import query, table
 from ..functions.text import SQL_WORDS, ratio, sql_ratio, words
+from ..plans.spread import spread
 from .dedup import cosine
 
 TOP, KEPT, CHUNK, OVERLAP = 20, 4, 2048, 50
@@ -130,7 +131,7 @@ _SQL_BM25 = f"""(WITH t AS MATERIALIZED (SELECT doc_id, word, count(*) AS tf, an
 
 def bm25(docs: DataFrame, queries: DataFrame, k: int = 5, k1: float = 1.2, b: float = 0.75) -> DataFrame:
     """(item_id, doc_id, score): only postings of query words are kept before anything is joined to them."""
-    w = docs.select("doc_id", words("text").alias("w")).withColumn("n", F.size("w")).filter("n > 0")
+    w = spread(docs.select("doc_id", "text")).select("doc_id", words("text").alias("w")).withColumn("n", F.size("w")).filter("n > 0")
     q = queries.select("item_id", F.explode(F.array_distinct(words("text"))).alias("word"))
     t = w.select("doc_id", "n", F.explode("w").alias("word")).join(q.select("word").distinct(), "word", "left_semi").groupBy("doc_id", "word", "n").agg(F.count("*").alias("tf"))
     f = t.groupBy("word").agg(F.count("*").alias("df"))

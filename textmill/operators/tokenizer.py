@@ -4,9 +4,10 @@ from __future__ import annotations
 
 import heapq
 import re
-from collections import Counter, defaultdict
+from collections import Counter
 from collections.abc import Callable, Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -14,6 +15,7 @@ from pyspark.sql import functions as F
 from ..catalog import query, table
 from ..functions.text import SQL_WORDS, ratio, sql_ratio, words
 from ..plans.components import reliable
+from ..plans.spread import spread
 
 #: Affixes of the Latin stand-in, longest match first; a stem keeps three letters at least.
 PREFIXES, SUFFIXES, STEM = ("unter", "über", "ver", "zu", "be", "re", "en", "un"), ("ungen", "keit", "heit", "ment", "tion", "ing", "ung", "lich", "able", "ble", "ed", "ly", "es", "en", "er"), 3
@@ -30,7 +32,7 @@ def affix_segments(word: str) -> list[str]:
 
 def word_freq(docs: DataFrame) -> DataFrame:
     """(word, cnt): the corpus shrinks to its distinct words, summed in each task before the shuffle."""
-    return docs.select(F.explode(words("text")).alias("word")).groupBy("word").agg(F.count("*").alias("cnt"))
+    return spread(docs.select("text")).select(F.explode(words("text")).alias("word")).groupBy("word").agg(F.count("*").alias("cnt"))
 
 
 _SQL_FREQ = f"(SELECT word, count(*) AS cnt FROM (SELECT unnest({SQL_WORDS}) AS word FROM documents) GROUP BY word)"
@@ -77,53 +79,66 @@ def morph_pair_counts(spark, d):
 def bpe_train(pieces: Iterable[tuple[str, int]], merges: int | None = None, vocab: int | None = None, unit: str = "char") -> list[tuple[str, str, int]]:
     """Ordered merges (left, right, count) over (piece, count): most counted first, then the smaller left and right.
 
-    Stops after `merges` merges or when alphabet and merges reach `vocab`. A heap and lists of where a pair occurs
-    make a merge cost what it touches. Pieces are the distinct words of a corpus, or its morphemes for the bounded
-    variant; either way a merge never crosses a piece.
+    Stops after `merges` merges or when alphabet and merges reach `vocab`. Pieces are the distinct words of a corpus, or
+    its morphemes for the bounded variant; either way a merge never crosses a piece. All symbols lie in one array, each
+    with the places of its neighbours; a merge takes off the counts of the pairs around it and adds those it makes.
     """
-    seqs, counts = [], []
+    names: list[str] = []
+    number: dict[str, int] = {}
+    flat, weight = [], []
     for p, c in pieces:
-        seqs.append([chr(b) for b in p.encode()] if unit == "byte" else list(p))
-        counts.append(c)
-    alphabet = {s for q in seqs for s in q}
-    limit = merges if merges is not None else max(0, (vocab or 0) - len(alphabet))
+        symbols = [chr(x) for x in p.encode()] if unit == "byte" else p
+        for x in symbols:
+            if x not in number:
+                number[x] = len(names)
+                names.append(x)
+        flat += [number[x] for x in symbols]
+        flat.append(-1)  # no pair reaches over it
+        weight += [c] * (len(symbols) + 1)
+    seq, w = np.array([-1, *flat, -1], np.int32), np.array([0, *weight, 0], np.int64)
+    after, before = np.arange(1, len(seq) + 1, dtype=np.int32), np.arange(-1, len(seq) - 1, dtype=np.int32)
+    limit = merges if merges is not None else max(0, (vocab or 0) - len(names))
     total: Counter = Counter()
-    where: dict[tuple[str, str], set[int]] = defaultdict(set)
-    for i, q in enumerate(seqs):
-        for pair in zip(q, q[1:]):
-            total[pair] += counts[i]
-            where[pair].add(i)
-    heap = [(-n, p) for p, n in total.items()]
+
+    def count(at: np.ndarray) -> Counter:
+        """Weights of the pairs that begin at the places."""
+        at = at[seq[at] >= 0]
+        then = seq[after[at]]
+        at, then = at[then >= 0], then[then >= 0]
+        code, which = np.unique(seq[at].astype(np.int64) << 32 | then, return_inverse=True)
+        sums = np.zeros(len(code), np.int64)
+        np.add.at(sums, which, w[at])
+        return Counter({(k >> 32, k & 0xFFFFFFFF): n for k, n in zip(code.tolist(), sums.tolist())})
+
+    total.update(count(np.arange(len(seq))))
+    entry = lambda pair: (-total[pair], names[pair[0]], names[pair[1]], pair)
+    heap = [entry(pair) for pair in total]
     heapq.heapify(heap)
     out: list[tuple[str, str, int]] = []
     while heap and len(out) < limit:
-        n, pair = heapq.heappop(heap)
-        if total[pair] != -n or n == 0:
+        n, left, right, (a, b) = heapq.heappop(heap)
+        if total[a, b] != -n or n == 0:
             continue
-        out.append((*pair, -n))
-        changed: set[tuple[str, str]] = set()
-        for i in where.pop(pair):
-            q, new, k = seqs[i], [], 0
-            for p in zip(q, q[1:]):
-                total[p] -= counts[i]
-                changed.add(p)
-                where[p].discard(i) if p in where else None
-            while k < len(q):
-                if k + 1 < len(q) and (q[k], q[k + 1]) == pair:
-                    new.append(q[k] + q[k + 1])
-                    k += 2
-                else:
-                    new.append(q[k])
-                    k += 1
-            seqs[i] = new
-            for p in zip(new, new[1:]):
-                total[p] += counts[i]
-                changed.add(p)
-                where[p].add(i)
-        total[pair] = 0
-        for p in changed:
-            if total[p] > 0:
-                heapq.heappush(heap, (-total[p], p))
+        out.append((left, right, -n))
+        at = np.flatnonzero(seq == a)
+        at = at[seq[after[at]] == b]
+        if a == b:  # of a run, every second place from its first
+            start = np.flatnonzero(np.concatenate([[True], after[at[:-1]] != at[1:]]))
+            at = at[(np.arange(len(at)) - np.repeat(start, np.diff(start, append=len(at)))) % 2 == 0]
+        gone = count(np.unique(np.concatenate([before[at], at, after[at]])))
+        new = number.setdefault(left + right, len(names))
+        if new == len(names):
+            names.append(left + right)
+        second = after[at]
+        third = after[second]
+        seq[at], seq[second] = new, -2  # -2: no longer there
+        after[at], before[third] = third, at
+        fresh = count(np.unique(np.concatenate([before[at], at])))
+        total.subtract(gone)
+        total.update(fresh)
+        for pair in gone | fresh:
+            if total[pair] > 0:
+                heapq.heappush(heap, entry(pair))
     return out
 
 
@@ -283,7 +298,7 @@ def measured(freq: DataFrame, ways: dict[str, Callable[[str], list[str]]], segme
                 rows.append((name, *s))
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.string(), pa.int64(), pa.int64(), pa.float64(), pa.float64()))], names=["tokenizer", "tokens", "words", "a", "f"])
 
-    m = freq.select("word", "cnt").mapInArrow(run, "tokenizer string, tokens long, words long, a double, f double")
+    m = spread(freq.select("word", "cnt")).mapInArrow(run, "tokenizer string, tokens long, words long, a double, f double")
     s = m.groupBy("tokenizer").agg(*[F.sum(c).alias(c) for c in ("tokens", "words", "a", "f")])
     return s.select("tokenizer", "tokens", ratio(F.col("tokens"), F.col("words")).alias("fertility"), F.round(F.col("a") / F.col("words"), 6).alias("alignment"), F.round(F.col("f") / F.col("words"), 6).alias("boundary_f1"))
 
