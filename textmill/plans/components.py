@@ -25,7 +25,17 @@ def reliable(df: DataFrame) -> DataFrame:
     """df as a table in the shared folder: cuts the lineage, survives the loss of an executor."""
     path = f"{shared_base(df.sparkSession)}/{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.stored_at = path
+    return out
+
+
+def dropped(*tables: DataFrame) -> None:
+    """Removes the files of reliable() tables that nothing reads any more."""
+    for df in tables:
+        context = df.sparkSession.sparkContext
+        path = context._jvm.org.apache.hadoop.fs.Path(df.stored_at)
+        path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def connected_components(edges: DataFrame) -> DataFrame:
@@ -41,7 +51,9 @@ def connected_components(edges: DataFrame) -> DataFrame:
     while True:
         large = toward_least(e.union(e.select("b", "a"))).filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
         small = toward_least(large)
+        last = e
         e = reliable(small.filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).union(small.select("a", "m")).filter("a <> b").distinct())
+        dropped(last)
         now = e.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if now == before:
             return e.toDF("id", "comp").union(e.select(F.col("b").alias("id"), F.col("b").alias("comp")).distinct())
