@@ -49,6 +49,18 @@ def test_near_dedup_with_repeats_and_long_texts(spark):
     assert sorted(r.doc_id for r in simhash.keep_one(docs).select("doc_id").collect()) == kept
 
 
+def test_units_grow_less_than_the_square(spark):
+    """Each two texts of a large shard meet in a unit that compares them, once; rows stay far below the square."""
+    n, block = 400, 4
+    got = simhash._units(spark.range(n).selectExpr("7L AS key", "id AS t", "id AS root"), block).collect()
+    assert len(got) == n * 10
+    units = {}
+    for r in got:
+        units.setdefault(r.key, []).append((r.t, r.side))
+    met = sorted((a, b) for u in units.values() for a, x in u for b, y in u if a < b and (x != y or x == 2))
+    assert met == [(a, b) for a in range(n) for b in range(a + 1, n)]
+
+
 def test_run(spark, sf):
     out = corpus_pipeline.run(spark, sf)
     assert out.columns == ["doc_id", "start", "n_tokens", "ids_crc32"]

@@ -462,10 +462,14 @@ def _stars(texts: DataFrame, open_: DataFrame, similarity: float) -> tuple[DataF
 
 
 def _units(shards: DataFrame, block: int) -> DataFrame:
-    """(key, t, root) -> the same with side: a shard of more than `block` texts is cut into blocks, and each two blocks, or
-    one with itself, make a unit of work with a key of its own. No task holds a shard, and no pair of texts is left out."""
+    """(key, t, root) -> the same with side: a shard of n > `block` texts is cut into blocks, and each two blocks, or one with
+    itself, make a unit of work with a key of its own. No task holds a shard, and no pair of texts is left out.
+
+    A text goes to as many units as there are blocks. Blocks of a fixed size would make n^2 / block rows; their number is
+    the root of n / block instead, so they grow in size too, and rows grow as n^1.5.
+    """
     sizes = common.stored(shards.groupBy("key").agg(F.count("*").alias("n")).filter(F.col("n") > block))
-    blocks = sizes.select("key", F.ceil(F.col("n") / block).cast("long").alias("blocks"))
+    blocks = sizes.select("key", F.ceil(F.sqrt(F.col("n") / block)).cast("long").alias("blocks"))
     both = common.dealt_join(shards, blocks, "key", how="left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long")))
     own = both.withColumn("own", F.pmod(F.xxhash64("t", F.lit("block")), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     side = F.when(F.col("own") == F.col("other"), 2).otherwise((F.col("own") > F.col("other")).cast("int"))
