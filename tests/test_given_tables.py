@@ -9,6 +9,7 @@ from textmill import registry
 #: query, its table, rows left out.
 READS = [
     ("cte_recursive", "orders", "o_orderkey % 2 = 0"),
+    ("leaderboard_rank", "labels", "doc_id % 2 = 0"),
     # rows end
 ]
 
