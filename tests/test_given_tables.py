@@ -10,6 +10,7 @@ from textmill import registry
 READS = [
     ("cte_recursive", "orders", "o_orderkey % 2 = 0"),
     ("leaderboard_rank", "labels", "doc_id % 2 = 0"),
+    ("lr_schedule", "documents", "doc_id < 100"),
     # rows end
 ]
 
