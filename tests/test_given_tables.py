@@ -11,6 +11,7 @@ READS = [
     ("cte_recursive", "orders", "o_orderkey % 2 = 0"),
     ("leaderboard_rank", "labels", "doc_id % 2 = 0"),
     ("lr_schedule", "documents", "doc_id < 100"),
+    ("lsh_s_curve", "conversations", "conv_id % 2 = 0"),
     # rows end
 ]
 
