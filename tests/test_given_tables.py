@@ -12,6 +12,7 @@ READS = [
     ("leaderboard_rank", "labels", "doc_id % 2 = 0"),
     ("lr_schedule", "documents", "doc_id < 100"),
     ("lsh_s_curve", "conversations", "conv_id % 2 = 0"),
+    ("mean_ignore_null", "labels", "doc_id % 2 = 0"),
     # rows end
 ]
 
