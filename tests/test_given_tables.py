@@ -13,6 +13,7 @@ READS = [
     ("lr_schedule", "documents", "doc_id < 100"),
     ("lsh_s_curve", "conversations", "conv_id % 2 = 0"),
     ("mean_ignore_null", "labels", "doc_id % 2 = 0"),
+    ("param_count", "documents", "doc_id % 2 = 0"),
     # rows end
 ]
 
