@@ -3,6 +3,7 @@
 import random
 from collections import Counter
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from textmill.functions.text import ARABIC, normalize_script
@@ -177,6 +178,31 @@ def test_fuzzy_keeps_one_of_drifting_copies(spark):
     raise AssertionError("no seed puts the three in one bucket")
 
 
+def test_all_near_vectors_in_passes(spark, monkeypatch):
+    """All pairs, none by chance, however the vectors are cut into passes; a group near one vector makes no square of edges."""
+    rng = np.random.default_rng(3)
+    x = rng.standard_normal((300, 64)).astype(np.float32)
+    x[100:200] = x[100] + 0.3 * x[100:200]
+    x[250:] = 0.62 * x[:50] + 0.78 * x[250:]  # about the threshold
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    e = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    cos = np.round(x.astype(np.float64) @ x.astype(np.float64).T, 5)
+    want = {(i, j) for i in range(300) for j in range(i + 1, 300) if cos[i, j] >= dedup.NEAR}
+    assert len(want) > 4950
+    for size in (32_000_000, 30_000):
+        monkeypatch.setattr(dedup, "PASS_BYTES", size)
+        monkeypatch.setattr(dedup, "SIDE", 64)
+        assert {(r.src, r.dst) for r in dedup.all_near_vectors(e).collect()} == want
+        edges = dedup.all_near_vectors(e, forest=True).coalesce(1)
+        assert edges.count() < 3 * 4 * 300
+        comp = {r.id: r.comp for r in dedup.connected_components(edges).collect()}
+        own = {i: i for i in range(300)}
+        for _ in range(10):
+            for i, j in want:
+                own[i] = own[j] = min(own[i], own[j])
+        assert all(comp.get(i, i) == c for i, c in own.items())
+
+
 def test_toxic_classifier_scores_all(spark, sf):
     from textmill import registry
 
