@@ -67,3 +67,18 @@ def test_copies_are_not_expanded_into_pairs(spark, tmp_path):
     spark.createDataFrame([(k, text) for k in range(20)] + [(30, text + " end")], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     rows = dedup._jaccard(spark, str(tmp_path)).collect()
     assert sorted((r.src, r.dst) for r in rows) == [*((0, k) for k in range(1, 20)), (0, 30)]
+
+
+def test_recall_counts_copies_without_their_pairs(spark, tmp_path, monkeypatch):
+    import duckdb
+    from textmill import registry
+
+    rows = corpus(100) + [(5000 + k, "one text of which there are many copies in the table") for k in range(30)]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    seen, join = [], dedup.candidates
+    monkeypatch.setattr(dedup, "candidates", lambda keys: seen.append(keys.filter("doc_id > 5000").count()) or join(keys))
+    got = registry.QUERIES["lsh_recall"](spark, str(tmp_path)).first().asDict()
+    c = duckdb.connect()
+    c.execute(f"CREATE VIEW documents AS SELECT doc_id, text FROM '{tmp_path}/documents.parquet/*.parquet'")
+    cur = c.execute(registry.ORACLE["lsh_recall"])
+    assert got == dict(zip([x[0] for x in cur.description], cur.fetchone())) and got["n_true"] > 435 and seen == [0]
