@@ -73,6 +73,18 @@ def test_training_in_rounds(spark):
     assert tokenizer.bpe_train_rounds(df, 12, top=50) == naive_bpe(sorted(pieces.items()), 12)
 
 
+def test_training_in_few_rounds_equals_naive(spark, monkeypatch):
+    rng, jobs = random.Random(4), []
+    count = tokenizer.reliable
+    monkeypatch.setattr(tokenizer, "reliable", lambda df: jobs.append(1) or count(df))
+    for letters, top, most in (("abcdefghijklmnop", 60, 10_000), ("abc", 5, 40), ("aab", 3, 2), ("ab\U0001d4b3é", 2, 10_000)):
+        pieces = Counter("".join(rng.choice(letters) for _ in range(rng.randint(1, 12))) for _ in range(250))
+        df = spark.createDataFrame(list(pieces.items()), "word string, cnt long").repartition(2)
+        before = len(jobs)
+        assert tokenizer.bpe_train_rounds(df, 14, top=top, most=most) == naive_bpe(sorted(pieces.items()), 14)
+        assert top < 60 or len(jobs) - before <= 8  # two tables a round at most, and few rounds
+
+
 def test_encode_joins_to_word_and_stops_at_vocab():
     pieces = [("banana", 5), ("bandana", 3)]
     merges = tokenizer.bpe_train(pieces, vocab=8)
